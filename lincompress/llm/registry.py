@@ -2,7 +2,11 @@
 
 from __future__ import annotations
 
-from lincompress.llm import quality_rules
+from lincompress.llm import packing, quality_rules, simhash
 
-QUERIES = {"op1_quality_rules": quality_rules.op1_quality_rules}
+QUERIES = {
+    "op1_quality_rules": quality_rules.op1_quality_rules,
+    "op6_packing": packing.op6_packing,
+    "op10_simhash_near_dedup": simhash.op10_simhash_near_dedup,
+}
 SQL = {"op1_quality_rules": quality_rules.SQL}
