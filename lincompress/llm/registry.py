@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from lincompress.llm import packing, quality_rules, simhash
+from lincompress.llm import lm_scoring, packing, quality_rules, simhash
 
 QUERIES = {
     "op1_quality_rules": quality_rules.op1_quality_rules,
     "op6_packing": packing.op6_packing,
+    "op8_lm_scoring": lm_scoring.op8_lm_scoring,
     "op10_simhash_near_dedup": simhash.op10_simhash_near_dedup,
 }
 SQL = {"op1_quality_rules": quality_rules.SQL}
