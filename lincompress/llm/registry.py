@@ -2,12 +2,19 @@
 
 from __future__ import annotations
 
-from lincompress.llm import lm_scoring, packing, quality_rules, simhash
+from lincompress.llm import language_id, license_scan, line_dedup, lm_scoring, packing, quality_classifier, quality_rules, simhash
 
 QUERIES = {
     "op1_quality_rules": quality_rules.op1_quality_rules,
+    "op4_license_scan": license_scan.op4_license_scan,
+    "op5_line_dedup": line_dedup.op5_line_dedup,
     "op6_packing": packing.op6_packing,
+    "op7_language_id": language_id.op7_language_id,
     "op8_lm_scoring": lm_scoring.op8_lm_scoring,
+    "op9_quality_classifier": quality_classifier.op9_quality_classifier,
     "op10_simhash_near_dedup": simhash.op10_simhash_near_dedup,
 }
-SQL = {"op1_quality_rules": quality_rules.SQL}
+SQL = {
+    "op1_quality_rules": quality_rules.SQL,
+    "op5_line_dedup": line_dedup.SQL,
+}
