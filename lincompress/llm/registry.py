@@ -2,11 +2,12 @@
 
 from __future__ import annotations
 
-from lincompress.llm import language_id, license_scan, line_dedup, lm_scoring, packing, piece_sampling, quality_classifier, quality_rules, simhash
+from lincompress.llm import language_id, license_scan, line_dedup, lm_scoring, nn_descent, packing, piece_sampling, quality_classifier, quality_rules, simhash
 
 QUERIES = {
     "op1_quality_rules": quality_rules.op1_quality_rules,
     "op2_piece_sampling": piece_sampling.op2_piece_sampling,
+    "op3_nn_descent": nn_descent.op3_nn_descent,
     "op4_license_scan": license_scan.op4_license_scan,
     "op5_line_dedup": line_dedup.op5_line_dedup,
     "op6_packing": packing.op6_packing,
