@@ -17,6 +17,7 @@ from __future__ import annotations
 
 import math
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -27,35 +28,85 @@ from pyspark.sql import functions as F
 from lincompress.llm.common import materialise, read
 
 LENGTH, QUANTUM, END_ID = 2048, 256, 1
-#: Entries of the cache from space-separated chunk to ids; it is emptied when full.
-CACHE = 400_000
+#: Entries of the caches of a worker, from space-separated chunk and from word to ids; a cache is emptied when full.
+CACHE, WORDS = 400_000, 700_000
+#: Marks that end a word and are a word of their own for the tokenizer when they stand alone.
+MARKS = ".,!?;:"
 
 
 def _encoder(path: str):
-    """Text -> ids as bytes (uint16, little-endian). White space never enters an id, so chunks between it are encoded apart and cached."""
+    """Text -> ids as bytes (uint16, little-endian). White space never enters an id, so chunks between it are encoded apart and cached.
+
+    A new chunk of plain characters is cut into the tokenizer's own words, each of which goes to its merge model once; every
+    other chunk goes through the whole tokenizer. A worker keeps its caches from task to task.
+    """
     import os
+    import sys
+    import types
 
     os.environ["TOKENIZERS_PARALLELISM"] = "false"
-    from tokenizers import Tokenizer
-
-    tok = Tokenizer.from_file(path)
-    if tok.get_vocab_size() > 65536:
-        raise ValueError("ids are kept in 16 bits")
-    cache: dict[bytes, bytes] = {}
-
-    def encode(texts: list[str]) -> list[bytes]:
-        chunks = [x.encode("utf-8", "replace").split() for x in texts]
-        new = list({c for x in chunks for c in x if c not in cache})
-        if len(cache) + len(new) > CACHE:
-            cache.clear()
-            new = list({c for x in chunks for c in x})
-        for k in range(0, len(new), 20_000):
-            part = new[k : k + 20_000]
-            for c, e in zip(part, tok.encode_batch([c.decode() for c in part], add_special_tokens=False), strict=True):
-                cache[c] = np.array(e.ids, "<u2").tobytes()
-        return [b"".join([cache[c] for c in x]) for x in chunks]
-
-    return encode
+    shelf = sys.modules.setdefault("_token_shelf", types.ModuleType("_token_shelf")).__dict__
+    if path not in shelf:
+        shelf[path] = _Encoder(path)
+    return shelf[path].encode
+
+
+class _Encoder:
+    def __init__(self, path: str):
+        import json
+
+        import regex
+        from tokenizers import Tokenizer
+
+        self.tok = Tokenizer.from_file(path)
+        if self.tok.get_vocab_size() > 65536:
+            raise ValueError("ids are kept in 16 bits")
+        with open(path, encoding="utf-8") as f:
+            spec = json.load(f)
+        self.cut = regex.compile(spec["pre_tokenizer"]["pretokenizers"][0]["pattern"]["Regex"]).findall
+        self.plain = regex.compile(r"[!-;=-~\u00a1-\u00ac\u00ae-\u024f]+").fullmatch
+        visible = {*range(33, 127), *range(161, 173), *range(174, 256)}
+        rest = (c for c in range(256) if c not in visible)
+        self.shown = {c: 256 + k for k, c in enumerate(rest)}
+        self.model = self.tok.model.tokenize
+        self.chunks: dict[bytes, bytes] = {}
+        self.words: dict[str, bytes] = {}
+
+    def word(self, word: str) -> bytes:
+        shown = word if word.isascii() else word.encode().decode("latin-1").translate(self.shown)
+        ids = array("H", [t.id for t in self.model(shown)]).tobytes()
+        self.words[word] = ids
+        return ids
+
+    def chunk(self, chunk: bytes) -> bytes:
+        text = chunk.decode()
+        if self.plain(text):
+            text, words = text.lower(), self.words
+            if text.isalpha():
+                parts = (text,)
+            elif text[:-1].isalpha() and text[-1] in MARKS:
+                parts = (text[:-1], text[-1])
+            else:
+                parts = self.cut(text)
+            return b"".join([words.get(w) or self.word(w) for w in parts])
+        return np.array(self.tok.encode(text, add_special_tokens=False).ids, "<u2").tobytes()
+
+    def encode(self, texts: list[str]) -> list[bytes]:
+        if len(self.words) > WORDS:
+            self.words.clear()
+        out, cache = [], self.chunks
+        for text in texts:
+            data = text.encode("utf-8", "replace")
+            parts = (data if b"<|" in data else data.lower()).split()
+            try:
+                out.append(b"".join([cache[c] for c in parts]))
+            except KeyError:
+                if len(cache) > CACHE:
+                    cache.clear()
+                for c in set(parts).difference(cache):
+                    cache[c] = self.chunk(c)
+                out.append(b"".join([cache[c] for c in parts]))
+        return out
 
 
 def tokenise(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
@@ -132,16 +183,22 @@ def pack(docs: DataFrame, path: str, length: int = LENGTH, quantum: int = QUANTU
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for k in range(0, whole.num_rows, 512):
-                out: list[list] = [[] for _ in names]
                 batch = whole.slice(k, 512)
-                for doc, ids, places in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
-                    wide = np.frombuffer(ids.as_buffer(), "<u2").astype("<u4")
-                    for p in places:
-                        part = wide[p["start"] : p["start"] + p["size"]]
-                        row = [doc, p["start"], p["size"], zlib.crc32(part.tobytes()), len(wide), p["sequence_id"], p["offset"]]
-                        for column, x in zip(out, [*row, part.tolist()] if with_ids else row, strict=True):
-                            column.append(x)
-                yield pa.RecordBatch.from_arrays([pa.array(x, pa.list_(pa.int32()) if n == "ids" else pa.int64()) for n, x in zip(names, out, strict=True)], names=names)
+                places = batch.column(2)
+                per_doc = np.diff(places.offsets.to_numpy())
+                start, size, sequence, offset = (np.asarray(x) for x in places.flatten().flatten())
+                wide = [np.frombuffer(x.as_buffer(), "<u2").astype("<u4") for x in batch.column(1)]
+                marks, parts, at, spans = [], [], 0, list(zip(start.tolist(), (start + size).tolist(), strict=True))
+                for ids, n in zip(wide, per_doc.tolist(), strict=True):
+                    view = memoryview(ids).cast("B")
+                    marks += [zlib.crc32(view[4 * a : 4 * b]) for a, b in spans[at : at + n]]
+                    if with_ids:
+                        parts += [ids[a:b].tolist() for a, b in spans[at : at + n]]
+                    at += n
+                tokens = np.repeat([len(x) for x in wide], per_doc)
+                columns = [batch.column(0).take(pa.array(np.repeat(np.arange(len(wide)), per_doc))), start, size, marks, tokens, sequence, offset, *[parts] * with_ids]
+                kinds = [*[pa.int64()] * 7, pa.list_(pa.int32())]
+                yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, kinds[i]) for i, c in enumerate(columns)], names=names)
 
     return joined.mapInArrow(each, PIECES + (", ids array<int>" if with_ids else ""))
 

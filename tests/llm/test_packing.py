@@ -41,6 +41,19 @@ def test_whole_and_exact(spark):
         assert at == 2048 or k == len(seqs) - 1
 
 
+def test_ids_equal_the_tokenizer():
+    import random
+
+    tok, encode = Tokenizer.from_file(PATH), packing._encoder(PATH)
+    rnd = random.Random(4)
+    odd = "aAzZ09.,'!?<|>_ \u00e9\u00c9\u0130\u017f\u00df\u00aa\u00b2\u00bd\u00a0\u0085\x1c\u00ad\u0301\u03a3\u4e00\u2003\ufb01\u212a\U0001f600\u01c5 \n\t"
+    texts = ["".join(rnd.choices(odd, k=rnd.randrange(1, 60))) for _ in range(6000)]
+    texts += ["it's we'LL they've I'm d'x 'Tis x'", "<|startoftext|>a <|endoftext|>", "\u0130stanbul \u0178 \u01c4 \u0149a"]
+    texts += [chr(c) + "a" + chr(c) for c in range(1, 0x250)]
+    for t in texts:
+        assert np.frombuffer(encode([t])[0], "<u2").tolist() == tok.encode(t, add_special_tokens=False).ids, repr(t)
+
+
 def test_windows_hold_target_shares(spark):
     rows = [(i, i, "abc"[0 if i % 6 < 3 else 1 if i % 6 < 5 else 2], 300 + i % 7) for i in range(600)]
     lengths = spark.createDataFrame(rows, "row long, doc_id long, source string, n long")
