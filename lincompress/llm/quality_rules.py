@@ -105,7 +105,8 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The kept documents without their removed lines, in the columns of the input."""
     others = [c for c in docs.columns if c not in ("doc_id", "text")]
-    good = judge(docs, keep=others).where("kept")
+    # the row number keeps Spark from repeating the counts, lambdas and all, inside a filter below them
+    good = judge(docs, keep=others).withColumn("_row", F.monotonically_increasing_id()).where("kept and _row >= 0")
     given = {"doc_id": F.col("doc_id"), "text": F.col("clean_text")} | {c: F.col(f"`keep_{c}`") for c in others}
     if "n_chars" in given:
         given["n_chars"] = F.when(F.col("removed_lines") > 0, F.length("clean_text").cast("long")).otherwise(F.col("keep_n_chars")).cast(docs.schema["n_chars"].dataType)
