@@ -115,7 +115,8 @@ def coverage(df: DataFrame, spec: ModelSpec, arm: str, tau: float, seeds: range,
         i = fit.names.index(arm)
         errors.append(fit.coef[i, 0] - tau)
         inside += abs(errors[-1]) <= 1.959963984540054 * fit.se()[i]
-    return {"bias": float(np.mean(errors)), "sd": float(np.std(errors)), "coverage": inside / len(seeds), "rejected": 1 - inside / len(seeds)}
+    share = float(inside) / len(seeds)
+    return {"bias": float(np.mean(errors)), "sd": float(np.std(errors)), "coverage": share, "rejected": 1 - share}
 
 
 def slope(points: list[tuple[float, float]]) -> float:

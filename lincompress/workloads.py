@@ -679,9 +679,15 @@ def _(s, d):
     return values(s, [(round(float(full.rss[0] - lossy.rss[0]) / 1e6, 0),)], "deficit double")
 
 
-@query("measure_passes", "SELECT unnest(range(1, 5)) AS outcomes, unnest(range(1, 5)) AS frequency_passes, 1 AS stats_passes".replace("range(1, 5)", "[1, 2, 3, 4]"))
+_RECORDS = lambda y: f"(SELECT count(*) FROM (SELECT DISTINCT rf, ls, disc, {y} FROM ({LINE})))"
+
+
+@query("measure_passes", f"SELECT o AS outcomes, o AS frequency_passes, CASE o WHEN 1 THEN {_RECORDS('qty')} WHEN 2 THEN {_RECORDS('qty')} + {_RECORDS('tax')} ELSE {_RECORDS('qty')} + {_RECORDS('tax')} + {_RECORDS('price')} END AS frequency_records, 1 AS stats_passes, (SELECT count(*) FROM (SELECT DISTINCT rf, ls, disc FROM ({LINE}))) AS stats_records FROM (VALUES (1), (2), (3)) v(o)")
 def _(s, d):
-    return values(s, [(o, o, 1) for o in range(1, 5)], "outcomes int, frequency_passes int, stats_passes int")
+    rows, ys = line(s, d), ("qty", "tax", "price")
+    each = [C.compress_frequency(rows, replace(CELLS, outcomes=(y,))).df.count() for y in ys]
+    out = [(o, o, sum(each[:o]), 1, C.compress_stats(rows, replace(CELLS, outcomes=ys[:o])).df.count()) for o in range(1, 4)]
+    return values(s, out, "outcomes int, frequency_passes int, frequency_records long, stats_passes int, stats_records long")
 
 
 @query("measure_power")
