@@ -11,8 +11,9 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from lincompress.operators import baselines, compress as C, explore, measures
-from lincompress.operators.fit import COMPRESSIONS, cate, effect_over_time, fit_compressed, fit_linear, fit_lpm, fit_moments_expanded, mean_variance, posterior, predict
+from lincompress.operators.fit import COMPRESSIONS, cate, effect_over_time, fit_compressed, fit_linear, fit_lpm, fit_moments_expanded, linear, mean_variance, posterior, predict
 from lincompress.operators.glm import fit_glm, fit_logistic, loglik_grad
+from lincompress.operators.gram import dense, gram_long, gram_packed
 from lincompress.oracles import LINE, ORDERS, PANEL, two_parameters
 from lincompress.plans import binning
 from lincompress.plans.design import ModelSpec, cat, expr, inter, num, parse_formula, poly, resolve
@@ -642,6 +643,57 @@ def _(s, d):
     return values(s, [(round(float(fit_compressed(C.compress_stats(line(s, d), ModelSpec("price", (poly("qty", 2),)))).coef[1, 0]), 3),)], "linear double")
 
 
+# ---- many features ------------------------------------------------------------------------------------------------------
+
+def _parts(s, d):
+    parts = load(s, d, "part").select("p_partkey", "p_brand", "p_type")
+    rows = load(s, d, "lineitem").select("l_partkey", "l_quantity").join(parts, F.col("l_partkey") == F.col("p_partkey"))
+    return rows.select(F.col("p_brand").alias("brand"), F.col("p_type").alias("kind"), F.col("l_quantity").alias("qty"))
+
+
+@query("wide_dummies", "SELECT p_brand AS brand, p_type AS kind, round(avg(l_quantity), 6) AS fitted FROM lineitem JOIN part ON l_partkey = p_partkey GROUP BY p_brand, p_type")
+def _(s, d):
+    """Brand by type dummies with all products (about 150 columns): the fit of a saturated model is the cell mean."""
+    rows = _parts(s, d)
+    spec = resolve(rows, parse_formula("qty ~ C(brand)*C(kind)"))
+    cf = C.compress_stats(rows, spec).cache()
+    fit = fit_compressed(cf, on_alias="drop")
+    return cf.df.select("brand", "kind", F.round(linear(fit.coef[:, 0], [c for _, c in spec.design()]), 6).alias("fitted"))
+
+
+@query("wide_gram_forms", "SELECT true AS packed_equals_long")
+def _(s, d):
+    rows = _parts(s, d)
+    cf = C.compress_stats(rows, resolve(rows, parse_formula("qty ~ C(brand) + C(kind)"))).cache()
+    a, b = gram_packed(cf), dense(gram_long(cf), len(cf.spec.design()))
+    return values(s, [(bool(np.allclose(a, b)),)], "packed_equals_long boolean")
+
+
+@query("wide_vectors")
+def _(s, d):
+    """Label on 64 components that never repeat: compression can't help, the packed Gram still fits it in one pass."""
+    rows = load(s, d, "embeddings").select(F.col("label").cast("double").alias("y"), *[F.get("embedding", i).cast("double").alias(f"x{i}") for i in range(64)])
+    return table(s, fit_compressed(C.uncompressed(rows, ModelSpec("y", tuple(num(f"x{i}") for i in range(64)))), "ehw"), 6)
+
+
+@query("solve_in_sql", f"SELECT round(regr_slope(price, disc), 4) AS slope, round(regr_intercept(price, disc), 4) AS intercept FROM ({LINE})")
+def _(s, d):
+    """Two coefficients as one expression over the compressed rows, nothing on the driver."""
+    w, x, y = F.col("cnt"), F.col("disc"), F.col("sy_price")
+    a, b, c, p, q = (F.sum(v) for v in (w, w * x, w * x * x, y, x * y))
+    det = a * c - b * b
+    return C.compress_stats(line(s, d), X).df.agg(F.round((a * q - b * p) / det, 4).alias("slope"), F.round((c * p - b * q) / det, 4).alias("intercept"))
+
+
+@query("logistic_sandwich")
+def _(s, d):
+    """Robust and cluster errors of the logistic coefficients."""
+    spec = ModelSpec("is_f", (num("arm"),), cluster="cust")
+    cf = C.compress_binary(orders(s, d), spec, cluster=True)
+    out = [(n, float(b), float(r), float(c)) for n, b, r, c in zip(("(intercept)", "arm"), fit_logistic(cf).coef, fit_logistic(cf, sandwich="ehw").se(), fit_logistic(cf, sandwich="cluster").se(), strict=True)]
+    return values(s, out, "term string, coef double, se_ehw double, se_cluster double")
+
+
 # ---- measures -----------------------------------------------------------------------------------------------------------
 
 @query("measure_ratio", f"SELECT 'frequency' AS kind, count(*) AS n, (SELECT count(*) FROM (SELECT DISTINCT rf, ls, disc, qty FROM ({LINE}))) AS records FROM lineitem UNION ALL SELECT 'means', count(*), (SELECT count(*) FROM (SELECT DISTINCT rf, ls, disc FROM ({LINE}))) FROM lineitem UNION ALL SELECT 'stats', count(*), (SELECT count(*) FROM (SELECT DISTINCT rf, ls, disc FROM ({LINE}))) FROM lineitem UNION ALL SELECT 'none', count(*), count(*) FROM lineitem")
