@@ -196,6 +196,29 @@ def compress_static(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> Com
     return CompressedFrame(out, "static", spec, {"roles": roles})
 
 
+def compress_trend(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> CompressedFrame:
+    """Static compression when the only dynamic feature is the period, a whole number without gaps in each cluster.
+
+    The moments of the periods then follow from their first and last; only the product with y is summed. A gap or a repeat is an error.
+    """
+    roles = _roles(df, spec)
+    if [t for t in spec.terms if t.kind != "inter" and any(roles[k] == "dynamic" for k, _ in t.keys) and (t.kind, t.name) != ("num", spec.time)]:
+        raise ValueError("only a linear trend in the time column has closed moments")
+    static = [k for k in spec.keys if roles[k] == "static"]
+    t = F.col(f"`{spec.time}`").cast("double")
+    aggs = [F.count(F.lit(1)).alias("cnt"), F.min(t).alias("_lo"), F.max(t).alias("_hi"), F.count_distinct(t).alias("_t")]
+    for y in spec.outcomes:
+        c = F.col(f"`{y}`").cast("double")
+        aggs += [F.sum(c).alias(f"sy_{y}"), F.sum(c * c).alias(f"syy_{y}"), F.array(F.sum(t * c)).alias(f"dy_{y}")]
+    rows = keyed(df, spec, spec.cluster, nulls=nulls).groupBy(*[f"`{k}`" for k in dict.fromkeys([spec.cluster, *static])]).agg(*aggs)
+    lo, hi, n = F.col("_lo"), F.col("_hi"), F.col("cnt").cast("double")
+    whole = (F.col("_t") == F.col("cnt")) & (hi - lo + 1 == n)
+    n = F.when(whole, n).otherwise(F.raise_error(F.lit("periods of a cluster have gaps or repeats")).cast("double"))
+    upto = lambda m: m * (m + 1) * (2 * m + 1) / 6
+    rows = rows.withColumns({"dsum": F.array((lo + hi) * n / 2), "dd": F.array(upto(hi) - upto(lo - 1) + 0 * n)}).drop("_lo", "_hi", "_t")
+    return CompressedFrame(rows, "static", spec, {"roles": roles})
+
+
 class Unbalanced(ValueError):
     """Clusters don't share one set of periods; compress_static takes such panels."""
 

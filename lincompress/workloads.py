@@ -153,6 +153,17 @@ def _(s, d):
     return df.select("user_id", "arm", "cnt", F.col("sy_y").alias("sy"), F.col("syy_y").alias("syy"), F.get("dsum", 0).alias("dsum"), F.get("dy_y", 0).alias("dy"), F.get("dd", 0).alias("dd"))
 
 
+@query("compress_trend", SQL["compress_static"])
+def _(s, d):
+    df = C.compress_trend(panel(s, d), PANEL_SPEC).df
+    return df.select("user_id", "arm", "cnt", F.col("sy_y").alias("sy"), F.col("syy_y").alias("syy"), F.get("dsum", 0).alias("dsum"), F.get("dy_y", 0).alias("dy"), F.get("dd", 0).alias("dd"))
+
+
+@query("panel_interaction_trend")
+def _(s, d):
+    return table(s, fit_compressed(C.compress_trend(panel(s, d), PANEL_INTER), "cluster"), 6)
+
+
 @query("compress_balanced_units", f"SELECT user_id, arm::INT AS arm, sum(y) AS sy, string_agg(y::INT::VARCHAR, ',' ORDER BY t) AS ys FROM ({PANEL}) GROUP BY user_id, arm")
 def _(s, d):
     df = C.compress_balanced(panel(s, d), PANEL_SPEC).df

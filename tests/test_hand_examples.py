@@ -87,6 +87,16 @@ def test_interaction_after_compression(panel):
     assert np.allclose(fit_moments_expanded(C.compress_cluster_moments(panel, PANEL)).cov[0], slim.cov[0])
 
 
+def test_trend_has_closed_moments(panel):
+    fit = fit_compressed(C.compress_trend(panel, PANEL), "cluster")
+    assert np.allclose(fit.coef[:, 0], [4 / 3, 5 / 12, 1, 5 / 4]) and np.allclose(np.diag(fit.cov[0]), [1 / 72, 53 / 288, 1 / 8, 5 / 32])
+    shorter = panel.where("not (u = 2 and t = 0)")
+    a, b = fit_compressed(C.compress_trend(shorter, PANEL), "cluster"), fit_compressed(C.uncompressed(shorter, PANEL), "cluster")
+    assert np.allclose(a.cov[0], b.cov[0])
+    with pytest.raises(Exception, match="gaps"):
+        C.compress_trend(panel.where("not (u = 2 and t = 1)"), PANEL).df.collect()
+
+
 def test_unbalanced_is_refused_and_static_takes_it(panel):
     part = panel.where("not (u = 2 and t = 1)")
     with pytest.raises(C.Unbalanced):
