@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from lincompress.llm.common import materialise
+from lincompress.llm.common import materialise, remove
 
 
 def _least(sym: DataFrame) -> DataFrame:
@@ -41,6 +41,7 @@ def roots(edges: DataFrame, most_rounds: int = 60) -> DataFrame:
             break
         after = materialise(_small(_large(now)), "edges")
         new = _mark(after)
+        remove(now)
         now, old, mark = after, mark, new
         if new == old:
             break

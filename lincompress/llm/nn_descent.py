@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from lincompress.llm.common import materialise, read
+from lincompress.llm.common import materialise, read, remove
 
 EVERY, TOP = 50, 5
 NEIGHBOURS, REVERSE, ROUNDS, ENOUGH = 32, 32, 8, 0.01
@@ -300,7 +300,8 @@ def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse:
     now = materialise(_seed(nodes, blocks, k, dim), "graph")
     for turn in range(rounds):
         drawn = now.groupBy("block").applyInArrow(tell, MESSAGE).groupBy("block").applyInArrow(step(turn * 7919 + 1), MESSAGE)
-        now = materialise(drawn.groupBy("block").applyInArrow(lambda t: _join(t, dim, blocks, reverse), MESSAGE), "graph")
+        old, now = now, materialise(drawn.groupBy("block").applyInArrow(lambda t: _join(t, dim, blocks, reverse), MESSAGE), "graph")
+        remove(old)
         _tidy(nodes.sparkSession)
         offered = now.where(F.col("kind") == UPDATE).agg(F.sum("size")).first()[0] or 0
         if offered <= enough * count * k:
@@ -447,7 +448,8 @@ def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int
         if not now.where(F.col("kind") == ASK).limit(1).count():
             break
         heard = index.groupBy("block").cogroup(now.groupBy("block")).applyInArrow(answer, MESSAGE)
-        now = materialise(heard.groupBy("block").applyInArrow(go_on, MESSAGE), "search")
+        old, now = now, materialise(heard.groupBy("block").applyInArrow(go_on, MESSAGE), "search")
+        remove(old)
         _tidy(index.sparkSession)
 
     def best(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
