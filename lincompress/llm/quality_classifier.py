@@ -84,16 +84,19 @@ def densities(model: dict, x: np.ndarray, k: int) -> np.ndarray:
     return log_prior - 0.5 * (log_det + (z * z).sum(axis=1))
 
 
+def scores(model: dict | None, x: np.ndarray) -> np.ndarray:
+    x = x.reshape(-1, len(NAMES))
+    if model is None or model["only"] is not None:
+        return np.full(len(x), 0.5 if model is None else model["only"])
+    return 1 / (1 + np.exp(-np.clip(densities(model, x, 1) - densities(model, x, 0), -700, 700)))
+
+
 def scored(frame: DataFrame, model: dict | None) -> DataFrame:
     """doc_id and score for rows of doc_id and x."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            x = np.array(batch.column(1).to_pylist(), float).reshape(-1, len(NAMES))
-            if model is None or model["only"] is not None:
-                score = np.full(len(x), 0.5 if model is None else model["only"])
-            else:
-                score = 1 / (1 + np.exp(-np.clip(densities(model, x, 1) - densities(model, x, 0), -700, 700)))
+            score = scores(model, np.array(batch.column(1).to_pylist(), float))
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(score)], names=["doc_id", "score"])
 
     return frame.select("doc_id", "x").mapInArrow(each, "doc_id long, score double")
@@ -115,16 +118,18 @@ def op9_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents that are not predicted 0. The score depends on the text alone, so it is computed beside each row."""
     labels = read(spark, sf_dir, "labels").where("quality is not null").groupBy(F.col("doc_id").cast("long").alias("doc_id")).agg(F.max("quality").alias("quality"))
-    train = docs.select("doc_id", "text").where(remainder(F.col("doc_id"), MODULUS) != HELD).join(labels.select("doc_id"), "doc_id", "left_semi")
-    model = fit(features(train).join(labels, "doc_id").select("x", "quality"))
+    # statistics are made before the join with the labels, so no text is shuffled
+    train = features(docs.where(remainder(F.col("doc_id"), MODULUS) != HELD))
+    model = fit(train.join(labels, "doc_id").select("x", "quality"))
 
-    @F.pandas_udf("double")
-    def score(texts):
-        import pandas as pd
+    if model is None:
+        return docs
+    text = docs.columns.index("text")
 
-        if model is None or model["only"] is not None:
-            return pd.Series([0.5 if model is None else model["only"]] * len(texts))
-        x = np.array([statistics(t) for t in texts], float).reshape(-1, len(NAMES))
-        return pd.Series(1 / (1 + np.exp(-np.clip(densities(model, x, 1) - densities(model, x, 0), -700, 700))))
+    def keep(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for whole in batches:
+            for k in range(0, whole.num_rows, 512):
+                batch = whole.slice(k, 512)
+                yield batch.filter(pa.array(scores(model, np.array([statistics(t.as_py()) for t in batch.column(text)], float)) >= KEEP))
 
-    return docs.where((score("text") >= KEEP) if model is not None else F.lit(True))
+    return docs.mapInArrow(keep, docs.schema)
