@@ -29,7 +29,7 @@ from pyspark.sql import functions as F
 
 from lincompress.llm.common import read
 
-SHARPNESS, BATCH = 1.0, 4 << 20
+SHARPNESS, BATCH = 1.0, 6 << 20
 #: Weights are scaled by this factor for each byte, so that long units neither vanish nor overflow.
 PER_BYTE = 12.0
 #: Units beyond this number of bytes take their forward pass in logarithms.
@@ -55,18 +55,18 @@ class Vocabulary:
         least = min((w for _, _, w in pieces), default=1.0)
         self.byte_weight, self.byte_ids = least, np.array([byte_ids.get(b, -1) for b in range(256)])
         self.longest = max((len(b) for _, b, _ in pieces), default=0)
-        whole, prefix = defaultdict(list), defaultdict(set)
+        known: dict[int, dict[int, tuple[int, float]]] = defaultdict(dict)
         for i, b, w in pieces:
             h = 0
             for k, c in enumerate(b, 1):
                 h = (h * int(_BASE) + c + 1) % 2**64
-                prefix[k].add(h)
-            whole[len(b)].append((h, i, w))
-        self.prefix = {k: np.array(sorted(v), np.uint64) for k, v in prefix.items()}
-        self.whole = {}
-        for k, v in whole.items():
-            v.sort()
-            self.whole[k] = (np.array([h for h, _, _ in v], np.uint64), np.array([i for _, i, _ in v]), np.array([w for _, _, w in v]))
+                known[k].setdefault(h, (-1, 0.0))
+            known[len(b)][h] = (i, w)
+        # by length: sorted hashes of all prefixes, with the piece (or -1) and its weight
+        self.known = {}
+        for k, v in known.items():
+            hashes = sorted(v)
+            self.known[k] = (np.array(hashes, np.uint64), np.array([v[h][0] for h in hashes], np.int32), np.array([v[h][1] for h in hashes]))
         feed = b"\n" if not any(b"\n" in b for _, b, _ in pieces) else b""
         self.units = re.compile(rb" +[^ \n]*|\n|[^ \n]+" if feed else rb" +[^ ]*|[^ ]+").findall
         size = max(self.text, default=-1) + 1
@@ -91,11 +91,11 @@ class Vocabulary:
     def edges(self, data: np.ndarray, unit_end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
         """Start, length, piece and weight of every edge in the joined bytes of units; unit_end: end of each byte's unit."""
         first = (data & 0xC0) != 0x80
-        at, h = np.flatnonzero(first), None
+        at = np.flatnonzero(first).astype(np.int32)
         out = []
         alone = np.zeros(len(data), bool)
         width = np.diff(np.r_[at, len(data)])
-        width_at = np.zeros(len(data), np.int64)
+        width_at = np.zeros(len(data), np.int32)
         width_at[at] = width
         h = np.zeros(len(at), np.uint64)
         with np.errstate(over="ignore"):
@@ -103,24 +103,22 @@ class Vocabulary:
                 fits = at + k <= unit_end[at]
                 at, h = at[fits], h[fits]
                 h = h * _BASE + data[at + k - 1].astype(np.uint64) + np.uint64(1)
-                known = self.prefix[k]
-                where = np.minimum(np.searchsorted(known, h), len(known) - 1)
-                live = known[where] == h
-                at, h = at[live], h[live]
+                hashes, ids, weights = self.known[k]
+                where = np.searchsorted(hashes, h)
+                where[where == len(hashes)] = 0
+                live = np.flatnonzero(hashes[where] == h)
+                at, h, where = at[live], h[live], where[live]
                 if not len(at):
                     break
-                if k in self.whole:
-                    hashes, ids, weights = self.whole[k]
-                    where = np.minimum(np.searchsorted(hashes, h), len(hashes) - 1)
-                    hit = hashes[where] == h
-                    start = at[hit]
-                    out.append((start, np.full(len(start), k), ids[where[hit]], weights[where[hit]]))
-                    alone[start[width_at[start] == k]] = True
+                hit = np.flatnonzero(ids[where] >= 0)
+                start, where = at[hit], where[hit]
+                out.append((start, np.full(len(start), k, np.int32), ids[where], weights[where]))
+                alone[start[width_at[start] == k]] = True
         lost = np.flatnonzero(first & ~alone)
         if len(lost):
             w = width_at[lost]
             at = np.repeat(lost - (np.cumsum(w) - w), w) + np.arange(int(w.sum()))
-            out.append((at, np.ones(len(at), np.int64), self.byte_ids[data[at]], np.full(len(at), self.byte_weight)))
+            out.append((at, np.ones(len(at), np.int32), self.byte_ids[data[at]], np.full(len(at), self.byte_weight)))
         if not out:
             return tuple(np.zeros(0, np.int64) for _ in range(3)) + (np.zeros(0),)
         return tuple(np.concatenate(x) for x in zip(*out, strict=True))
@@ -137,48 +135,58 @@ def _forward(units: list[bytes], vocabulary: Vocabulary):
     sizes = np.array([len(u) for u in units], np.int64)
     data = np.frombuffer(b"".join(units), np.uint8)
     starts = np.cumsum(sizes) - sizes
-    owner = np.repeat(np.arange(len(units)), sizes)
-    begin, length, piece, weight = vocabulary.edges(data, (starts + sizes)[owner])
+    owner = np.repeat(np.arange(len(units), dtype=np.int32), sizes)
+    begin, length, piece, weight = vocabulary.edges(data, (starts + sizes).astype(np.int32)[owner])
     unit = owner[begin]
     # a unit has one node more than bytes: node of byte b of unit u is b + u
-    source, target = begin + unit, begin + length + unit
-    depth = begin + length - starts[unit]
-    order = np.lexsort((target, depth))
-    source, target, piece, unit, depth = source[order], target[order], piece[order], unit[order], depth[order]
-    length = length[order]
-    log_weight = np.log(weight[order])
-    long = sizes[unit] > LONG
-    scaled = np.exp(log_weight) * PER_BYTE**length
+    source = begin.astype(np.int32) + unit
+    length = length.astype(np.int32)
+    target = source + length
+    depth = target - unit - starts.astype(np.int32)[unit]
+    deepest = int(depth.max()) if len(depth) else 0
+    depth = depth.astype(np.uint16 if deepest < 65536 else np.int64)
+    del begin, owner
+    # the edges of one length are in order already, so a merging sort by end is cheap, and one by small depths is by digits
+    order = np.argsort(target, kind="stable")
+    source, target, piece, length, weight, depth = source[order], target[order], piece[order].astype(np.int32), length[order], weight[order], depth[order]
+    unit = unit[order] if sizes.max(initial=0) > LONG else None
+    order = np.argsort(depth, kind="stable")
+    scaled = weight * PER_BYTE ** np.arange(vocabulary.longest + 2.0)[length]
+    first = starts + np.arange(len(units))
     total = np.zeros(len(data) + len(units))
-    total[starts + np.arange(len(units))] = 1.0
-    logs = np.full(len(total), -np.inf) if long.any() else None
-    if logs is not None:
-        logs[starts + np.arange(len(units))] = 0.0
-    share = np.zeros(len(source))
+    total[first] = 1.0
+    from_node, to_node, scaled, depth = source[order], target[order], scaled[order], depth[order]
+    logs = None
+    if unit is not None:
+        logs, log_weight, long = np.full(len(total), -np.inf), np.log(weight)[order], (sizes[unit] > LONG)[order]
+        logs[first] = 0.0
+    del weight, unit
+    by_depth = np.zeros(len(source))
     cuts = np.flatnonzero(np.r_[True, depth[1:] != depth[:-1], True]) if len(depth) else np.zeros(1, int)
     for a, b in zip(cuts[:-1], cuts[1:], strict=True):
-        t = target[a:b]
+        t = to_node[a:b]
         group = np.flatnonzero(np.r_[True, t[1:] != t[:-1]])
         spread = np.diff(np.r_[group, len(t)])
         if depth[a] <= LONG:
-            x = total[source[a:b]] * scaled[a:b]
+            x = total[from_node[a:b]] * scaled[a:b]
             s = np.add.reduceat(x, group)
             total[t[group]] = s
-            share[a:b] = np.divide(x, np.repeat(s, spread), out=np.zeros(b - a), where=np.repeat(s, spread) > 0)
+            s = np.repeat(s, spread)
+            by_depth[a:b] = np.divide(x, s, out=np.zeros(b - a), where=s > 0)
         if logs is not None:
-            x = logs[source[a:b]] + log_weight[a:b]
+            x = logs[from_node[a:b]] + log_weight[a:b]
             m = np.maximum.reduceat(x, group)
             e = np.exp(x - np.repeat(m, spread))
             s = np.add.reduceat(e, group)
             logs[t[group]] = m + np.log(s)
-            share[a:b] = np.where(long[a:b], e / np.repeat(s, spread), share[a:b])
-    order = np.argsort(target, kind="stable")
-    source, target, piece, share, length = source[order], target[order], piece[order], share[order], length[order]
+            by_depth[a:b] = np.where(long[a:b], e / np.repeat(s, spread), by_depth[a:b])
+    share = np.empty_like(by_depth)
+    share[order] = by_depth
+    del from_node, to_node, scaled, by_depth, order
     group = np.flatnonzero(np.r_[True, target[1:] != target[:-1]]) if len(target) else np.zeros(0, int)
     running = np.cumsum(share)
     running -= np.repeat(running[group] - share[group], np.diff(np.r_[group, len(target)]))
-    node_first = starts + np.arange(len(units))
-    return node_first, sizes, source, target, piece, share, length, running
+    return first, sizes, source, target, piece, share, length, running
 
 
 def encode_batch(texts: list[bytes], keys: np.ndarray, vocabulary: Vocabulary) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -188,28 +196,32 @@ def encode_batch(texts: list[bytes], keys: np.ndarray, vocabulary: Vocabulary) -
     per_text = np.array([len(x) for x in found], np.int64)
     which = np.fromiter((names[u] for x in found for u in x), np.int64, int(per_text.sum()))
     node_first, sizes, source, target, piece, share, length, running = _forward(list(names), vocabulary)
-    upto = target + running
-    last = np.searchsorted(target, np.arange(len(node_first) + int(sizes.sum())), side="right") - 1
+    cuts = np.searchsorted(target, np.arange(len(node_first) + int(sizes.sum()) + 1)).astype(np.int32)
     text_of = np.repeat(np.arange(len(texts)), per_text)
     end = np.cumsum(sizes[which])
     text_size = np.array([len(t) + 1 for t in texts], np.int64)
     text_start = np.cumsum(text_size) - text_size
-    pieces = np.full(int(text_size.sum()) + 1, -1, np.int32)
+    chosen = np.full(int(text_size.sum()) + 1, -1, np.int32)
     with np.errstate(over="ignore"):
-        seed = (keys.astype(np.uint64) + np.uint64(0x632BE59BD9B4E019)) * np.uint64(0xD1342543DE82EF95)
-    logs = np.zeros(len(texts))
-    node, stop = node_first[which] + sizes[which], node_first[which]
+        seed = ((keys.astype(np.uint64) + np.uint64(0x632BE59BD9B4E019)) * np.uint64(0xD1342543DE82EF95))[text_of]
+    place, node, stop = end - text_start[text_of], node_first[which] + sizes[which], node_first[which]
     while len(node):
-        u = _random(seed[text_of], end - text_start[text_of])
-        e = np.minimum(np.searchsorted(upto, node + u, side="right"), last[node])
-        pieces[end] = piece[e]
-        logs += np.bincount(text_of, np.log(share[e]), len(texts))
-        node, end = source[e], end - length[e]
-        more = node > stop
-        node, stop, end, text_of = node[more], stop[more], end[more], text_of[more]
-    there = pieces >= 0
+        u, e, last = _random(seed, place), cuts[node], cuts[node + 1] - 1
+        behind = np.flatnonzero((running[e] <= u) & (e < last))
+        while len(behind):
+            e[behind] += 1
+            now = e[behind]
+            behind = behind[(running[now] <= u[behind]) & (now < last[behind])]
+        chosen[end] = e
+        node, step = source[e], length[e]
+        more = np.flatnonzero(node > stop)
+        step = step[more]
+        node, stop, end, place, seed = node[more], stop[more], end[more] - step, place[more] - step, seed[more]
+    there = chosen >= 0
     counts = np.add.reduceat(there[1:].astype(np.int64), text_start) if len(texts) else np.zeros(0, np.int64)
-    return pieces[there], counts, logs
+    edge = chosen[there]
+    begins = np.cumsum(counts) - counts
+    return piece[edge], counts, np.add.reduceat(np.log(share[edge]), begins) if len(texts) else np.zeros(0)
 
 
 def _loaded(path: str, sharpness: float) -> Vocabulary:
