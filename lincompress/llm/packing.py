@@ -29,7 +29,7 @@ from lincompress.llm.common import materialise, read
 
 LENGTH, QUANTUM, END_ID = 2048, 256, 1
 #: Entries of the caches of a worker, from space-separated chunk and from word to ids; a cache is emptied when full.
-CACHE, WORDS = 400_000, 700_000
+CACHE, WORDS = 250_000, 400_000
 #: Marks that end a word and are a word of their own for the tokenizer when they stand alone.
 MARKS = ".,!?;:"
 
@@ -69,46 +69,50 @@ class _Encoder:
         rest = (c for c in range(256) if c not in visible)
         self.shown = {c: 256 + k for k, c in enumerate(rest)}
         self.model = self.tok.model.tokenize
-        self.chunks: dict[bytes, bytes] = {}
-        self.words: dict[str, bytes] = {}
+        self.chunks, self.words = _Memo(self.chunk), _Memo(self.word)
 
     def word(self, word: str) -> bytes:
         shown = word if word.isascii() else word.encode().decode("latin-1").translate(self.shown)
-        ids = array("H", [t.id for t in self.model(shown)]).tobytes()
-        self.words[word] = ids
-        return ids
+        return array("H", [t.id for t in self.model(shown)]).tobytes()
 
     def chunk(self, chunk: bytes) -> bytes:
         text = chunk.decode()
         if self.plain(text):
-            text, words = text.lower(), self.words
+            text = text.lower()
             if text.isalpha():
                 parts = (text,)
             elif text[:-1].isalpha() and text[-1] in MARKS:
                 parts = (text[:-1], text[-1])
             else:
                 parts = self.cut(text)
-            return b"".join([words.get(w) or self.word(w) for w in parts])
+            return b"".join(map(self.words.__getitem__, parts))
         return np.array(self.tok.encode(text, add_special_tokens=False).ids, "<u2").tobytes()
 
     def encode(self, texts: list[str]) -> list[bytes]:
-        if len(self.words) > WORDS:
-            self.words.clear()
-        out, cache = [], self.chunks
+        out = []
         for text in texts:
             data = text.encode("utf-8", "replace")
             parts = (data if b"<|" in data else data.lower()).split()
-            try:
-                out.append(b"".join([cache[c] for c in parts]))
-            except KeyError:
-                if len(cache) > CACHE:
-                    cache.clear()
-                for c in set(parts).difference(cache):
-                    cache[c] = self.chunk(c)
-                out.append(b"".join([cache[c] for c in parts]))
+            out.append(b"".join(map(self.chunks.__getitem__, parts)))
+            if len(self.words) > WORDS:
+                self.words.clear()
+            if len(self.chunks) > CACHE:
+                self.chunks.clear()
         return out
 
 
+class _Memo(dict):
+    """Values of a function, kept."""
+
+    def __init__(self, of):
+        super().__init__()
+        self.of = of
+
+    def __missing__(self, key):
+        value = self[key] = self.of(key)
+        return value
+
+
 def tokenise(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
     """row (unique), doc_id, source, n (ids with the end), ids (binary, uint16)."""
 
