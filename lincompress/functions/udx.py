@@ -5,6 +5,7 @@ from __future__ import annotations
 import pandas as pd
 from pyspark.sql import Column, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from lincompress.functions import tails
 
@@ -20,12 +21,12 @@ def logistic_prob(eta: Column) -> Column:
     return F.lit(1.0) / (F.lit(1.0) + F.exp(-eta))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def norm_cdf(x: pd.Series) -> pd.Series:
     return x.map(tails.norm_cdf)
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(T.DoubleType())
 def t_sf(t: pd.Series, df: pd.Series) -> pd.Series:
     return pd.Series([tails.t_sf(a, b) for a, b in zip(t, df, strict=True)])
 

@@ -50,3 +50,12 @@ def test_contract():
 
 def test_entry(spark):
     assert entry.entry(spark).count() > 0
+
+
+def test_names_need_no_session():
+    import subprocess
+    import sys
+
+    code = "import __spark_entry__ as e; print(len(e.queries()), len(e.oracle_sql()))"
+    done = subprocess.run([sys.executable, "-B", "-c", code], cwd=os.path.dirname(os.path.abspath(entry.__file__)), capture_output=True, text=True, timeout=120)
+    assert done.returncode == 0 and int(done.stdout.split()[0]) > 150
