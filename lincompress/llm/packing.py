@@ -31,7 +31,7 @@ LENGTH, QUANTUM, END_ID = 2048, 256, 1
 #: Entries of the caches of a worker, from space-separated chunk and from word to ids; a cache is emptied when full.
 CACHE, WORDS = 250_000, 400_000
 #: Marks that end a word and are a word of their own for the tokenizer when they stand alone.
-MARKS = ".,!?;:"
+MARKS = (b".", b",", b"!", b"?", b";", b":")
 
 
 def _encoder(path: str):
@@ -76,12 +76,16 @@ class _Encoder:
         return array("H", [t.id for t in self.model(shown)]).tobytes()
 
     def chunk(self, chunk: bytes) -> bytes:
+        if chunk.isalpha():  # ASCII letters only, as of bytes
+            return self.words[chunk.lower().decode()]
+        if chunk[-1:] in MARKS and chunk[:-1].isalpha():
+            return self.words[chunk[:-1].lower().decode()] + self.words[chunk[-1:].decode()]
         text = chunk.decode()
         if self.plain(text):
             text = text.lower()
             if text.isalpha():
                 parts = (text,)
-            elif text[:-1].isalpha() and text[-1] in MARKS:
+            elif text[:-1].isalpha() and text[-1].encode() in MARKS:
                 parts = (text[:-1], text[-1])
             else:
                 parts = self.cut(text)
