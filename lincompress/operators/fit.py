@@ -70,7 +70,7 @@ def linear(coef: np.ndarray, x: list[Column]) -> Column:
     pairs = [(float(b), c) for b, c in zip(coef, x, strict=True) if b]
     if not pairs:
         return F.lit(0.0)
-    if len(pairs) > 60:
+    if len(pairs) > 12:  # deep sums take the optimizer long
         return F.aggregate(F.zip_with(F.array(*[F.lit(b) for b, _ in pairs]), F.array(*[c for _, c in pairs]), lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b)
     out = pairs[0][1] * pairs[0][0]
     for b, c in pairs[1:]:

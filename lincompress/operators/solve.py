@@ -26,6 +26,16 @@ class Aliased(ValueError):
         self.columns = columns
 
 
+def _lower_inverse(lower: np.ndarray) -> np.ndarray:
+    """Inverse of a lower triangle by forward substitution, a row at a time."""
+    out = np.zeros_like(lower)
+    for i in range(len(lower)):
+        out[i, :i] = -(lower[i, :i] @ out[:i, :i])
+        out[i, i] = 1.0
+        out[i, : i + 1] /= lower[i, i]
+    return out
+
+
 def inverse_spd(gram: np.ndarray, on_alias: str = "error") -> np.ndarray:
     """Inverse through a scaled Cholesky factor. on_alias: error, or drop (rows and columns of aliased ones stay zero)."""
     aliased = rank_report(gram)
@@ -34,7 +44,7 @@ def inverse_spd(gram: np.ndarray, on_alias: str = "error") -> np.ndarray:
     keep = [i for i in range(len(gram)) if i not in aliased]
     part = gram[np.ix_(keep, keep)]
     scale = 1 / np.sqrt(np.diag(part))
-    factor = np.linalg.inv(np.linalg.cholesky(part * np.outer(scale, scale))) * scale
+    factor = _lower_inverse(np.linalg.cholesky(part * np.outer(scale, scale))) * scale
     out = np.zeros_like(gram, float)
     out[np.ix_(keep, keep)] = factor.T @ factor
     return out
