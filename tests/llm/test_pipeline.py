@@ -90,3 +90,23 @@ def test_line_stage(spark):
     df = spark.createDataFrame([(1, text, 9, "q"), (2, "own words\n" + text, 9, "q"), (3, text, 9, "q")], "doc_id long, text string, n_chars long, _runs2 string")
     out = {r.doc_id: r for r in line_dedup.stage(spark, df, SF).collect()}
     assert out[1].text == text and out[2].text == "own words" and out[2].n_chars == 9 and 3 not in out
+
+
+def test_star_families_equal_brute_force(spark):
+    """Copies that are similar to a base only, beside texts that share a passage with all others."""
+    rnd = random.Random(4)
+    texts = []
+    for size, copies, changes in ((200, 300, 4), (90, 60, 2), (400, 40, 8)):
+        base = [f"b{size}x{i}" for i in range(size)]
+        texts.append(" ".join(base))
+        for c in range(copies):
+            copy = list(base)
+            for k in rnd.sample(range(5, size - 5), changes):
+                copy[k] = f"c{c}x{k}"
+            texts.append(" ".join(copy))
+    passage = [f"p{i}" for i in range(40)]
+    texts += [" ".join(passage + [f"o{i}x{k}" for k in range(rnd.randrange(10, 30))]) for i in range(60)]
+    want = brute_roots(dict(enumerate(texts)))
+    docs = spark.createDataFrame([(i, i, t) for i, t in enumerate(texts)], "id long, node long, text string").repartition(4)
+    got = {r.id: r.root for r in near_copies.groups(docs).collect()}
+    assert got == want and sum(root == want[0] for root in want.values()) == 301
