@@ -1,9 +1,9 @@
-"""License scans with a positional index of rare tokens.
+"""License scans with a positional index of licence words.
 
-The words of all templates are weighed by inverse document frequency over all documents. For each document the highest of
-these words that it holds are looked up: every occurrence votes, through the postings (template, position), for a template
-and the place where its first word would stand. Postings that agree on a place intersect; the candidate is then laid over
-the document, and counts if enough of its words stand in place and its mandatory phrase stands there as a whole.
+Every occurrence of a licence word votes, through the postings (template, position) of that word, for a template and the place
+where its first word would stand. All licence words vote, however common, so the votes for a place are the template's words
+that stand there, and nothing has to be counted over the corpus. A place counts if enough of the template's words stand in
+place and its mandatory phrase stands there as a whole; the score is the best share at places with two words or more.
 
 Words are the runs of ASCII letters and digits and of all characters beyond ASCII, with A-Z in lower case.
 
@@ -13,7 +13,6 @@ licence words has no labels and score 0. Other columns are never looked at.
 
 from __future__ import annotations
 
-import math
 from collections import Counter, defaultdict
 from collections.abc import Iterator
 
@@ -44,8 +43,8 @@ TEMPLATES = (
     ("unlicense", "this is free and unencumbered software released into the public domain", "released into the public domain"),
     ("reserved", "all rights reserved", "all rights reserved"),
 )
-#: Rarest licence words of a document that are looked up; share of a template's words that must stand in place.
-LOOKED_UP, SHARE = 24, 0.7
+#: Share of a template's words that must stand in place.
+SHARE = 0.7
 _GAPS = bytes(c if chr(c).isalnum() and c < 128 or c >= 128 else 32 for c in range(256))
 
 
@@ -53,35 +52,14 @@ def words_of(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "replace").lower().translate(_GAPS).split()
 
 
-def vocabulary(templates=TEMPLATES) -> set[bytes]:
-    return {w.encode() for _, text, _ in templates for w in text.split()}
-
-
-def document_frequency(docs: DataFrame, templates=TEMPLATES) -> tuple[int, dict[bytes, int]]:
-    """Documents, and those that hold each licence word; counted over all documents, at most a row for each word collected."""
-
-    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        wanted, seen, n = vocabulary(templates), Counter(), 0
-        for batch in batches:
-            for text in batch.column(0):
-                seen.update(wanted.intersection(words_of(text.as_py())))
-                n += 1
-        seen[b""] = n
-        yield pa.RecordBatch.from_arrays([pa.array([w.decode() for w in seen]), pa.array(list(seen.values()), pa.int64())], names=["word", "n"])
-
-    found = {r.word.encode(): r.n for r in docs.select("text").mapInArrow(each, "word string, n long").groupBy("word").agg(F.sum("n").alias("n")).collect()}
-    return found.pop(b"", 0), found
-
-
 class Scanner:
-    def __init__(self, docs: int, frequency: dict[bytes, int], templates=TEMPLATES, looked_up: int = LOOKED_UP, share: float = SHARE):
+    def __init__(self, templates=TEMPLATES, share: float = SHARE):
         self.templates = [(label, [w.encode() for w in text.split()], [w.encode() for w in phrase.split()]) for label, text, phrase in templates]
-        self.looked_up, self.share = looked_up, share
+        self.share = share
         self.postings: dict[bytes, list[tuple[int, int]]] = defaultdict(list)
         for t, (_, words, _) in enumerate(self.templates):
             for j, w in enumerate(words):
                 self.postings[w].append((t, j))
-        self.rarity = {w: (-math.log((1 + docs) / (1 + frequency.get(w, 0))), w) for w in self.postings}
         self.phrases = [(b" " + p.encode() + b" ", label) for p, label in PHRASES]
 
     def base(self, words: list[bytes]) -> tuple[list[int], set[str]]:
@@ -101,13 +79,9 @@ class Scanner:
 
     def aligned(self, words: list[bytes]) -> tuple[set[str], float]:
         """Labels of verified templates, and the best share of a template's words in place."""
-        held = self.postings.keys() & set(words)
-        if len(held) < 2:
-            return set(), 0.0
-        chosen = set(sorted(held, key=self.rarity.__getitem__)[: self.looked_up])
         votes: Counter = Counter()
         for i, w in enumerate(words):
-            if w in chosen:
+            if w in self.postings:
                 for t, j in self.postings[w]:
                     votes[t, i - j] += 1
         labels, best = set(), 0.0
@@ -115,11 +89,12 @@ class Scanner:
             if n < 2:
                 continue
             label, template, phrase = self.templates[t]
-            there = words[max(at, 0) : at + len(template)]
-            placed = sum(a == b for a, b in zip(there, template[max(-at, 0) :], strict=False)) / len(template)
+            placed = n / len(template)
             best = max(best, placed)
-            if placed >= self.share and any(there[k : k + len(phrase)] == phrase for k in range(len(there) - len(phrase) + 1)):
-                labels.add(label)
+            if placed >= self.share and label not in labels:
+                there = words[max(at, 0) : at + len(template)]
+                if any(there[k : k + len(phrase)] == phrase for k in range(len(there) - len(phrase) + 1)):
+                    labels.add(label)
         return labels, best
 
 
@@ -127,10 +102,8 @@ RESULT = "doc_id long, n_words long, n_base long, first_word long, last_word lon
 
 
 def scan(docs: DataFrame, templates=TEMPLATES) -> DataFrame:
-    total, frequency = document_frequency(docs, templates)
-
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        scanner = Scanner(total, frequency, templates)
+        scanner = Scanner(templates)
         for batch in batches:
             out: list[list] = [[] for _ in range(8)]
             for i, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):

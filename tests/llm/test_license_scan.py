@@ -1,5 +1,8 @@
+import random
 import re
 
+import pytest
+
 from lincompress.llm import license_scan as ls
 
 SF = "/root/testdata/sf0.01"
@@ -51,3 +54,19 @@ def test_small_cases(spark):
     assert found[6].labels == "mit" and found[2].labels == "cc-by,reserved" and found[4].score == 1.0
     assert found[0].first_word is None and found[0].score == 0.0
     assert ls.scan(docs.limit(0)).count() == 0
+
+
+def test_files_with_many_licences(spark):
+    """Every template keeps its label and the score is the best share, whatever else the file and the corpus hold."""
+    rnd = random.Random(3)
+    texts = [" ".join(t for _, t, _ in ls.TEMPLATES), " ".join(t for _, t, _ in reversed(ls.TEMPLATES))]
+    texts += [" - ".join(t for _, t, _ in rnd.sample(ls.TEMPLATES, k)) for k in (3, 4, 5, 6) for _ in range(25)]
+    texts += [" ".join(rnd.choices(" ".join(t for _, t, _ in ls.TEMPLATES).split(), k=60)) for _ in range(20)]
+    texts += [t for label, t, _ in ls.TEMPLATES if "cc-by" in label or "gpl" in label for _ in range(20)]
+    rows = ls.scan(spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")).collect()
+    assert len(rows) == len(texts)
+    for r in rows:
+        want, best = brute(texts[r.doc_id])
+        assert tuple(r)[1:7] == want and r.score == pytest.approx(best)
+    found = {r.doc_id: r for r in rows}
+    assert {label for label, _, _ in ls.TEMPLATES} <= set(found[0].labels.split(","))
