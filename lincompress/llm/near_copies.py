@@ -94,7 +94,7 @@ def _sets(nodes: DataFrame, docs: DataFrame, found: DataFrame, width: int) -> Da
 
     def sets(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [np.unique((shingles(t.as_py(), width) >> np.uint64(16)).astype("<u4")).tobytes() for t in batch.column(1)]
+            found = [np.unique(shingles(t.as_py(), width)).astype("<u8").tobytes() for t in batch.column(1)]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(found, pa.binary())], names=["n", "set"])
 
     texts = docs.join(nodes, ["id", "node"], "left_semi").select("node", "text").mapInArrow(sets, "n long, set binary")
@@ -110,7 +110,7 @@ def _similar(pairs: DataFrame, docs: DataFrame, found: DataFrame, width: int, si
         for batch in batches:
             good = []
             for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), "<u4"), np.frombuffer(y.as_buffer(), "<u4")
+                x, y = np.frombuffer(x.as_buffer(), "<u8"), np.frombuffer(y.as_buffer(), "<u8")
                 both = len(np.intersect1d(x, y, assume_unique=True))
                 good.append(both >= similarity * (len(x) + len(y) - both))
             keep = pa.array(good, pa.bool_())
@@ -188,7 +188,7 @@ def _exact(cells: DataFrame, nodes: DataFrame, docs: DataFrame, found: DataFrame
     texts = _sets(marked.select("node").distinct(), docs, found, width)
 
     def joined(node, root, n, may, sets):
-        marks = [np.frombuffer(x.as_buffer(), "<u4") for x in sets]
+        marks = [np.frombuffer(x.as_buffer(), "<u8") for x in sets]
         n = np.array([len(x) for x in marks], np.int64)
         values, which, times = np.unique(np.concatenate(marks), return_inverse=True, return_counts=True)
         shared = times[which] > 1  # the others are in no pair
