@@ -1,16 +1,19 @@
 """Mixture-controlled packing: deficit round-robin over one token queue for each source.
 
-Documents are tokenised once and stand in the queue of their source. Queues are served in quanta. A source's deficit grows
-with every token served, in proportion to its target share, and its k-th quantum falls due when the deficit has carried
-k + 1/2 quanta, so the due times are known without serving: quanta are sorted by due time and laid end to end. Thus every
-window of ``length`` tokens holds the target proportions up to one quantum a source, deficits carry over windows and
-partitions alike, and no window has padding but the last. Without targets the shares are those of the queues, and all
-queues run dry together; with targets, a queue that has run dry leaves its share to the others.
+Documents are tokenised once and stand in the queue of their source. Queues are served token by token: at time t a queue of
+weight w has a credit of w * t tokens, what it has been served is that credit rounded, and the rest is its deficit, half a
+token at most. A window of ``length`` tokens ends when that many have been served, so what a queue has been served at the end of
+window k, the cut (k, queue), follows from k alone. Every task that needs a cut computes it, deficits carry over windows and
+partitions without being sent, each window holds each live queue's target share to a token or two, and none but the last has
+padding. A queue that has run dry leaves its share to the others.
 
-All running sums are two-level: totals of about sqrt(n) blocks, then sums inside each block. No task sees a whole queue.
+Weights are targets by name, or a power of the queues' tokens: 1 keeps the corpus's own shares (all queues run dry together),
+less lifts small sources. A document's place in its queue is a sum of three: tokens before its block, a block being what
+one task tokenised, and tokens before it in the block. Only sums by (source, block) are shuffled; no task sees a queue.
 
 Edge cases: a null or empty text is only its end token; a null source is the queue ''; repeated rows are separate documents;
-a document without id is packed too; an empty table gives no pieces. Other columns are never looked at.
+a document without id is packed too; an empty table gives no pieces; more queues than a quarter of ``length`` are an error, as
+a window could not hold them all. A queue without a target gets the least one. Other columns are never looked at.
 """
 
 from __future__ import annotations
@@ -27,9 +30,13 @@ from pyspark.sql import functions as F
 
 from lincompress.llm.common import materialise, read
 
-LENGTH, QUANTUM, END_ID = 2048, 256, 1
+LENGTH, QUANTUM, END_ID = 2048, 1, 1
+#: The query's mixture: a source's target share goes with this power of its tokens.
+POWER = 0.7
 #: Entries of the caches of a worker, from space-separated chunk and from word to ids; a cache is emptied when full.
-CACHE, WORDS = 250_000, 400_000
+CACHE, WORDS = 600_000, 400_000
+#: Rows of sums by (source, block) up to here are broadcast (some 30 bytes each); more are joined by shuffle.
+BROADCAST_ROWS = 200_000
 #: Marks that end a word and are a word of their own for the tokenizer when they stand alone.
 MARKS = (b".", b",", b"!", b"?", b";", b":")
 
@@ -118,97 +125,146 @@ class _Memo(dict):
 
 
 def tokenise(docs: DataFrame, path: str, end_id: int = END_ID) -> DataFrame:
-    """row (unique), doc_id, source, n (ids with the end), ids (binary, uint16)."""
+    """doc_id, source, block (the task), inner (tokens of the source before it in the block), n (ids with the end), ids (binary, uint16)."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         from pyspark import TaskContext
 
-        encode, row, end = _encoder(path), TaskContext.get().partitionId() << 33, np.array([end_id], "<u2").tobytes()
+        encode, block, end = _encoder(path), TaskContext.get().partitionId(), np.array([end_id], "<u2").tobytes()
+        served: dict[str, int] = {}
         for whole in batches:
             for k in range(0, whole.num_rows, 256):
                 batch = whole.slice(k, 256)
                 ids = [x + end for x in encode([x or "" for x in batch.column(2).to_pylist()])]
-                rows = np.arange(row, row + len(ids))
-                row += len(ids)
+                inner = []
+                for source, x in zip(batch.column(1).to_pylist(), ids, strict=True):
+                    inner.append(served.get(source, 0))
+                    served[source] = inner[-1] + len(x) // 2
                 yield pa.RecordBatch.from_arrays(
-                    [pa.array(rows), batch.column(0), batch.column(1), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary())],
-                    names=["row", "doc_id", "source", "n", "ids"],
+                    [batch.column(0), batch.column(1), pa.array([block] * len(ids), pa.int64()), pa.array(inner, pa.int64()), pa.array([len(x) // 2 for x in ids], pa.int64()), pa.array(ids, pa.binary())],
+                    names=["doc_id", "source", "block", "inner", "n", "ids"],
                 )
 
     given = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("source"), "text")
-    return given.mapInArrow(each, "row long, doc_id long, source string, n long, ids binary")
-
+    return given.mapInArrow(each, "doc_id long, source string, block long, inner long, n long, ids binary")
+
+
+class Cuts:
+    """What every queue has been served at the end of a window, as a function of the window alone."""
+
+    def __init__(self, tokens: list[int], weights: list[float], length: int):
+        self.n, self.w, self.length = np.array(tokens, np.int64), np.array(weights, float) / (sum(weights) or 1), length
+        self.total = int(self.n.sum())
+        # served(t) without rounding is linear between the times at which queues run dry
+        self.dry = np.r_[0.0, np.sort(self.n / self.w)] if len(self.n) else np.zeros(1)
+        self.level = np.array([np.minimum(self.n, self.w * t).sum() for t in self.dry])
+
+    def served(self, t: np.ndarray) -> np.ndarray:
+        return np.minimum(self.n, np.floor(t[:, None] * self.w + 0.5).astype(np.int64))
+
+    def at(self, windows: np.ndarray) -> np.ndarray:
+        """A row of tokens served for each window (those of the windows before it); rows add up to length * window, the total at most."""
+        goal = np.clip(windows * self.length, 0, self.total)
+        rough = np.interp(goal, self.level, self.dry)
+        live = np.maximum((self.w * (self.n > rough[:, None] * self.w)).sum(axis=1), self.w.min())
+        reach = (len(self.w) + 2) / live
+        low, high = np.maximum(rough - reach, 0), rough + reach
+        for _ in range(24):
+            middle = (low + high) / 2
+            early = self.served(middle).sum(axis=1) <= goal
+            low, high = np.where(early, middle, low), np.where(early, high, middle)
+        least, most = self.served(low), self.served(high)
+        # tokens that fall due together are served in the order of the queues
+        left = goal - least.sum(axis=1)
+        room = np.cumsum(most - least, axis=1)
+        out = least + np.clip(left[:, None] - (room - (most - least)), 0, most - least)
+        out[goal >= self.total] = self.n
+        out[goal <= 0] = 0
+        return out
 
-def schedule(lengths: DataFrame, length: int = LENGTH, quantum: int = QUANTUM, targets: dict[str, float] | None = None) -> DataFrame:
-    """row, start, size, sequence_id, offset for rows (row, doc_id, source, n)."""
-    rows, _ = lengths.agg(F.count(F.lit(1)), F.sum("n")).first()
-    blocks = max(1, math.isqrt(rows))
-    docs = lengths.withColumn("block", F.pmod(F.xxhash64("doc_id", "row"), F.lit(blocks)))
-    by_source = Window.partitionBy("source")
-    totals = docs.groupBy("source", "block").agg(F.sum("n").alias("bn"))
-    totals = totals.select("source", "block", (F.sum("bn").over(by_source.orderBy("block").rowsBetween(Window.unboundedPreceding, 0)) - F.col("bn")).alias("before"), F.sum("bn").over(by_source).alias("total"))
+    def spans(self, queue: np.ndarray, at: np.ndarray, n: np.ndarray) -> tuple[np.ndarray, ...]:
+        """Row, start (in the document), size, window and offset of every piece of documents that stand at ``at`` in their queues."""
+        def about(place: np.ndarray) -> np.ndarray:
+            return np.interp((place + 0.5) / self.w[queue], self.dry, self.level).astype(np.int64) // self.length
+
+        first, last = np.maximum(about(at) - 1, 0), about(at + n - 1) + 1
+        count = last - first + 1
+        row = np.repeat(np.arange(len(at)), count)
+        window = np.arange(len(row)) - np.repeat(np.cumsum(count) - count - first, count)
+        names, place = np.unique(np.r_[window, window + 1], return_inverse=True)
+        cuts = self.at(names)
+        begin, end, q = cuts[place[: len(row)]], cuts[place[len(row) :]], queue[row]
+        here = np.arange(len(row))
+        before = np.cumsum(end - begin, axis=1)[here, q] - (end - begin)[here, q]
+        lo, hi = np.maximum(at[row], begin[here, q]), np.minimum((at + n)[row], end[here, q])
+        keep = hi > lo
+        return row[keep], (lo - at[row])[keep], (hi - lo)[keep], window[keep], (before + lo - begin[here, q])[keep]
+
+
+def queues(tokens: DataFrame, length: int, targets: dict[str, float] | None = None, power: float = 1.0) -> tuple[DataFrame, Cuts]:
+    """Rows source, block, queue (a number) and before (tokens of the source in earlier blocks), and the cuts; tokens: source, block, n."""
+    sums = materialise(tokens.groupBy("source", "block").agg(F.sum("n").alias("n")), "sums")
+    most = length // 4
+    found = [(r.source, int(r.n)) for r in sums.groupBy("source").agg(F.sum("n").alias("n")).orderBy("source").limit(most + 1).collect()]
+    if len(found) > most:
+        raise ValueError(f"windows of {length} tokens hold at most {most} queues; group the sources")
+    weights = [float(n) ** power for _, n in found]
+    if targets:
+        weights = [float(targets.get(s, min(targets.values()))) for s, _ in found]
+    number = {s: i for i, (s, _) in enumerate(found)}
+    named = tokens.sparkSession.createDataFrame(list(number.items()), "source string, queue int")
+    order = Window.partitionBy("source").orderBy("block").rowsBetween(Window.unboundedPreceding, 0)
+    before = sums.select("source", "block", (F.sum("n").over(order) - F.col("n")).alias("before")).join(F.broadcast(named), "source")
+    small = len(found) * sums.select("block").distinct().count() <= BROADCAST_ROWS
+    return (F.broadcast(before) if small else before), Cuts([n for _, n in found], weights, length)
+
+
+def schedule(lengths: DataFrame, length: int = LENGTH, targets: dict[str, float] | None = None, power: float = 1.0) -> DataFrame:
+    """row, start, size, sequence_id, offset for rows (row, doc_id, source, n), queued by doc_id inside blocks of hashed ids."""
+    blocks = max(1, math.isqrt(lengths.count()))
     inside = Window.partitionBy("source", "block").orderBy("doc_id", "row").rowsBetween(Window.unboundedPreceding, 0)
-    docs = docs.withColumn("inner", F.sum("n").over(inside) - F.col("n")).join(totals, ["source", "block"])
-    docs = docs.select("row", "source", "n", "total", (F.col("before") + F.col("inner")).alias("at"))
-    weight = F.lit(None).cast("double")
-    for name, w in (targets or {}).items():
-        weight = F.when(F.col("source") == name, F.lit(float(w))).otherwise(weight)
-    slots_of = F.ceil(F.col("total") / quantum)
-    due = lambda k: (k + F.lit(0.5)) * F.coalesce(quantum / weight, 1 / slots_of) if targets else (k + F.lit(0.5)) / slots_of
-    parts = docs.select("*", F.explode(F.sequence(F.floor(F.col("at") / quantum), F.floor((F.col("at") + F.col("n") - 1) / quantum))).alias("k"))
-    parts = parts.select(
-        "row", "source", "k", due(F.col("k")).alias("due"),
-        F.greatest(F.col("at"), F.col("k") * quantum).alias("lo"), F.least(F.col("at") + F.col("n"), (F.col("k") + 1) * quantum).alias("hi"), "at",
-    )
-    slots = materialise(parts.groupBy("source", "k").agg(F.sum(F.col("hi") - F.col("lo")).alias("size"), F.first("due").alias("due")), "slots")
-    count, last = slots.agg(F.count(F.lit(1)), F.max("due")).first()
-    buckets = max(1, math.isqrt(count))
-    slots = slots.withColumn("bucket", F.least(F.lit(buckets - 1), F.floor(F.col("due") / F.lit(last or 1.0) * buckets)))
-    sums = slots.groupBy("bucket").agg(F.sum("size").alias("size"))
-    sums = sums.select("bucket", (F.sum("size").over(Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, 0)) - F.col("size")).alias("before"))
-    order = Window.partitionBy("bucket").orderBy("due", "source", "k").rowsBetween(Window.unboundedPreceding, 0)
-    slots = slots.withColumn("inner", F.sum("size").over(order) - F.col("size")).join(sums, "bucket").select("source", "k", (F.col("before") + F.col("inner")).alias("place"))
-    laid = parts.join(slots, ["source", "k"]).select(
-        "row", (F.col("lo") - F.col("at")).alias("start"), (F.col("hi") - F.col("lo")).alias("size"), (F.col("place") + F.col("lo") - F.col("k") * quantum).alias("g")
-    )
-    cut = laid.select("*", F.explode(F.sequence(F.floor(F.col("g") / length), F.floor((F.col("g") + F.col("size") - 1) / length))).alias("sequence_id"))
-    lo = F.greatest(F.col("g"), F.col("sequence_id") * length)
-    hi = F.least(F.col("g") + F.col("size"), (F.col("sequence_id") + 1) * length)
-    return cut.select("row", (F.col("start") + lo - F.col("g")).alias("start"), (hi - lo).alias("size"), "sequence_id", (lo - F.col("sequence_id") * length).alias("offset"))
+    docs = lengths.withColumn("block", F.pmod(F.xxhash64("doc_id", "row"), F.lit(blocks))).withColumn("inner", F.sum("n").over(inside) - F.col("n"))
+    before, cuts = queues(docs, length, targets, power)
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            name, queue, at, n = (np.asarray(c) for c in batch.columns)
+            row, *columns = cuts.spans(queue, at, n)
+            yield pa.RecordBatch.from_arrays([pa.array(name[row]), *map(pa.array, columns)], names=["row", "start", "size", "sequence_id", "offset"])
+
+    placed = docs.join(before, ["source", "block"]).select("row", "queue", (F.col("before") + F.col("inner")).alias("at"), "n")
+    return placed.mapInArrow(each, "row long, start long, size long, sequence_id long, offset long")
 
 
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-def pack(docs: DataFrame, path: str, length: int = LENGTH, quantum: int = QUANTUM, targets: dict[str, float] | None = None, with_ids: bool = False) -> DataFrame:
+def pack(docs: DataFrame, path: str, length: int = LENGTH, targets: dict[str, float] | None = None, power: float = 1.0, with_ids: bool = False) -> DataFrame:
     """A row for each piece; with_ids adds its ids (array of int)."""
     tokens = materialise(tokenise(docs, path), "tokens")
-    places = schedule(tokens.select("row", "doc_id", "source", "n"), length, quantum, targets)
-    each_row = places.groupBy("row").agg(F.sort_array(F.collect_list(F.struct("start", "size", "sequence_id", "offset"))).alias("places"))
-    joined = tokens.select("row", "doc_id", "ids").join(each_row.hint("shuffle_hash"), "row").select("doc_id", "ids", "places")
+    before, cuts = queues(tokens.select("source", "block", "n"), length, targets, power)
+    placed = tokens.join(before, ["source", "block"]).select("doc_id", "ids", "queue", (F.col("before") + F.col("inner")).alias("at"), "n")
     names = [x.split()[0] for x in PIECES.split(", ")] + ["ids"] * with_ids
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for whole in batches:
             for k in range(0, whole.num_rows, 512):
                 batch = whole.slice(k, 512)
-                places = batch.column(2)
-                per_doc = np.diff(places.offsets.to_numpy())
-                start, size, sequence, offset = (np.asarray(x) for x in places.flatten().flatten())
-                wide = [np.frombuffer(x.as_buffer(), "<u2").astype("<u4") for x in batch.column(1)]
-                marks, parts, at, spans = [], [], 0, list(zip(start.tolist(), (start + size).tolist(), strict=True))
-                for ids, n in zip(wide, per_doc.tolist(), strict=True):
-                    view = memoryview(ids).cast("B")
-                    marks += [zlib.crc32(view[4 * a : 4 * b]) for a, b in spans[at : at + n]]
+                queue, at, n = (np.asarray(batch.column(i)) for i in (2, 3, 4))
+                row, start, size, sequence, offset = cuts.spans(queue, at, n)
+                per_doc, spans = np.bincount(row, minlength=len(n)), list(zip((4 * start).tolist(), (4 * (start + size)).tolist(), strict=True))
+                marks, parts, done, crc = [], [], 0, zlib.crc32
+                for ids, m in zip(batch.column(1), per_doc.tolist(), strict=True):
+                    wide = np.frombuffer(ids.as_buffer(), "<u2").astype("<u4")
+                    view, mine = memoryview(wide).cast("B"), spans[done : done + m]
+                    marks += [crc(view[a:b]) for a, b in mine]
                     if with_ids:
-                        parts += [ids[a:b].tolist() for a, b in spans[at : at + n]]
-                    at += n
-                tokens = np.repeat([len(x) for x in wide], per_doc)
-                columns = [batch.column(0).take(pa.array(np.repeat(np.arange(len(wide)), per_doc))), start, size, marks, tokens, sequence, offset, *[parts] * with_ids]
-                kinds = [*[pa.int64()] * 7, pa.list_(pa.int32())]
-                yield pa.RecordBatch.from_arrays([c if isinstance(c, pa.Array) else pa.array(c, kinds[i]) for i, c in enumerate(columns)], names=names)
+                        parts += [wide[a // 4 : b // 4].tolist() for a, b in mine]
+                    done += m
+                columns = [batch.column(0).take(pa.array(row)), *map(pa.array, (start, size)), pa.array(marks, pa.int64()), *map(pa.array, (n[row], sequence, offset))]
+                yield pa.RecordBatch.from_arrays([*columns, *[pa.array(parts, pa.list_(pa.int32()))] * with_ids], names=names)
 
-    return joined.mapInArrow(each, PIECES + (", ids array<int>" if with_ids else ""))
+    return placed.mapInArrow(each, PIECES + (", ids array<int>" if with_ids else ""))
 
 
 def _path() -> str:
@@ -218,8 +274,8 @@ def _path() -> str:
 
 
 def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack(read(spark, sf_dir, "documents"), _path())
+    return pack(read(spark, sf_dir, "documents"), _path(), power=POWER)
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pack(docs, _path())
+    return pack(docs, _path(), power=POWER)

@@ -79,3 +79,33 @@ def test_windows_hold_target_shares(spark):
 
 def test_empty(spark):
     assert packing.pack(spark.createDataFrame([], "doc_id long, text string, source string"), PATH).count() == 0
+
+
+def test_each_window_holds_the_targets():
+    rng = np.random.default_rng(8)
+    for power, sizes in ((0.7, [900_000, 40_000, 41_000, 3_000, 700]), (1.0, [5_000, 5_000, 5_000]), (0.5, [123_457]), (1.0, rng.integers(1, 60_000, 300).tolist())):
+        weights = [n**power for n in sizes]
+        cuts = packing.Cuts(sizes, weights, 2048)
+        total = sum(sizes)
+        windows = -(-total // 2048)
+        c = cuts.at(np.arange(windows + 1))
+        got, left = np.diff(c, axis=0), np.array(sizes) - c[:-1]
+        assert (got >= 0).all() and (c[-1] == sizes).all() and (got[:-1].sum(axis=1) == 2048).all()
+        # windows in which no queue runs dry hold every live queue's share
+        for k in range(windows - 1):
+            live = left[k] > 0
+            want = 2048 * np.array(weights) * live / (np.array(weights) * live).sum()
+            if (left[k][live] > want[live] + 2).all():
+                assert (abs(got[k] - want) <= 2).all()
+        # a cut doesn't depend on what is computed beside it
+        some = rng.choice(windows + 1, min(windows, 7), replace=False)
+        assert (cuts.at(np.sort(some)) == c[np.sort(some)]).all()
+
+
+def test_too_many_queues(spark):
+    lengths = spark.createDataFrame([(i, i, f"s{i}", 3) for i in range(40)], "row long, doc_id long, source string, n long")
+    import pytest
+
+    with pytest.raises(ValueError, match="queues"):
+        packing.schedule(lengths, length=64)
+    assert packing.schedule(lengths, length=256).groupBy().sum("size").first()[0] == 120
