@@ -3,13 +3,19 @@
 Column names: ``cnt`` rows, ``sy_<y>`` and ``syy_<y>`` sums of an outcome and its square, ``mean_<y>``; with weights ``sw``,
 ``swy_``, ``swyy_`` and the same with squared weights ``sw2``, ``sw2y_``, ``sw2yy_``. All but means without counts add up, so
 frames merge and roll up.
+
+Every compression reads the raw rows once. Those by cluster that must look at their own result (which features are constant in
+a cluster, whether all clusters share their periods) keep it persisted for that; ``release`` frees it.
 """
 
 from __future__ import annotations
 
 import json
+from collections.abc import Iterator
 from dataclasses import dataclass, field, replace
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
@@ -30,6 +36,11 @@ class CompressedFrame:
     def cache(self) -> CompressedFrame:
         return replace(self, df=self.df.cache())
 
+    def release(self) -> None:
+        """Frees what the compression kept."""
+        if "held" in self.extra:
+            self.extra["held"].unpersist()
+
     def where(self, condition) -> CompressedFrame:
         """A segment; lossless when the condition reads key columns only."""
         return replace(self, df=self.df.where(condition))
@@ -146,10 +157,10 @@ def compress_cluster_moments(df: DataFrame, spec: ModelSpec, nulls: str = "error
     return CompressedFrame(rows.groupBy(f"`{spec.cluster}`").agg(*aggs), "cluster_moments", spec)
 
 
-def split_design(spec: ModelSpec, roles: dict[str, str]) -> tuple[list[Column], list[Column], list[tuple[int, int]]]:
-    """Static factors, dynamic factors, and each design column as (place among statics, place among dynamics); place 0 is the constant 1 of either."""
+def _split(spec: ModelSpec, roles: dict[str, str]) -> tuple[list[Column], list[Column], list[tuple[int, int]], list[str]]:
     statics: list[Column] = [F.lit(1.0)]
     dynamics: list[Column] = [F.lit(1.0)]
+    names: list[str] = [""]
     seen: dict[tuple, list[int]] = {}
 
     def places(term: Term) -> tuple[str, list[int]]:
@@ -158,6 +169,7 @@ def split_design(spec: ModelSpec, roles: dict[str, str]) -> tuple[list[Column],
         if term not in seen:
             seen[term] = list(range(len(held), len(held) + len(term.columns())))
             held += [c for _, c in term.columns()]
+            names.extend([n for n, _ in term.columns()] if role == "dynamic" else [])
         return role, seen[term]
 
     out = [(0, 0)] if spec.intercept else []
@@ -172,28 +184,66 @@ def split_design(spec: ModelSpec, roles: dict[str, str]) -> tuple[list[Column],
         else:
             role, p = places(t)
             out += [(i, 0) if role == "static" else (0, i) for i in p]
-    return statics, dynamics, out
+    return statics, dynamics, out, names
+
+
+def split_design(spec: ModelSpec, roles: dict[str, str]) -> tuple[list[Column], list[Column], list[tuple[int, int]]]:
+    """Static factors, dynamic factors, and each design column as (place among statics, place among dynamics); place 0 is the constant 1 of either."""
+    return _split(spec, roles)[:3]
 
 
 def _roles(df: DataFrame, spec: ModelSpec) -> dict[str, str]:
     return dict(spec.roles) or classify_roles(df, spec)
 
 
-def compress_static(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> CompressedFrame:
-    """One row for each cluster: static keys, counts, sums of y, and moments of the dynamic factors only."""
-    roles = _roles(df, spec)
-    _, dynamics, _ = split_design(spec, roles)
-    rows = keyed(df, spec, spec.cluster, nulls=nulls)
-    static = [k for k in spec.keys if roles[k] == "static"]
-    rows = rows.select(*[F.col(f"`{k}`") for k in dict.fromkeys([spec.cluster, *static])], *[F.col(f"`{y}`").cast("double").alias(f"_y{k}") for k, y in enumerate(spec.outcomes)], *[d.alias(f"_d{i}") for i, d in enumerate(dynamics) if i])
-    d = [F.col(f"_d{i}") for i in range(1, len(dynamics))]
+#: Design columns up to which products of all are summed, so that features need not be told apart before.
+ONE_PASS = 24
+
+
+def _moments(d: list[Column], outcomes: tuple[str, ...]) -> list[Column]:
+    """Count, sums and cross-products of d (packed), and sums of the outcomes (columns _y0..) with their squares and products with d."""
     none = F.array().cast("array<double>")
     aggs = [F.count(F.lit(1)).alias("cnt"), (F.array(*map(F.sum, d)) if d else none).alias("dsum"), (F.array(*[F.sum(d[i] * d[j]) for i, j in packed(len(d))]) if d else none).alias("dd")]
-    for k, y in enumerate(spec.outcomes):
+    for k, y in enumerate(outcomes):
         c = F.col(f"_y{k}")
         aggs += [F.sum(c).alias(f"sy_{y}"), F.sum(c * c).alias(f"syy_{y}"), (F.array(*[F.sum(v * c) for v in d]) if d else none).alias(f"dy_{y}")]
-    out = rows.groupBy(*[f"`{k}`" for k in dict.fromkeys([spec.cluster, *static])]).agg(*aggs)
-    return CompressedFrame(out, "static", spec, {"roles": roles})
+    return aggs
+
+
+def compress_static(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> CompressedFrame:
+    """One row for each cluster: static keys, counts, sums of y, and moments of the dynamic factors only.
+
+    With unknown roles, one aggregate sums the moments of all terms beside the least and greatest value of each key; the roles
+    are read off its rows, and static factors are left out of the moments. Wide models look for the roles first.
+    """
+    rows = keyed(df, spec, spec.cluster, nulls=nulls)
+    ys = [F.col(f"`{y}`").cast("double").alias(f"_y{k}") for k, y in enumerate(spec.outcomes)]
+    parts: dict[str, Column] = {}
+    for t in spec.terms:
+        for x in (t, *(t.args if t.kind == "inter" else ())):
+            parts |= dict(x.columns())
+    if spec.roles or len(parts) > ONE_PASS:
+        roles = _roles(df, spec)
+        _, dynamics, _ = split_design(spec, roles)
+        by = list(dict.fromkeys([spec.cluster, *[k for k in spec.keys if roles[k] == "static"]]))
+        rows = rows.select(*[F.col(f"`{k}`") for k in by], *ys, *[d.alias(f"_d{i}") for i, d in enumerate(dynamics) if i])
+        out = rows.groupBy(*[f"`{k}`" for k in by]).agg(*_moments([F.col(f"_d{i}") for i in range(1, len(dynamics))], spec.outcomes))
+        return CompressedFrame(out, "static", spec, {"roles": roles})
+    keys = [k for k in spec.keys if k != spec.cluster]
+    rows = rows.select(F.col(f"`{spec.cluster}`"), *[F.col(f"`{k}`").alias(f"_k{i}") for i, k in enumerate(keys)], *ys, *[c.alias(f"_d{i}") for i, c in enumerate(parts.values())])
+    seen = [F.struct(F.min(f"_k{i}").alias("lo"), F.max(f"_k{i}").alias("hi"), F.count(f"_k{i}").alias("n")).alias(f"_k{i}") for i in range(len(keys))]
+    held = rows.groupBy(f"`{spec.cluster}`").agg(*seen, *_moments([F.col(f"_d{i}") for i in range(len(parts))], spec.outcomes)).persist()
+    same = [F.bool_and((F.col(f"_k{i}.lo") == F.col(f"_k{i}.hi")) & (F.col(f"_k{i}.n") == F.col("cnt")) | (F.col(f"_k{i}.n") == 0)).alias(f"s{i}") for i in range(len(keys))]
+    flags = held.agg(*same).first() if keys else ()
+    roles = {k: "dynamic" if flags[i] is False else "static" for i, k in enumerate(keys)} | ({spec.cluster: "static"} if spec.cluster in spec.keys else {})
+    names, all_names = _split(spec, roles)[3][1:], list(parts)
+    at, pair = [all_names.index(n) for n in names], {ij: k for k, ij in enumerate(packed(len(parts)))}
+    pick = lambda column, places: F.array(*[F.get(column, k) for k in places]) if places else F.array().cast("array<double>")
+    columns = [F.col(f"`{spec.cluster}`"), *[F.col(f"_k{i}.lo").alias(k) for i, k in enumerate(keys) if roles[k] == "static"], "cnt", pick("dsum", at).alias("dsum")]
+    columns.append(pick("dd", [pair[min(at[i], at[j]), max(at[i], at[j])] for i, j in packed(len(at))]).alias("dd"))
+    for y in spec.outcomes:
+        columns += [f"sy_{y}", f"syy_{y}", pick(f"dy_{y}", at).alias(f"dy_{y}")]
+    return CompressedFrame(held.select(*columns), "static", spec, {"roles": roles, "held": held})
 
 
 def compress_trend(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> CompressedFrame:
@@ -223,47 +273,109 @@ class Unbalanced(ValueError):
     """Clusters don't share one set of periods; compress_static takes such panels."""
 
 
-def compress_balanced(df: DataFrame, spec: ModelSpec, keep_y: bool = True, nulls: str = "error") -> CompressedFrame:
-    """Units (static keys and the outcomes of all periods as an array) and periods (dynamic keys), for panels where all clusters share the periods."""
-    roles = _roles(df, spec)
-    static, dynamic = ([k for k in spec.keys if roles[k] == r and k != spec.cluster] for r in ("static", "dynamic"))
+def _by_cluster(df: DataFrame, spec: ModelSpec, nulls: str) -> DataFrame:
+    """The rows of each cluster as one sorted array r of structs (time, keys, outcomes), with their number."""
     rows = keyed(df, spec, spec.cluster, spec.time, nulls=nulls)
-    when = F.struct(*[F.col(f"`{k}`") for k in dict.fromkeys([spec.time, *dynamic])])
-    shapes = rows.groupBy(f"`{spec.cluster}`").agg(F.xxhash64(F.sort_array(F.collect_list(when))).alias("shape"), F.count(F.lit(1)).alias("n"), F.count_distinct(f"`{spec.time}`").alias("t"))
-    if shapes.where("n <> t").limit(1).count() or shapes.select("shape").distinct().limit(2).count() > 1:
+    inside = [F.col(f"`{k}`") for k in dict.fromkeys([spec.time, *spec.keys]) if k and k != spec.cluster]
+    r = F.struct(*inside, *[F.col(f"`{y}`").cast("double").alias(f"_y{k}") for k, y in enumerate(spec.outcomes)])
+    return rows.groupBy(f"`{spec.cluster}`").agg(F.count(F.lit(1)).alias("cnt"), F.sort_array(F.collect_list(r)).alias("r"))
+
+
+def compress_balanced(df: DataFrame, spec: ModelSpec, keep_y: bool = True, nulls: str = "error") -> CompressedFrame:
+    """Units (static keys and the outcomes of all periods as an array) and periods (dynamic keys), for panels where all clusters share the periods.
+
+    One pass gathers the rows of each cluster; roles, the check and the periods are read off the arrays.
+    """
+    held = _by_cluster(df, spec, nulls).persist()
+    keys = [k for k in spec.keys if k != spec.cluster]
+    of = lambda k: F.transform("r", lambda s: s[k])
+    checks = [F.min("cnt") == F.max("cnt"), F.bool_and(F.size(F.array_distinct(of(spec.time))) == F.col("cnt")), F.first("r")]
+    for k in keys:
+        shape = [F.xxhash64(F.transform("r", lambda s: F.struct(s[spec.time], s[k])), F.lit(seed)) for seed in (0, 1)]  # noqa: B023
+        checks += [F.bool_and(F.size(F.array_distinct(of(k))) == 1), (F.min(shape[0]) == F.max(shape[0])) & (F.min(shape[1]) == F.max(shape[1]))]
+    times = F.xxhash64(of(spec.time))
+    row = held.agg(*checks, F.min(times) == F.max(times)).first()
+    found = {k: "static" if row[3 + 2 * i] in (True, None) else "dynamic" for i, k in enumerate(keys)}
+    roles = dict(spec.roles) or found | ({spec.cluster: "static"} if spec.cluster in spec.keys else {})
+    wrong = [k for k in keys if roles[k] == "static" and found[k] == "dynamic"]
+    if wrong:
+        held.unpersist()
+        raise ValueError(f"not constant in each cluster: {wrong}")
+    shared = all(row[4 + 2 * i] for i, k in enumerate(keys) if roles[k] == "dynamic")
+    if row[0] is not None and not (row[0] and row[1] and row[-1] and shared):
+        held.unpersist()
         raise Unbalanced("clusters differ in their periods")
-    periods = rows.select(*dict.fromkeys([spec.time, *dynamic])).distinct().orderBy(spec.time)
-    aggs = [F.count(F.lit(1)).alias("cnt")]
-    for y in spec.outcomes:
-        c = F.col(f"`{y}`").cast("double")
-        aggs += [F.sum(c).alias(f"sy_{y}"), F.sum(c * c).alias(f"syy_{y}"), F.transform(F.sort_array(F.collect_list(F.struct(F.col(f"`{spec.time}`").alias("t"), c.alias("y")))), lambda s: s["y"]).alias(f"y_{y}")]
-    units = rows.groupBy(*[f"`{k}`" for k in dict.fromkeys([spec.cluster, *static])]).agg(*aggs)
+    dynamic = list(dict.fromkeys([spec.time, *[k for k in keys if roles[k] == "dynamic"]]))
+    kind = held.schema["r"].dataType.elementType
+    periods = df.sparkSession.createDataFrame([tuple(r[k] for k in dynamic) for r in row[2] or ()], type(kind)([kind[k] for k in dynamic]))
+    columns = [F.col(f"`{spec.cluster}`"), *[F.get("r", 0)[k].alias(k) for k in keys if roles[k] == "static"], F.col("cnt")]
+    add = lambda c, f: F.aggregate("r", F.lit(0.0), lambda a, s: a + f(s[c]))
+    for k, y in enumerate(spec.outcomes):
+        columns += [add(f"_y{k}", lambda v: v).alias(f"sy_{y}"), add(f"_y{k}", lambda v: v * v).alias(f"syy_{y}"), of(f"_y{k}").alias(f"y_{y}")]
+    units = held.select(*columns)
     if not keep_y:
         _, dynamics, _ = split_design(spec, roles)
         grid = periods.select(*[c.alias(f"_d{i}") for i, c in enumerate(dynamics)], spec.time).orderBy(spec.time).collect()
         for y in spec.outcomes:
             dots = [F.aggregate(F.zip_with(f"y_{y}", F.array(*[F.lit(float(r[f"_d{i}"])) for r in grid]), lambda a, b: a * b), F.lit(0.0), lambda a, b: a + b) for i in range(1, len(dynamics))]
             units = units.withColumn(f"dy_{y}", F.array(*dots) if dots else F.array().cast("array<double>")).drop(f"y_{y}")
-    return CompressedFrame(units, "balanced", spec, {"roles": roles, "periods": periods, "keep_y": keep_y})
+    return CompressedFrame(units, "balanced", spec, {"roles": roles, "periods": periods, "keep_y": keep_y, "held": held})
+
+
+#: Numbers that a task holds before it sends its partial sums.
+PARTIAL = 8_000_000
 
 
 def compress_between_cluster(df: DataFrame, spec: ModelSpec, max_periods: int = 400, nulls: str = "error") -> CompressedFrame:
-    """Clusters with equal feature matrices become one row: the matrix, how many clusters, and sums of outcomes and of their outer products.
+    """Clusters with equal feature matrices become one row: the matrix, how many clusters, and for every outcome its sums and outer products.
 
-    The array of one cluster is bounded by max_periods rows (an error beyond); groups are named by 128 bits of hash.
+    The array of one cluster is bounded by max_periods rows (an error beyond); groups are named by 128 bits of hash. Tasks add up
+    outer products by group before they send them, so what is shuffled goes with groups, not clusters.
     """
-    y = spec.outcomes[0]
+    ys, seen = spec.outcomes, list(spec.keys)
     rows = keyed(df, spec, spec.cluster, nulls=nulls)
-    feature = F.struct(*[F.col(f"`{k}`") for k in spec.keys])
-    per = rows.groupBy(f"`{spec.cluster}`").agg(F.count(F.lit(1)).alias("t"), F.sort_array(F.collect_list(F.struct(feature.alias("f"), F.col(f"`{y}`").cast("double").alias("y")))).alias("r"))
+    r = F.struct(F.struct(*[F.col(f"`{k}`") for k in seen]).alias("f"), *[F.col(f"`{y}`").cast("double").alias(f"y{k}") for k, y in enumerate(ys)])
+    per = rows.groupBy(f"`{spec.cluster}`").agg(F.count(F.lit(1)).alias("t"), F.sort_array(F.collect_list(r)).alias("r"))
     per = per.withColumn("r", F.when(F.col("t") > max_periods, F.raise_error(F.lit("a cluster has too many rows for between-cluster compression")).cast(per.schema["r"].dataType)).otherwise(F.col("r")))
-    per = per.select(F.transform("r", lambda s: s["f"]).alias("matrix"), F.transform("r", lambda s: s["y"]).alias("y"))
-    per = per.withColumns({"g1": F.xxhash64("matrix"), "g2": F.xxhash64("matrix", F.lit(1))})
+    per = per.select(F.transform("r", lambda s: s["f"]).alias("matrix"), *[F.transform("r", lambda s: s[f"y{k}"]).alias(f"y{k}") for k in range(len(ys))])  # noqa: B023
+    held = per.withColumns({"g1": F.xxhash64("matrix"), "g2": F.xxhash64("matrix", F.lit(1))}).persist()
     by = ["g1", "g2"]
-    heads = per.groupBy(*by).agg(F.first("matrix").alias("matrix"), F.count(F.lit(1)).alias("k"))
-    sums = per.select(*by, F.posexplode("y").alias("i", "v")).groupBy(*by, "i").agg(F.sum("v").alias("v")).groupBy(*by).agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "v"))), lambda s: s["v"]).alias(f"sy_{y}"))
-    outer = per.select(*by, F.posexplode(F.flatten(F.transform("y", lambda a: F.transform("y", lambda b: a * b)))).alias("i", "v")).groupBy(*by, "i").agg(F.sum("v").alias("v")).groupBy(*by).agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "v"))), lambda s: s["v"]).alias(f"q_{y}"))
-    return CompressedFrame(heads.join(sums, by).join(outer, by), "between", replace(spec, outcomes=(y,)))
+
+    def partial(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[tuple[int, int], np.ndarray] = {}
+        size = 0
+
+        def out() -> pa.RecordBatch:
+            lengths = [len(v) for v in sums.values()]
+            keys = [np.repeat(np.array([g[k] for g in sums], np.int64), lengths) for k in (0, 1)]
+            places = np.concatenate([np.arange(n, dtype=np.int32) for n in lengths])
+            return pa.RecordBatch.from_arrays([*map(pa.array, keys), pa.array(places), pa.array(np.concatenate(list(sums.values())))], names=["g1", "g2", "i", "v"])
+
+        for batch in batches:
+            names = zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True)
+            for i, g in enumerate(names):
+                y = [np.asarray(batch.column(2 + k)[i].values, float) for k in range(len(ys))]
+                new = np.concatenate([[1.0], *[x for v in y for x in (v, np.outer(v, v).ravel())]])
+                if g in sums:
+                    sums[g] += new
+                else:
+                    sums[g] = new
+                    size += len(new)
+                if size > PARTIAL:
+                    yield out()
+                    sums, size = {}, 0
+        if sums:
+            yield out()
+
+    heads = held.groupBy(*by).agg(F.first("matrix").alias("matrix"))
+    added = held.select(*by, *[f"y{k}" for k in range(len(ys))]).mapInArrow(partial, "g1 long, g2 long, i int, v double").groupBy(*by, "i").agg(F.sum("v").alias("v"))
+    added = added.groupBy(*by).agg(F.transform(F.sort_array(F.collect_list(F.struct("i", "v"))), lambda s: s["v"]).alias("v"))
+    t = F.size("matrix")
+    out = heads.join(added, by).withColumn("k", F.get("v", 0).cast("long"))
+    for k, y in enumerate(ys):
+        start = F.lit(2) + F.lit(k) * (t + t * t)
+        out = out.withColumns({f"sy_{y}": F.slice("v", start, t), f"q_{y}": F.slice("v", start + t, t * t)})
+    return CompressedFrame(out.drop("v"), "between", spec, {"held": held})
 
 
 _ADD = ("cnt", "sw", "sy_", "syy_", "swy_", "swyy_", "sw2", "m2_", "sxy_")
@@ -296,9 +408,11 @@ def rollup(cf: CompressedFrame, drop: list[str]) -> CompressedFrame:
     return _regroup(cf, [k for k in cf.keys if k not in drop], spec)
 
 
-def expand_frequency(cf: CompressedFrame) -> DataFrame:
-    """Rows again from frequency records."""
-    return cf.df.withColumn("_r", F.explode(F.sequence(F.lit(1), F.col("cnt").cast("int")))).drop("_r", "cnt")
+def expand_frequency(cf: CompressedFrame, block: int = 1_000_000) -> DataFrame:
+    """Rows again from frequency records; a count beyond a block is dealt to rows of one block first, so no array is longer."""
+    blocks = cf.df.withColumn("_b", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("cnt") - 1) / block).cast("long"))))
+    size = F.least(F.lit(block).cast("long"), F.col("cnt") - F.col("_b") * block)
+    return blocks.withColumn("_r", F.explode(F.sequence(F.lit(1).cast("long"), size))).drop("_r", "_b", "cnt")
 
 
 def within_transform(df: DataFrame, columns: list[str], by: str) -> DataFrame:

@@ -9,15 +9,21 @@ from lincompress.operators.compress import CompressedFrame
 from lincompress.operators.gram import stats_view
 
 
-def feature_summary(cf: CompressedFrame, columns: list[str]) -> DataFrame:
-    """feature, n, mean, variance (n - 1), min, max."""
-    w = F.col("cnt").cast("double")
-    parts = []
-    for c in columns:
+def _with_means(cf: CompressedFrame, columns: list[str], exact: str | None = None) -> DataFrame:
+    """The frame beside its number of rows and the means of some columns (one row, joined by broadcast). exact: a decimal type to sum in."""
+    n = F.sum("cnt").cast("double")
+    value = lambda c: F.col(f"`{c}`").cast(exact) if exact else F.col(f"`{c}`").cast("double")
+    means = cf.df.agg(n.alias("_n"), *[(F.sum(value(c) * F.col("cnt")).cast("double") / n).alias(f"_m{i}") for i, c in enumerate(columns)])
+    return cf.df.crossJoin(F.broadcast(means))
+
+
+def feature_summary(cf: CompressedFrame, columns: list[str], exact: str | None = None) -> DataFrame:
+    """feature, n, mean, variance (n - 1), min, max. Variances are about the mean; sums of a decimal type don't depend on the order of rows."""
+    w, parts = F.col("cnt").cast("double"), []
+    for i, c in enumerate(columns):
         x = F.col(f"`{c}`").cast("double")
-        n, mean = F.sum(w), F.sum(w * x) / F.sum(w)
-        parts.append(F.struct(F.lit(c).alias("feature"), n.alias("n"), mean.alias("mean"), F.try_divide(F.sum(w * x * x) - n * mean * mean, n - 1).alias("variance"), F.min(x).alias("min"), F.max(x).alias("max")))
-    return cf.df.agg(F.array(*parts).alias("r")).select(F.inline("r"))
+        parts.append(F.struct(F.lit(c).alias("feature"), F.first("_n").alias("n"), F.first(f"_m{i}").alias("mean"), F.try_divide(F.sum(w * F.pow(x - F.col(f"_m{i}"), F.lit(2))), F.first("_n") - 1).alias("variance"), F.min(x).alias("min"), F.max(x).alias("max")))
+    return _with_means(cf, columns, exact).agg(F.array(*parts).alias("r")).select(F.inline("r"))
 
 
 def feature_quantiles(cf: CompressedFrame, column: str, qs: list[float]) -> DataFrame:
@@ -25,11 +31,8 @@ def feature_quantiles(cf: CompressedFrame, column: str, qs: list[float]) -> Data
 
 
 def feature_corr(cf: CompressedFrame, a: str, b: str) -> DataFrame:
-    w, x, y = F.col("cnt").cast("double"), F.col(f"`{a}`").cast("double"), F.col(f"`{b}`").cast("double")
-    n = F.sum(w)
-    mx, my = F.sum(w * x) / n, F.sum(w * y) / n
-    cov, vx, vy = F.sum(w * x * y) / n - mx * my, F.sum(w * x * x) / n - mx * mx, F.sum(w * y * y) / n - my * my
-    return cf.df.agg(n.alias("n"), F.try_divide(cov, F.sqrt(vx * vy)).alias("corr"))
+    w, x, y = F.col("cnt").cast("double"), F.col(f"`{a}`").cast("double") - F.col("_m0"), F.col(f"`{b}`").cast("double") - F.col("_m1")
+    return _with_means(cf, [a, b]).agg(F.first("_n").alias("n"), F.try_divide(F.sum(w * x * y), F.sqrt(F.sum(w * x * x) * F.sum(w * y * y))).alias("corr"))
 
 
 def cooccurrence(cf: CompressedFrame, a: str, b: str) -> DataFrame:
@@ -41,6 +44,10 @@ def feature_histogram(cf: CompressedFrame, column: str, bins: int, lo: float, hi
 
 
 def outcome_by(cf: CompressedFrame, column: str) -> DataFrame:
-    """Mean of the first outcome with its standard error at each value of a feature."""
-    n, s, q = F.sum("_w"), F.sum("_s0"), F.sum("_q0")
-    return stats_view(cf).groupBy(column).agg(n.alias("n"), (s / n).alias("mean"), F.sqrt(F.greatest(F.try_divide(q - s * s / n, (n - 1) * n), F.lit(0.0))).alias("se"))
+    """Mean of the first outcome with its standard error at each value of a feature; spread is about the means of records and values."""
+    own = F.col("_s0") / F.col("_w")
+    view = stats_view(cf).withColumn("_o", own).withColumn("_i", F.greatest(F.col("_q0") - own * F.col("_s0"), F.lit(0.0)))
+    means = view.groupBy(F.col(f"`{column}`").alias("_key")).agg(F.sum("_w").alias("n"), (F.sum("_s0") / F.sum("_w")).alias("mean"))
+    spread = F.sum(F.col("_i") + F.col("_w") * F.pow(F.col("_o") - F.col("mean"), F.lit(2)))
+    found = view.join(means, F.col(f"`{column}`").eqNullSafe(F.col("_key"))).groupBy("_key", "n", "mean")
+    return found.agg(F.sqrt(F.try_divide(spread, (F.col("n") - 1) * F.col("n"))).alias("se")).withColumnRenamed("_key", column)

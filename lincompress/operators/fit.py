@@ -1,7 +1,8 @@
 """Linear fits from raw rows or compressed frames, with homoskedastic, heteroskedasticity-consistent and cluster covariances.
 
-Only sums of model size reach the driver. A frame is scanned twice: once for the coefficients, once for what depends on
-them (residual sums by group, and the scores of clusters).
+A compressed frame is computed once: a small one (``gram.LOCAL`` numbers, checked) goes to the driver and is fitted there, a larger one is
+persisted, scanned for the coefficients and again for what depends on them (residual sums by group, and the scores of
+clusters), for all outcomes together. Of larger frames only sums of model size reach the driver. Raw rows (kind none) are scanned twice.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 from lincompress.functions.tails import f_sf, t_quantile, t_sf
 from lincompress.operators import compress as C
 from lincompress.operators.compress import CompressedFrame, packed, split_design
-from lincompress.operators.gram import _arrow_sums, stats_view, sums, total
+from lincompress.operators.gram import local_rows, stats_view, sums, total
 from lincompress.operators.solve import inverse_spd
 from lincompress.plans.design import ModelSpec, resolve
 
@@ -90,64 +91,124 @@ def fit_compressed(cf: CompressedFrame, cov: str = "homoskedastic", spec: ModelS
         if extra:
             raise ValueError(f"not in the frame: {sorted(extra)}")
         cf = replace(cf, spec=spec)
-    if cf.kind == "between":
-        return _fit_between(cf, cov, on_alias) if cov == "cluster" else fit_compressed(between_rows(cf), cov, None, small_sample, on_alias, method)
-    if cf.kind == "balanced" and cov == "ehw":
-        return fit_compressed(balanced_rows(cf), cov, None, small_sample, on_alias, method)
-    if cf.kind not in ROWS:
-        return _fit_blocks(cf, cov, on_alias, small_sample)
-    return _fit_rows(cf, cov, small_sample, on_alias, method, cluster)
+    if cf.kind == "none":
+        return _fit_rows(cf, cov, small_sample, on_alias, method, cluster)
+    level = cf.df.storageLevel
+    keep = not (level.useMemory or level.useDisk)
+    if keep:
+        cf = replace(cf, df=cf.df.persist())
+    try:
+        if cf.kind == "between":
+            return _fit_between(cf, cov, on_alias) if cov == "cluster" else _fit_rows(between_rows(cf), cov, small_sample, on_alias, method, None)
+        if cf.kind == "balanced" and cov == "ehw":
+            return _fit_rows(balanced_rows(cf), cov, small_sample, on_alias, method, None)
+        if cf.kind not in ROWS:
+            return _fit_blocks(cf, cov, on_alias, small_sample)
+        return _fit_rows(cf, cov, small_sample, on_alias, method, cluster)
+    finally:
+        if keep:
+            cf.df.unpersist()
+
+
+class _Local:
+    """Sums of a frame that the driver holds."""
+
+    def __init__(self, names: list[str], x: np.ndarray, values: np.ndarray, codes: np.ndarray | None):
+        self.x, self.v, self.codes = x, dict(zip(names, values.T, strict=True)), codes
+
+    def first(self, o: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+        w = self.v["_w"]
+        s, q = (np.array([self.v[f"{c}{k}"] for k in range(o)]) for c in ("_s", "_q"))
+        return (self.x * w[:, None]).T @ self.x, self.x.T @ s.T, np.r_[w.sum(), self.v["_n"].sum(), len(w), q.sum(axis=1), s.sum(axis=1)]
+
+    def second(self, coef: np.ndarray, cov: str, squared: bool, lever: np.ndarray | None, power: int) -> tuple[np.ndarray, list[np.ndarray], int | None]:
+        w, rss, meats, clusters = self.v["_w"], [], [], None
+        for k, beta in enumerate(coef.T):
+            f, s = self.x @ beta, self.v[f"_s{k}"]
+            if f"_c{k}" in self.v:
+                r = self.v[f"_c{k}"] + w * (np.divide(s, w, out=np.zeros_like(s), where=w > 0) - f) ** 2
+            else:
+                r = w * f * f - 2 * f * s + self.v[f"_q{k}"]
+            rss.append(max(r.sum(), 0.0))
+            if cov == "ehw":
+                e = self.v["_w2"] * f * f - 2 * f * self.v[f"_t{k}"] + self.v[f"_r{k}"] if squared else r
+                if lever is not None:
+                    e = e / (1 - np.einsum("ij,ij->i", self.x @ lever, self.x)) ** power
+                meats.append((self.x * e[:, None]).T @ self.x)
+            elif cov == "cluster":
+                clusters = int(self.codes.max()) + 1 if len(self.codes) else 0
+                u = np.array([np.bincount(self.codes, c * (s - w * f), clusters) for c in self.x.T])
+                meats.append(u @ u.T)
+        return np.array(rss), meats, clusters
+
+
+class _Spread:
+    """The same sums of a frame that stays on the cluster: one job for each call, whatever the number of outcomes."""
+
+    def __init__(self, view: DataFrame, x: list[Column], by: str | None, method: str):
+        self.view, self.x, self.by, self.method = view, x, by, method
+
+    def first(self, o: int):
+        s, q = ([F.col(f"{c}{k}") for k in range(o)] for c in ("_s", "_q"))
+        (gram,), xy, flat = sums(self.view, self.x, [F.col("_w")], s, [F.col("_w"), F.col("_n"), F.lit(1.0), *q, *s], self.method)
+        return gram, xy, flat
+
+    def second(self, coef, cov, squared, lever, power):
+        x, p, o, w = self.x, len(self.x), coef.shape[1], F.col("_w")
+        held = self.view.withColumns({f"_f{k}": linear(coef[:, k], x) for k in range(o)})
+        rs, es, scores = [], [], []
+        for k in range(o):
+            f, s = F.col(f"_f{k}"), F.col(f"_s{k}")
+            if f"_c{k}" in held.columns:
+                rs.append(F.col(f"_c{k}") + w * F.pow(F.try_divide(s, w) - f, F.lit(2)))
+            else:
+                rs.append(w * f * f - 2 * f * s + F.col(f"_q{k}"))
+            es.append(F.col("_w2") * f * f - 2 * f * F.col(f"_t{k}") + F.col(f"_r{k}") if squared else rs[-1])
+            scores.append(s - w * f)
+        if cov == "homoskedastic":
+            return np.maximum(total(held, rs), 0), [], None
+        if cov == "ehw":
+            if lever is not None:
+                h = sum((x[i] * x[j] * float(lever[i, j]) for i in range(p) for j in range(p) if lever[i, j]), F.lit(0.0))
+                es = [e / F.pow(F.lit(1.0) - h, F.lit(power)) for e in es]
+            meats, _, flat = sums(held, x, es, (), rs, self.method)
+            return np.maximum(flat, 0), meats, None
+        per = held.groupBy(f"`{self.by}`").agg(*[F.sum(c * scores[k]).alias(f"_u{k}_{i}") for k in range(o) for i, c in enumerate(x)], *[F.sum(r).alias(f"_r{k}") for k, r in enumerate(rs)])
+        (meat,), _, flat = sums(per, [F.col(f"_u{k}_{i}") for k in range(o) for i in range(p)], [F.lit(1.0)], (), [F.lit(1.0), *[F.col(f"_r{k}") for k in range(o)]], self.method)
+        return np.maximum(flat[1:], 0), [meat[k * p : (k + 1) * p, k * p : (k + 1) * p] for k in range(o)], int(flat[0])
 
 
 def _fit_rows(cf, cov, small_sample, on_alias, method, cluster) -> FitResult:
     spec, view = cf.spec, stats_view(cf)
     names, x = [n for n, _ in spec.design()], [c for _, c in spec.design()]
     p, o = len(x), len(spec.outcomes)
-    w = F.col("_w")
-    extras = [w, F.col("_n"), F.lit(1.0), *[F.col(f"_q{k}") for k in range(o)], *[F.col(f"_s{k}") for k in range(o)]]
-    (gram,), xy, flat = sums(view, x, [w], [F.col(f"_s{k}") for k in range(o)], extras, method)
+    if cov not in ("homoskedastic", "ehw", "cluster"):
+        raise ValueError(f"unknown covariance {cov}")
+    by = (cluster or spec.cluster) if cov == "cluster" else None
+    if cov == "cluster" and (not by or by not in view.columns):
+        raise ValueError("the frame holds no cluster")
+    if small_sample in ("HC2", "HC3") and spec.weight and spec.weight_kind != "frequency":
+        raise ValueError("leverage differs within a group of unequal weights")
+    values = [c for c in view.columns if c.startswith("_") and c not in spec.keys and c != spec.cluster]
+    table = local_rows(view, x, [F.col(c) for c in values], by) if cf.kind != "none" and method == "auto" else None
+    held = _Local(values, *table) if table else _Spread(view, x, by, method)
+    gram, xy, flat = held.first(o)
     weight, n, records, yy, ys = flat[0], flat[1], int(flat[2]), flat[3 : 3 + o], flat[3 + o :]
     bread = inverse_spd(gram, on_alias)
     coef = bread @ xy
     coef += bread @ (xy - gram @ coef)
     df = _df(spec, n, weight, p) if cf.kind != "means" else records - p
-    covs, rss = [], np.zeros(o)
-    by = cluster or spec.cluster
-    clusters = None
-    for k in range(o):
-        fit = linear(coef[:, k], x)
-        held = view.withColumn("_f", fit)
-        f = F.col("_f")
-        if cf.extra.get("centred"):
-            r = F.col(f"_c{k}") + w * F.pow(F.col(f"_s{k}") / w - f, F.lit(2))
-        else:
-            r = w * f * f - 2 * f * F.col(f"_s{k}") + F.col(f"_q{k}")
-        if cov == "homoskedastic":
-            rss[k] = max(total(held, [r])[0], 0.0)
-            covs.append(bread * rss[k] / df if df > 0 else bread * math.nan)
-        elif cov == "ehw":
-            e = r if "_w2" not in view.columns or spec.weight_kind == "frequency" else F.col("_w2") * f * f - 2 * f * F.col(f"_t{k}") + F.col(f"_r{k}")
-            if small_sample in ("HC2", "HC3"):
-                lever = sum((x[i] * x[j] * float(bread[i, j]) for i in range(p) for j in range(p) if bread[i, j]), F.lit(0.0))
-                if spec.weight and spec.weight_kind != "frequency":
-                    raise ValueError("leverage differs within a group of unequal weights")
-                e = e / (F.lit(1.0) - lever) if small_sample == "HC2" else e / F.pow(F.lit(1.0) - lever, F.lit(2))
-            (meat,), _, flat = sums(held, x, [e], (), [r], method)
-            rss[k] = flat[0]
-            scale = n / (n - p) if small_sample == "HC1" else 1.0
-            covs.append(bread @ meat @ bread * scale)
-        elif cov == "cluster":
-            if not by or by not in view.columns:
-                raise ValueError("the frame holds no cluster")
-            score = F.col(f"_s{k}") - w * f
-            per = held.groupBy(f"`{by}`").agg(*[F.sum(c * score).alias(f"_u{i}") for i, c in enumerate(x)])
-            (meat,), _, flat = sums(per, [F.col(f"_u{i}") for i in range(p)], [F.lit(1.0)], (), [F.lit(1.0)], method)
-            clusters = int(flat[0])
-            rss[k] = yy[k] - coef[:, k] @ xy[:, k]
-            scale = clusters / (clusters - 1) * (n - 1) / (n - p) if small_sample == "CR1" else 1.0
-            covs.append(bread @ meat @ bread * scale)
-        else:
-            raise ValueError(f"unknown covariance {cov}")
+    squared = "_w2" in values and spec.weight_kind != "frequency"
+    rss, meats, clusters = held.second(coef, cov, squared, bread if small_sample in ("HC2", "HC3") else None, 1 if small_sample == "HC2" else 2)
+    scale = 1.0
+    if cov == "ehw" and small_sample == "HC1":
+        scale = n / (n - p)
+    elif cov == "cluster" and small_sample == "CR1":
+        scale = clusters / (clusters - 1) * (n - 1) / (n - p)
+    if cov == "homoskedastic":
+        covs = [bread * r / df if df > 0 else bread * math.nan for r in rss]
+    else:
+        covs = [bread @ m @ bread * scale for m in meats]
     spread = yy - np.divide(ys**2, weight, out=np.zeros(o), where=np.full(o, weight > 0))
     r2 = 1 - np.divide(rss, spread, out=np.full(o, math.nan), where=spread > 0)
     return FitResult(names, spec.outcomes, coef, covs, weight if spec.weight_kind == "frequency" else n, records, df, rss, r2, cf.kind, cov, bread, clusters)
@@ -195,7 +256,12 @@ def _fit_blocks(cf: CompressedFrame, cov: str, on_alias: str, small_sample: str
     where = packed(p)
     tail = [F.col("cnt"), F.lit(1.0), *[F.col(f"syy_{y}") for y in ys], *[F.col(f"sy_{y}") for y in ys]]
     cross = [v(i, y) for y in ys for i in range(p)]
-    if kron:
+    o, table = len(ys), None if expanded else local_rows(rows, [], [m(i, j) for i, j in where] + cross + tail)
+    if table:
+        cells = table[1]
+        flat = cells.sum(axis=0)
+        entries, flat = flat[: len(where)], flat[len(where) :]
+    elif kron:
         # balanced: each entry is a shared moment of periods times a sum over units of two static factors
         places, a, shared = kron
         pairs = sorted({tuple(sorted((places[i][0], places[j][0]))) for i, j in where})
@@ -209,18 +275,25 @@ def _fit_blocks(cf: CompressedFrame, cov: str, on_alias: str, small_sample: str
     gram = np.zeros((p, p))
     for (i, j), e in zip(where, entries, strict=True):
         gram[i, j] = gram[j, i] = e
-    o = len(ys)
     xy = flat[: p * o].reshape(o, p).T
     n, clusters, yy, sy = flat[p * o], int(flat[p * o + 1]), flat[p * o + 2 : p * o + 2 + o], flat[p * o + 2 + o :]
     bread = inverse_spd(gram, on_alias)
     coef = bread @ xy
     coef += bread @ (xy - gram @ coef)
     df, covs = n - p, []
-    rss = np.array([yy[k] - coef[:, k] @ xy[:, k] for k in range(o)])
+    rss = np.array([max(yy[k] - coef[:, k] @ xy[:, k], 0.0) for k in range(o)])
     for k, y in enumerate(ys):
         if cov == "homoskedastic":
             covs.append(bread * rss[k] / df)
             continue
+        if table:
+            grams = np.zeros((len(cells), p, p))
+            for a, (i, j) in enumerate(where):
+                grams[:, i, j] = grams[:, j, i] = cells[:, a]
+            u = cells[:, len(where) + k * p : len(where) + (k + 1) * p] - grams @ coef[:, k]
+            scale = clusters / (clusters - 1) * (n - 1) / (n - p) if small_sample == "CR1" else 1.0
+            covs.append(bread @ (u.T @ u) @ bread * scale)
+            continue
         taken = lambda i: linear(coef[:, k], [m(i, j) for j in range(p)])  # noqa: B023, E731
         if expanded:
             named = rows.select(*[v(i, y).alias(f"_v{i}") for i in range(p)], *[taken(i).alias(f"_g{i}") for i in range(p)])
@@ -243,11 +316,11 @@ def fit_moments_expanded(cf: CompressedFrame) -> FitResult:
 
 def between_rows(cf: CompressedFrame) -> CompressedFrame:
     """Sufficient statistics by place in the matrix; squares stand on the diagonal of the outer products."""
-    y = cf.spec.outcomes[0]
-    rows = cf.df.select(F.posexplode("matrix").alias("_i", "_m"), "k", f"sy_{y}", f"q_{y}")
-    n = F.size(f"sy_{y}")
-    rows = rows.select("_m.*", F.col("k").alias("cnt"), F.get(f"sy_{y}", F.col("_i")).alias("_s"), F.get(f"q_{y}", F.col("_i") * n + F.col("_i")).alias("_q"))
-    return CompressedFrame(rows.withColumnsRenamed({"_s": f"sy_{y}", "_q": f"syy_{y}"}), "stats", replace(cf.spec, cluster=None))
+    ys = cf.spec.outcomes
+    rows = cf.df.select(F.posexplode("matrix").alias("_i", "_m"), "k", *[c for y in ys for c in (f"sy_{y}", f"q_{y}")])
+    n, i = F.size(f"sy_{ys[0]}"), F.col("_i")
+    sums_ = [c for y in ys for c in (F.get(f"sy_{y}", i).alias(f"sy_{y}"), F.get(f"q_{y}", i * n + i).alias(f"syy_{y}"))]
+    return CompressedFrame(rows.select("_m.*", F.col("k").alias("cnt"), *sums_), "stats", replace(cf.spec, cluster=None))
 
 
 def balanced_rows(cf: CompressedFrame) -> CompressedFrame:
@@ -266,32 +339,35 @@ def balanced_rows(cf: CompressedFrame) -> CompressedFrame:
 
 def _fit_between(cf: CompressedFrame, cov: str, on_alias: str) -> FitResult:
     """Cluster covariance from groups of clusters with one feature matrix: no cluster is looked at again."""
-    y, spec = cf.spec.outcomes[0], cf.spec
-    base = fit_compressed(between_rows(cf), "homoskedastic", None, None, on_alias)
+    ys, spec = cf.spec.outcomes, cf.spec
+    base = _fit_rows(between_rows(cf), "homoskedastic", None, on_alias, "auto", None)
     x = [c for _, c in spec.design()]
     cells = cf.df.select("g1", "g2", F.posexplode("matrix").alias("_i", "_m")).select("g1", "g2", "_i", "_m.*")
     cells = cells.select("g1", "g2", F.struct("_i", F.array(*x).alias("x")).alias("r")).groupBy("g1", "g2").agg(F.sort_array(F.collect_list("r")).alias("r"))
-    rows = cells.select("g1", "g2", F.flatten(F.transform("r", lambda s: s["x"])).alias("x")).join(cf.df.select("g1", "g2", "k", f"sy_{y}", f"q_{y}"), ["g1", "g2"])
-    beta, p = base.coef[:, 0], len(x)
+    stored = [c for y in ys for c in (f"sy_{y}", f"q_{y}")]
+    rows = cells.select("g1", "g2", F.flatten(F.transform("r", lambda s: s["x"])).alias("x")).join(cf.df.select("g1", "g2", "k", *stored), ["g1", "g2"])
+    beta, p, o = base.coef, len(x), len(ys)
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        out, clusters = np.zeros((p, p)), 0
+        out, clusters, groups = np.zeros((o, p, p)), 0, 0
         for batch in batches:
-            for flat, k, s, q in zip(*(batch.column(i) for i in range(4)), strict=True):
-                s = np.array(s.as_py())
-                m, q = np.array(flat.as_py()).reshape(len(s), p), np.array(q.as_py()).reshape(len(s), len(s))
-                f = m @ beta
-                cross = np.outer(s, f)
-                out += m.T @ (q - cross - cross.T + k.as_py() * np.outer(f, f)) @ m
-                clusters += k.as_py()
-        flat = np.r_[out.ravel(), clusters]
+            for row in zip(*batch.columns, strict=True):
+                flat, k = np.asarray(row[0].values, float), row[1].as_py()
+                m = flat.reshape(-1, p)
+                for j in range(o):
+                    s, q = (np.asarray(row[2 + 2 * j + c].values, float) for c in (0, 1))
+                    f = m @ beta[:, j]
+                    cross = np.outer(s, f)
+                    out[j] += m.T @ (q.reshape(len(s), len(s)) - cross - cross.T + k * np.outer(f, f)) @ m
+                clusters, groups = clusters + k, groups + 1
+        flat = np.r_[out.ravel(), clusters, groups]
         yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(flat), dtype=np.int32)), pa.array(flat)], names=["i", "v"])
 
-    got = np.zeros(p * p + 1)
-    for r in rows.select("x", "k", f"sy_{y}", f"q_{y}").mapInArrow(each, "i int, v double").groupBy("i").agg(F.sum("v").alias("v")).collect():
+    got = np.zeros(o * p * p + 2)
+    for r in rows.select("x", "k", *stored).mapInArrow(each, "i int, v double").groupBy("i").agg(F.sum("v").alias("v")).collect():
         got[r.i] = r.v
-    base.cov = [base.bread @ got[:-1].reshape(p, p) @ base.bread]
-    base.kind, base.estimator, base.clusters, base.records = "between", "cluster", int(got[-1]), cf.df.count()
+    base.cov = [base.bread @ m @ base.bread for m in got[:-2].reshape(o, p, p)]
+    base.kind, base.estimator, base.clusters, base.records = "between", "cluster", int(got[-2]), int(got[-1])
     return base
 
 
@@ -305,11 +381,21 @@ COMPRESSIONS = {
 def fit_linear(df: DataFrame, spec: ModelSpec, strategy: str = "auto", cov: str = "homoskedastic", **options) -> FitResult:
     """Compress, then fit. strategy auto asks the planner."""
     spec = resolve(df, spec)
-    if strategy == "auto":
+    planned = strategy == "auto"
+    if planned:
         from lincompress.plans.planner import plan_strategy
 
         strategy = plan_strategy(df, spec, cov).strategy
-    return fit_compressed(COMPRESSIONS[strategy](df, spec), cov, **options)
+    try:
+        cf = COMPRESSIONS[strategy](df, spec)
+    except C.Unbalanced:
+        if not planned:
+            raise
+        cf = C.compress_static(df, spec)  # periods that repeat alike in all clusters, which the planner's marks can't tell
+    try:
+        return fit_compressed(cf, cov, **options)
+    finally:
+        cf.release()
 
 
 def fit_lpm(df: DataFrame, spec: ModelSpec, cov: str = "ehw") -> FitResult:
@@ -319,14 +405,19 @@ def fit_lpm(df: DataFrame, spec: ModelSpec, cov: str = "ehw") -> FitResult:
 
 
 def mean_variance(cf: CompressedFrame) -> DataFrame:
-    """Mean and variance (n - 1) of each outcome from its sums."""
+    """Mean and variance (n - 1) of each outcome from its sums: spread inside the records, and of the records about the mean."""
     view = stats_view(cf)
-    rows = []
+    ys = range(len(cf.spec.outcomes))
     n = F.sum("_w")
+    means = view.agg(n.alias("_n0"), *[(F.sum(f"_s{k}") / n).alias(f"_m{k}") for k in ys])
+    rows = []
+    held = view.crossJoin(F.broadcast(means))  # one row
     for k, y in enumerate(cf.spec.outcomes):
-        s, q = F.sum(f"_s{k}"), F.sum(f"_q{k}")
-        rows.append(F.struct(F.lit(y).alias("outcome"), n.alias("n"), (s / n).alias("mean"), F.try_divide(q - s * s / n, n - 1).alias("variance")))
-    return view.agg(F.array(*rows).alias("r")).select(F.inline("r"))
+        own = F.try_divide(F.col(f"_s{k}"), F.col("_w"))
+        inside = F.col(f"_c{k}") if cf.extra.get("centred") else F.col(f"_q{k}") - own * F.col(f"_s{k}")
+        spread = F.sum(F.greatest(inside, F.lit(0.0)) + F.col("_w") * F.pow(own - F.col(f"_m{k}"), F.lit(2)))
+        rows.append(F.struct(F.lit(y).alias("outcome"), F.first("_n0").alias("n"), F.first(f"_m{k}").alias("mean"), F.try_divide(spread, F.first("_n0") - 1).alias("variance")))
+    return held.agg(F.array(*rows).alias("r")).select(F.inline("r"))
 
 
 def contrast(fit: FitResult, l: np.ndarray, k: int = 0) -> tuple[np.ndarray, np.ndarray]:
@@ -385,6 +476,3 @@ def posterior(cf: CompressedFrame, ridge: float = 1.0, seed: int = 0, k: int = 0
     cov = cov * fit.rss[k] / fit.df
     return mean, cov, np.random.default_rng(seed).multivariate_normal(mean, cov)
 
-
-__all__ = [n for n in dir() if not n.startswith("_")]
-_arrow_sums  # used by tests of the packed form

@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 
 from lincompress.operators.compress import CompressedFrame, packed
 
+#: Numbers that the driver takes: a compressed frame of this size or less is fitted there in numpy, with one job.
+LOCAL = 2_000_000
 #: Aggregates in one row up to here; beyond, whole-stage code generation gives up, so numpy partial sums take over.
 WIDE = 90
 
@@ -51,6 +53,18 @@ def total(df: DataFrame, values: list[Column]) -> np.ndarray:
     return np.array([0.0 if x is None else float(x) for x in row])
 
 
+def local_rows(df: DataFrame, x: list[Column], values: list[Column], by: str | None = None, most: int = LOCAL) -> tuple[np.ndarray, np.ndarray, np.ndarray | None] | None:
+    """Design, values and numbers of clusters of all rows, if they are no more than ``most`` numbers; else None. One job."""
+    rows = most // (len(x) + len(values))
+    columns = [F.array(*x, *values).alias("v"), *[F.col(f"`{by}`").alias("by")] * bool(by)]
+    table = df.select(*columns).limit(rows + 1).toArrow()
+    if table.num_rows > rows:
+        return None
+    flat = np.asarray(table["v"].combine_chunks().flatten().fill_null(0.0), float).reshape(table.num_rows, len(x) + len(values))
+    codes = table["by"].combine_chunks().dictionary_encode(null_encoding="encode").indices.to_numpy() if by else None
+    return flat[:, : len(x)], flat[:, len(x) :], codes
+
+
 def _arrow_sums(df: DataFrame, x: list[Column], w: list[Column], s: list[Column], extra: list[Column]) -> np.ndarray:
     """Per weight the packed X'WX, then X's, then plain sums: numpy in each partition, added up by place."""
     p, nw, ns, ne = len(x), len(w), len(s), len(extra)

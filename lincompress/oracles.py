@@ -27,3 +27,16 @@ m AS ({meat}),
 v AS (SELECT k.c0, k.c1, c / (a * c - b * b) AS i00, -b / (a * c - b * b) AS i01, a / (a * c - b * b) AS i11, m00, m01, m11 FROM k, m)
 SELECT '(intercept)' AS term, round(c0, {digits}) AS coef, round(sqrt(i00 * i00 * m00 + 2 * i00 * i01 * m01 + i01 * i01 * m11), {digits}) AS se FROM v
 UNION ALL SELECT 'x', round(c1, {digits}), round(sqrt(i01 * i01 * m00 + 2 * i01 * i11 * m01 + i11 * i11 * m11), {digits}) FROM v"""
+
+
+def lines_by_group(table: str, group: str, x: str, y: str, cluster: str) -> str:
+    """Intercept and slope of each group (h) with their cluster covariance, from raw rows. Clusters lie within groups, so a model with
+    the group, x and all products is these lines side by side."""
+    return f"""SELECT h, c0, c1, n, i00 * i00 * m00 + 2 * i00 * i01 * m01 + i01 * i01 * m11 AS v00, i00 * i01 * m00 + (i00 * i11 + i01 * i01) * m01 + i01 * i11 * m11 AS v01,
+  i01 * i01 * m00 + 2 * i01 * i11 * m01 + i11 * i11 * m11 AS v11
+FROM (WITH d AS (SELECT {group} AS h, ({x})::DOUBLE AS x, ({y})::DOUBLE AS y, {cluster} AS g FROM ({table})),
+  s AS (SELECT h, count(*) AS a, sum(x) AS b, sum(x * x) AS c, sum(y) AS p, sum(x * y) AS q FROM d GROUP BY h),
+  k AS (SELECT h, a, (c * p - b * q) / (a * c - b * b) AS c0, (a * q - b * p) / (a * c - b * b) AS c1, c / (a * c - b * b) AS i00, -b / (a * c - b * b) AS i01, a / (a * c - b * b) AS i11 FROM s),
+  u AS (SELECT d.h, d.g, sum(d.y - k.c0 - k.c1 * d.x) AS u, sum((d.y - k.c0 - k.c1 * d.x) * d.x) AS v FROM d JOIN k ON d.h = k.h GROUP BY d.h, d.g),
+  m AS (SELECT h, sum(u * u) AS m00, sum(u * v) AS m01, sum(v * v) AS m11 FROM u GROUP BY h)
+  SELECT k.h, k.a AS n, c0, c1, i00, i01, i11, m00, m01, m11 FROM k JOIN m ON k.h = m.h)"""

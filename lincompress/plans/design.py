@@ -177,6 +177,6 @@ def parse_formula(text: str, **options) -> ModelSpec:
 def classify_roles(df: DataFrame, spec: ModelSpec) -> dict[str, str]:
     """Key column -> static (one value in every cluster) or dynamic; one aggregate by cluster."""
     keys = [k for k in spec.keys if k != spec.cluster]
-    same = keyed(df, spec, spec.cluster, nulls="level").groupBy(spec.cluster).agg(*[F.min(k).eqNullSafe(F.max(k)).alias(k) for k in keys])
+    same = keyed(df, spec, spec.cluster, nulls="level").groupBy(spec.cluster).agg(*[(F.min(k).eqNullSafe(F.max(k)) & F.count(k).isin(F.lit(0), F.count(F.lit(1)))).alias(k) for k in keys])
     row = same.agg(*[F.bool_and(k).alias(k) for k in keys]).first()
     return {k: "static" if row[k] or row[k] is None else "dynamic" for k in keys} | ({spec.cluster: "static"} if spec.cluster in spec.keys else {})

@@ -14,7 +14,7 @@ from lincompress.operators import baselines, compress as C, explore, measures
 from lincompress.operators.fit import COMPRESSIONS, cate, effect_over_time, fit_compressed, fit_linear, fit_lpm, fit_moments_expanded, linear, mean_variance, posterior, predict
 from lincompress.operators.glm import fit_glm, fit_logistic, loglik_grad
 from lincompress.operators.gram import dense, gram_long, gram_packed
-from lincompress.oracles import LINE, ORDERS, PANEL, two_parameters
+from lincompress.oracles import LINE, ORDERS, PANEL, lines_by_group, two_parameters
 from lincompress.plans import binning
 from lincompress.plans.design import ModelSpec, cat, expr, inter, num, parse_formula, poly, resolve
 from lincompress.plans.planner import plan_strategy
@@ -236,7 +236,7 @@ def _fit_query(name: str, kind: str, cov: str, spec: ModelSpec = X, sql: str | N
     @query(name, sql)
     def run(s, d):
         rows = source(s, d)
-        return table(s, fit_compressed(COMPRESSIONS[kind](rows, spec), cov, **options), names=names or {"disc": "x", "arm": "x"})
+        return table(s, fit_linear(rows, spec, kind, cov, **options), names=names or {"disc": "x", "arm": "x"})
 
 
 _FLAT = two_parameters(LINE, "disc", "price")
@@ -281,7 +281,7 @@ def _(s, d):
 def _panel_query(name: str, kind: str, cov: str = "cluster"):
     @query(name, two_parameters(PANEL, "arm", "y", cov, "user_id", digits=6))
     def run(s, d):
-        return table(s, fit_compressed(COMPRESSIONS[kind](panel(s, d), _PANEL_ARM), cov), 6, {"arm": "x"})
+        return table(s, fit_linear(panel(s, d), _PANEL_ARM, kind, cov), 6, {"arm": "x"})
 
 
 for _name, _kind, _cov in (
@@ -315,12 +315,14 @@ def _(s, d):
     return table(s, fit_compressed(C.uncompressed(rows, X), "cluster"), names={"disc": "x"})
 
 
-@query("ols_two_regressors", f"""WITH d AS (SELECT price AS y, disc - avg(disc) OVER () AS a, qty - avg(qty) OVER () AS b FROM ({LINE})),
-s AS (SELECT sum(a * a) AS aa, sum(b * b) AS bb, sum(a * b) AS ab, sum(a * y) AS ay, sum(b * y) AS byy FROM d)
-SELECT 'disc' AS term, round((ay * bb - byy * ab) / (aa * bb - ab * ab), 4) AS coef FROM s UNION ALL SELECT 'qty', round((byy * aa - ay * ab) / (aa * bb - ab * ab), 4) FROM s""")
+@query("ols_two_regressors", f"""WITH d AS (SELECT price - avg(price) OVER () AS y, disc - avg(disc) OVER () AS a, qty - avg(qty) OVER () AS b FROM ({LINE})),
+s AS (SELECT count(*) AS n, sum(a * a) AS aa, sum(b * b) AS bb, sum(a * b) AS ab, sum(a * y) AS ay, sum(b * y) AS byy FROM d),
+k AS (SELECT *, aa * bb - ab * ab AS det, (ay * bb - byy * ab) / (aa * bb - ab * ab) AS c1, (byy * aa - ay * ab) / (aa * bb - ab * ab) AS c2 FROM s),
+e AS (SELECT sum((y - c1 * a - c2 * b) * (y - c1 * a - c2 * b)) / (any_value(n) - 3) AS s2 FROM d, k)
+SELECT 'disc' AS term, round(c1, 4) AS coef, round(sqrt(s2 * bb / det), 4) AS se FROM k, e UNION ALL SELECT 'qty', round(c2, 4), round(sqrt(s2 * aa / det), 4) FROM k, e""")
 def _(s, d):
     fit = fit_linear(line(s, d), parse_formula("price ~ disc + qty"), "stats")
-    return table(s, fit).where("term <> '(intercept)'").drop("se")
+    return table(s, fit).where("term <> '(intercept)'")
 
 
 _SATURATED = f"WITH m AS (SELECT rf, ls, avg(qty) AS m FROM ({LINE}) GROUP BY rf, ls) SELECT rf, ls, round(m, 6) AS fitted FROM m"
@@ -342,11 +344,13 @@ def _(s, d):
     return predict(fit_compressed(later), later.df, later.spec).select("rf", "ls", F.round("fitted", 6).alias("fitted"))
 
 
-@query("predict_se", f"SELECT arm::INT AS arm, round(avg(y), 6) AS fitted FROM ({PANEL}) GROUP BY arm")
+@query("predict_se", f"""WITH m AS (SELECT arm, avg(y) AS m, count(*) AS n FROM ({PANEL}) GROUP BY arm),
+u AS (SELECT p.arm, sum(p.y - m.m) AS u FROM ({PANEL}) p JOIN m ON p.arm = m.arm GROUP BY p.arm, p.user_id)
+SELECT m.arm::INT AS arm, round(any_value(m.m), 6) AS fitted, round(sqrt(sum(u * u)) / any_value(m.n), 6) AS fitted_se FROM u JOIN m ON u.arm = m.arm GROUP BY m.arm""")
 def _(s, d):
     cf = C.compress_static(panel(s, d), _PANEL_ARM)
     grid = s.createDataFrame([(0,), (1,)], "arm int")
-    return predict(fit_compressed(cf, "cluster"), grid, cf.spec).select("arm", F.round("fitted", 6).alias("fitted"))
+    return predict(fit_compressed(cf, "cluster"), grid, cf.spec).select("arm", F.round("fitted", 6).alias("fitted"), F.round("fitted_se", 6).alias("fitted_se"))
 
 
 _MAIN = f"""WITH p AS ({PANEL}), c AS (SELECT *, arm - avg(arm) OVER () AS a, t - avg(t) OVER () AS b, y - avg(y) OVER () AS z FROM p),
@@ -354,13 +358,14 @@ k AS (SELECT sum(a * z) / sum(a * a) AS ba, sum(b * z) / sum(b * b) AS bt, sum(a
 u AS (SELECT user_id, sum(a * (z - ba * a - bt * b)) AS ua, sum(b * (z - ba * a - bt * b)) AS ub FROM c, k GROUP BY user_id)
 SELECT 'arm' AS term, round(any_value(ba), 6) AS coef, round(sqrt(sum(ua * ua)) / any_value(aa), 6) AS se FROM u, k
 UNION ALL SELECT 't', round(any_value(bt), 6), round(sqrt(sum(ub * ub)) / any_value(bb), 6) FROM u, k"""
-_INTER = f"""WITH a AS (SELECT arm, regr_intercept(y, t) AS i, regr_slope(y, t) AS b FROM ({PANEL}) GROUP BY arm), z AS (SELECT * FROM a WHERE arm = 0), o AS (SELECT * FROM a WHERE arm = 1)
-SELECT '(intercept)' AS term, round(i, 6) AS coef FROM z UNION ALL SELECT 't', round(b, 6) FROM z UNION ALL SELECT 'arm', round(o.i - z.i, 6) FROM z, o UNION ALL SELECT 'arm:t', round(o.b - z.b, 6) FROM z, o"""
+_ARM_LINES = f"WITH a AS ({lines_by_group(PANEL, 'arm', 't', 'y', 'user_id')}), z AS (SELECT * FROM a WHERE h = 0), o AS (SELECT * FROM a WHERE h = 1)"
+_INTER = f"""{_ARM_LINES} SELECT '(intercept)' AS term, round(c0, 6) AS coef, round(sqrt(v00), 6) AS se FROM z UNION ALL SELECT 't', round(c1, 6), round(sqrt(v11), 6) FROM z
+UNION ALL SELECT 'arm', round(o.c0 - z.c0, 6), round(sqrt(o.v00 + z.v00), 6) FROM z, o UNION ALL SELECT 'arm:t', round(o.c1 - z.c1, 6), round(sqrt(o.v11 + z.v11), 6) FROM z, o"""
 
 
 def _panel_main(kind):
     def run(s, d):
-        fit = fit_compressed(COMPRESSIONS[kind](panel(s, d), PANEL_SPEC), "cluster")
+        fit = fit_linear(panel(s, d), PANEL_SPEC, kind, "cluster")
         return table(s, fit, 6).where("term <> '(intercept)'")
 
     return run
@@ -368,7 +373,7 @@ def _panel_main(kind):
 
 def _panel_inter(kind):
     def run(s, d):
-        return table(s, fit_compressed(COMPRESSIONS[kind](panel(s, d), PANEL_INTER), "cluster"), 6).drop("se")
+        return table(s, fit_linear(panel(s, d), PANEL_INTER, kind, "cluster"), 6)
 
     return run
 
@@ -381,32 +386,34 @@ for _kind in ("none", "within", "cluster_moments", "static", "balanced", "betwee
 @query("panel_interaction_added_later", _INTER)
 def _(s, d):
     cf = C.compress_static(panel(s, d), PANEL_SPEC).with_terms(inter(num("arm"), num("t")))
-    return table(s, fit_compressed(cf, "cluster"), 6).drop("se")
+    return table(s, fit_compressed(cf, "cluster"), 6)
 
 
-@query("panel_effect_by_day", f"""WITH a AS (SELECT arm, regr_intercept(y, t) AS i, regr_slope(y, t) AS b FROM ({PANEL}) GROUP BY arm)
-SELECT d.t::DOUBLE AS t, round(max(CASE WHEN arm = 1 THEN i + b * d.t END) - max(CASE WHEN arm = 0 THEN i + b * d.t END), 6) AS effect FROM a, (VALUES (0), (10), (29)) d(t) GROUP BY d.t""")
+@query("panel_effect_by_day", f"""{_ARM_LINES} SELECT d.t::DOUBLE AS t, round(o.c0 + o.c1 * d.t - z.c0 - z.c1 * d.t, 6) AS effect,
+round(sqrt(o.v00 + z.v00 + 2 * d.t * (o.v01 + z.v01) + d.t * d.t * (o.v11 + z.v11)), 6) AS se FROM z, o, (VALUES (0), (10), (29)) d(t)""")
 def _(s, d):
-    fit = fit_compressed(C.compress_balanced(panel(s, d), PANEL_INTER), "cluster")
-    return values(s, [(float(t), round(v, 6)) for t, v, _ in effect_over_time(fit, "arm", "t", [0, 10, 29])], "t double, effect double")
+    fit = fit_linear(panel(s, d), PANEL_INTER, "balanced", "cluster")
+    return values(s, [(float(t), round(v, 6), round(e, 6)) for t, v, e in effect_over_time(fit, "arm", "t", [0, 10, 29])], "t double, effect double, se double")
 
 
-@query("panel_cluster_parity")
+_TIERS = ModelSpec("y", (cat("tier"), num("t"), inter(cat("tier"), num("t"))), cluster="user_id", time="t")
+_TIER_SQL = f"""WITH a AS ({lines_by_group(PANEL, 'tier', 't', 'y', 'user_id')}), z AS (SELECT * FROM a WHERE h = 0), k AS (SELECT * FROM a WHERE h > 0)
+SELECT '(intercept)' AS term, round(c0, 6) AS coef, round(sqrt(v00), 6) AS se FROM z UNION ALL SELECT 't', round(c1, 6), round(sqrt(v11), 6) FROM z
+UNION ALL SELECT 'tier[' || k.h || ']', round(k.c0 - z.c0, 6), round(sqrt(k.v00 + z.v00), 6) FROM z, k UNION ALL SELECT 'tier[' || k.h || ']:t', round(k.c1 - z.c1, 6), round(sqrt(k.v11 + z.v11), 6) FROM z, k"""
+_WAYS = ("none", "within", "cluster_moments", "static", "balanced", "between")
+
+
+@query("panel_cluster_parity", f"SELECT kind, term, coef, se FROM ({_TIER_SQL}) CROSS JOIN (SELECT unnest({list(_WAYS)}) AS kind)")
 def _(s, d):
-    """Standard errors of all ways to keep clusters, for the model with product terms; every gap is against the rows."""
+    """Ten coefficients (a line for each tier) with cluster errors, by all ways to keep clusters."""
     rows = panel(s, d).cache()
-    spec = ModelSpec("y", (cat("tier"), num("arm"), num("t"), inter(num("arm"), num("t"))), cluster="user_id", time="t")
-    spec = resolve(rows, spec)
-    base = fit_compressed(C.uncompressed(rows, spec), "cluster")
+    spec = resolve(rows, _TIERS)
     out = []
-    for kind in ("within", "cluster_moments", "static", "balanced", "between"):
-        gaps = measures.parity(fit_compressed(COMPRESSIONS[kind](rows, spec), "cluster"), base)
-        out.append((kind, gaps["coef_rel"] < 1e-8, gaps["var_rel"] < 1e-7))
+    for kind in _WAYS:
+        fit = fit_linear(rows, spec, kind, "cluster")
+        out += [(kind, n, round(float(b), 6), round(float(e), 6)) for n, b, e in zip(fit.names, fit.coef[:, 0], fit.se(), strict=True)]
     rows.unpersist()
-    return values(s, out, "kind string, coef_equal boolean, var_equal boolean")
-
-
-SQL["panel_cluster_parity"] = "SELECT unnest(['within', 'cluster_moments', 'static', 'balanced', 'between']) AS kind, true AS coef_equal, true AS var_equal"
+    return values(s, out, "kind string, term string, coef double, se double")
 
 
 @query("panel_unbalanced_static", two_parameters(ORDERS, "arm", "total", "cluster", "cust", digits=3))
@@ -415,10 +422,10 @@ def _(s, d):
     return table(s, fit_compressed(C.compress_static(orders(s, d), spec), "cluster"), 3, {"arm": "x"})
 
 
-@query("panel_unbalanced_within", f"SELECT 'yr' AS term, round(regr_slope(total, yr), 3) AS coef FROM ({ORDERS})")
+@query("panel_unbalanced_within", two_parameters(ORDERS, "yr - 1995", "total", "cluster", "cust", digits=3))
 def _(s, d):
-    spec = ModelSpec("total", (num("yr"),), cluster="cust")
-    return table(s, fit_compressed(C.compress_within_cluster(orders(s, d), spec), "cluster"), 3).where("term = 'yr'").drop("se")
+    spec = ModelSpec("total", (expr("yr - 1995", "x"),), cluster="cust")
+    return table(s, fit_compressed(C.compress_within_cluster(orders(s, d), spec), "cluster"), 3)
 
 
 # ---- weights, many outcomes, binary outcomes ----------------------------------------------------------------------------
@@ -448,10 +455,28 @@ def _(s, d):
     return table(s, fit_compressed(C.compress_weighted(line(s, d), spec, cluster=True), "cluster"), names={"disc": "x"})
 
 
-@query("multi_outcome_coef", f"SELECT 'qty' AS outcome, round(regr_slope(qty, disc), 6) AS slope FROM ({LINE}) UNION ALL SELECT 'price', round(regr_slope(price, disc), 4) FROM ({LINE}) UNION ALL SELECT 'tax', round(regr_slope(tax, disc), 6) FROM ({LINE})")
+@query("multi_outcome_coef", " UNION ALL ".join(f"SELECT '{y}' AS outcome, term, coef, se FROM ({two_parameters(LINE, 'disc', y, 'ehw', digits=5)})" for y in ("qty", "price", "tax")))
 def _(s, d):
-    fit = fit_compressed(C.compress_stats(line(s, d), ModelSpec(("qty", "price", "tax"), (num("disc"),))))
-    return values(s, [(y, round(float(fit.coef[1, k]), 4 if y == "price" else 6)) for k, y in enumerate(fit.outcomes)], "outcome string, slope double")
+    fit = fit_compressed(C.compress_stats(line(s, d), ModelSpec(("qty", "price", "tax"), (num("disc"),))), "ehw")
+    return values(s, [(y, {"disc": "x"}.get(n, n), round(b, 5), round(e, 5)) for y, n, b, e, *_ in fit.rows()], "outcome string, term string, coef double, se double")
+
+
+_PANEL_TWO = "SELECT user_id, arm, t, y, y * y + t AS z FROM (" + PANEL + ")"
+
+
+def _two(s, d):
+    return panel(s, d).withColumn("z", F.col("y") * F.col("y") + F.col("t"))
+
+
+def _multi_cluster(kind: str):
+    @query(f"multi_outcome_cluster_{kind}", " UNION ALL ".join(f"SELECT '{y}' AS outcome, term, coef, se FROM ({two_parameters(_PANEL_TWO, 'arm', y, 'cluster', 'user_id', digits=6)})" for y in ("y", "z")))
+    def run(s, d):
+        fit = fit_linear(_two(s, d), replace(_PANEL_ARM, outcomes=("y", "z")), kind, "cluster")
+        return values(s, [(y, {"arm": "x"}.get(n, n), round(b, 6), round(e, 6)) for y, n, b, e, *_ in fit.rows()], "outcome string, term string, coef double, se double")
+
+
+for _kind in ("within", "cluster_moments", "static", "balanced", "between"):
+    _multi_cluster(_kind)
 
 
 _ODDS = f"WITH a AS (SELECT arm, sum(is_f)::DOUBLE AS s, count(*) - sum(is_f)::DOUBLE AS f FROM ({ORDERS}) GROUP BY arm), z AS (SELECT * FROM a WHERE arm = 0), o AS (SELECT * FROM a WHERE arm = 1)"
@@ -494,9 +519,9 @@ def _(s, d):
     return values(s, [(round(float(baselines.mllib_logistic(orders(s, d), _LOGIT).coefficients[0]), 4),)], "coef double")
 
 
-@query("poisson_fit", f"WITH a AS (SELECT arm, avg(y) AS m FROM ({PANEL}) GROUP BY arm) SELECT '(intercept)' AS term, round(ln(max(CASE WHEN arm = 0 THEN m END)), 6) AS coef FROM a UNION ALL SELECT 'arm', round(ln(max(CASE WHEN arm = 1 THEN m END)) - ln(max(CASE WHEN arm = 0 THEN m END)), 6) FROM a")
+@query("poisson_fit", f"WITH a AS (SELECT avg(y) FILTER (arm = 0) AS m0, avg(y) FILTER (arm = 1) AS m1, sum(y) FILTER (arm = 0) AS s0, sum(y) FILTER (arm = 1) AS s1 FROM ({PANEL})) SELECT '(intercept)' AS term, round(ln(m0), 6) AS coef, round(sqrt(1 / s0), 6) AS se FROM a UNION ALL SELECT 'arm', round(ln(m1) - ln(m0), 6), round(sqrt(1 / s0 + 1 / s1), 6) FROM a")
 def _(s, d):
-    return table(s, fit_glm(C.compress_stats(panel(s, d), ModelSpec("y", (num("arm"),))), "poisson"), 6).drop("se")
+    return table(s, fit_glm(C.compress_stats(panel(s, d), ModelSpec("y", (num("arm"),))), "poisson"), 6)
 
 
 @query("logistic_quality")
@@ -585,9 +610,9 @@ def _(s, d):
 _SEEN = ModelSpec("price", (num("qty"), num("disc"), cat("rf")))
 
 
-@query("explore_summary", f"SELECT 'qty' AS feature, count(*)::DOUBLE AS n, round(avg(qty), 6) AS mean, round(var_samp(qty), 6) AS variance, min(qty) AS min, max(qty) AS max FROM ({LINE}) UNION ALL SELECT 'disc', count(*)::DOUBLE, round(avg(disc), 6), round(var_samp(disc), 6), min(disc), max(disc) FROM ({LINE})")
+@query("explore_summary", f"SELECT 'qty' AS feature, count(*)::DOUBLE AS n, round(sum(qty::DECIMAL(12,2))::DOUBLE / count(*), 9) AS mean, round(var_samp(qty), 9) AS variance, min(qty) AS min, max(qty) AS max FROM ({LINE}) UNION ALL SELECT 'disc', count(*)::DOUBLE, round(sum(disc::DECIMAL(12,2))::DOUBLE / count(*), 9), round(var_samp(disc), 9), min(disc), max(disc) FROM ({LINE})")
 def _(s, d):
-    return explore.feature_summary(C.compress_stats(line(s, d), _SEEN), ["qty", "disc"]).withColumns({"mean": F.round("mean", 6), "variance": F.round("variance", 6)})
+    return explore.feature_summary(C.compress_stats(line(s, d), _SEEN), ["qty", "disc"], exact="decimal(12,2)").withColumns({"mean": F.round("mean", 9), "variance": F.round("variance", 9)})
 
 
 @query("explore_quantile", f"SELECT q, quantile_cont(qty, q) AS value FROM ({LINE}), (VALUES (0.1::DOUBLE), (0.5), (0.9)) v(q) GROUP BY q".replace("quantile_cont(qty, q)", "CASE q WHEN 0.1 THEN quantile_cont(qty, 0.1) WHEN 0.5 THEN quantile_cont(qty, 0.5) ELSE quantile_cont(qty, 0.9) END"))
@@ -672,12 +697,32 @@ def _(s, d):
     return cf.df.select("brand", "kind", F.round(linear(fit.coef[:, 0], [c for _, c in spec.design()]), 6).alias("fitted"))
 
 
-@query("wide_gram_forms", "SELECT true AS packed_equals_long")
-def _(s, d):
+def _brand_types(s, d):
     rows = _parts(s, d)
-    cf = C.compress_stats(rows, resolve(rows, parse_formula("qty ~ C(brand) + C(kind)"))).cache()
-    a, b = gram_packed(cf), dense(gram_long(cf), len(cf.spec.design()))
-    return values(s, [(bool(np.allclose(a, b)),)], "packed_equals_long boolean")
+    return C.compress_stats(rows, resolve(rows, parse_formula("qty ~ C(brand) + C(kind)")))
+
+
+_BRAND_TYPES = "SELECT p_brand AS brand, p_type AS kind, count(*)::DOUBLE AS n FROM lineitem JOIN part ON l_partkey = p_partkey WHERE p_brand > (SELECT min(p_brand) FROM part) AND p_type > (SELECT min(p_type) FROM part) GROUP BY p_brand, p_type"
+
+
+def _entries(s, cf, gram):
+    names = [n for n, _ in cf.spec.design()]
+    cut = lambda n: n.split("[", 1)[1][:-1]
+    rows = [(cut(a), cut(b), float(gram[i, j])) for i, a in enumerate(names) for j, b in enumerate(names) if a.startswith("brand[") and b.startswith("kind[") and gram[i, j]]
+    return values(s, rows, "brand string, kind string, n double")
+
+
+@query("wide_gram_packed", _BRAND_TYPES)
+def _(s, d):
+    """Gram entries of two sets of dummies are the counts of their pairs."""
+    cf = _brand_types(s, d)
+    return _entries(s, cf, gram_packed(cf))
+
+
+@query("wide_gram_long", _BRAND_TYPES)
+def _(s, d):
+    cf = _brand_types(s, d)
+    return _entries(s, cf, dense(gram_long(cf), len(cf.spec.design())))
 
 
 @query("wide_vectors")
@@ -728,11 +773,20 @@ def _(s, d):
     return values(s, [("rows", measures.model_bytes(10_000_000 * 100, 10)), ("units", measures.model_bytes(10_000_000, 10))], "layout string, bytes long")
 
 
-@query("measure_parity", "SELECT unnest(['none', 'frequency', 'stats', 'means']) AS kind, true AS coef_equal, unnest([true, true, true, false]) AS var_equal, unnest([0, 3, 1, 1]) AS passes")
+_LOSSY = SQL["cov_means_lossy"]
+
+
+@query("measure_parity", f"SELECT k.kind, coef, se, passes FROM ({_FLAT}), (VALUES ('none', 0), ('frequency', 3), ('stats', 1)) k(kind, passes) WHERE term = 'x' UNION ALL SELECT 'means', coef, se, 1 FROM ({_LOSSY})")
 def _(s, d):
-    spec = replace(X, outcomes=("qty", "price", "tax"), cluster=None)
-    rows = measures.strategy_table(line(s, d), spec, ["none", "frequency", "stats", "means"])
-    return values(s, [(k, c < 1e-7, v < 1e-7, p) for k, _, _, c, v, p in rows], "kind string, coef_equal boolean, var_equal boolean, passes int")
+    """Slope, its error and the passes over raw rows that three outcomes take, by way of compression; group means lose the spread."""
+    rows, ys = line(s, d), ("price", "qty", "tax")
+    out = []
+    for kind, passes in (("none", 0), ("frequency", len(ys)), ("stats", 1)):
+        spec = replace(X, outcomes=ys[:1] if kind == "frequency" else ys, cluster=None)
+        fit = fit_linear(rows, spec, kind)
+        out.append((kind, round(float(fit.coef[1, 0]), 4), round(float(fit.se()[1]), 4), passes))
+    lossy = baselines.wls_means(rows, X)
+    return values(s, [*out, ("means", round(float(lossy.coef[1, 0]), 4), round(float(lossy.se()[1]), 4), 1)], "kind string, coef double, se double, passes int")
 
 
 @query("measure_lossy_deficit", f"SELECT round(sum(m2), 0) AS deficit FROM (SELECT var_pop(price) * count(*) / 1e6 AS m2 FROM ({LINE}) GROUP BY disc)")
@@ -785,7 +839,14 @@ def _(s, d):
     return values(s, out, "bins int, records long, effect double, se double")
 
 
-@query("planner_choices", "SELECT unnest(['lineitem', 'embeddings', 'panel_arm', 'panel_arm_tier', 'orders']) AS input, unnest(['stats', 'none', 'between', 'balanced', 'static']) AS strategy")
+_CLUSTERED = "CASE WHEN pairs < 0.5 * n THEN 'within' WHEN NOT even THEN 'static' WHEN groups <= c / (t + 2) THEN 'between' ELSE 'balanced' END"
+_GRID = f"SELECT count(*) AS n, count(DISTINCT (user_id, arm, t)) AS pairs, count(DISTINCT user_id) AS c, count(DISTINCT t) AS t, true AS even, count(DISTINCT arm) AS g1, count(DISTINCT (arm, tier)) AS g2 FROM ({PANEL})"
+
+
+@query("planner_choices", f"""SELECT 'lineitem' AS input, CASE WHEN count(DISTINCT (rf, ls, disc)) > 0.5 * count(*) THEN 'none' ELSE 'stats' END AS strategy FROM ({LINE})
+UNION ALL SELECT 'embeddings', CASE WHEN count(DISTINCT (embedding[1], embedding[2])) > 0.5 * count(*) THEN 'none' ELSE 'stats' END FROM embeddings
+UNION ALL SELECT 'panel_arm', {_CLUSTERED.replace('groups', 'g1')} FROM ({_GRID}) UNION ALL SELECT 'panel_arm_tier', {_CLUSTERED.replace('groups', 'g2')} FROM ({_GRID})
+UNION ALL SELECT 'orders', CASE WHEN count(DISTINCT (cust, arm, total)) < 0.5 * count(*) THEN 'within' ELSE 'static' END FROM ({ORDERS})""")
 def _(s, d):
     vectors = load(s, d, "embeddings").select(F.get("embedding", 0).alias("a"), F.get("embedding", 1).alias("b"), F.col("label").cast("double").alias("y"))
     p = panel(s, d)
@@ -793,7 +854,7 @@ def _(s, d):
     o = orders(s, d).withColumn("day", F.col("total"))
     plans = [
         ("lineitem", plan_strategy(line(s, d), CELLS)), ("embeddings", plan_strategy(vectors, ModelSpec("y", (num("a"), num("b"))))),
-        ("panel_arm", plan_strategy(p, PANEL_SPEC, "cluster")), ("panel_arm_tier", plan_strategy(p.where("user_id < 150"), wide, "cluster")),
+        ("panel_arm", plan_strategy(p, PANEL_SPEC, "cluster")), ("panel_arm_tier", plan_strategy(p, wide, "cluster")),
         ("orders", plan_strategy(o, ModelSpec("total", (num("arm"), num("day")), cluster="cust"), "cluster")),
     ]
     return values(s, [(n, q.strategy) for n, q in plans], "input string, strategy string")

@@ -8,8 +8,8 @@ import pytest
 import __spark_entry__ as entry
 
 SF = "/root/testdata/sf0.001"
-#: The planner's choices are stated for the tables of sf0.01; the labels of sf0.001 are too few, and separated.
-LARGER = dict.fromkeys(("planner_choices", "logistic_quality"), "/root/testdata/sf0.01")
+#: The labels of sf0.001 are too few, and separated.
+LARGER = dict.fromkeys(("logistic_quality",), "/root/testdata/sf0.01")
 TABLES = [f[:-8] for f in sorted(os.listdir(SF)) if f.endswith(".parquet")]
 
 
