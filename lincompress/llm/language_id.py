@@ -1,6 +1,6 @@
 """Language identification with hyperdimensional profiles.
 
-Every letter has a random vector of +1 and -1 that its code point seeds. A trigram is bound by multiplying the vectors of its
+Every letter has a random vector of +1 and -1 that its code point seeds, in whatever script; all that is no letter is one symbol. A trigram is bound by multiplying the vectors of its
 letters, permuted (rotated) by their place; a document bundles (adds up) its trigrams and a language bundles its training
 documents, each at unit length. A document gets the language whose profile, less the mean profile, has the largest cosine
 with it; ties go to the first name. Profiles are summed in whole numbers, so they don't depend on the order of rows.
@@ -21,37 +21,58 @@ from pyspark.sql import functions as F
 
 from lincompress.llm.common import read, remainder
 
-MODULUS, HELD, SIZE, SYMBOLS, UNIT = 5, 0, 1024, 128, 1 << 20
+MODULUS, HELD, SIZE, UNIT = 5, 0, 1024, 1 << 20
 #: Characters that are bundled at once.
 BLOCK = 1 << 20
 
 
-def symbols() -> np.ndarray:
-    """Code point -> symbol: 0 for what is no letter, 1 to 26 for a to z, a seeded choice of the others for other letters."""
-    out = np.zeros(0x110000, np.uint8)
-    letters = np.array([c for c in range(0x110000) if chr(c).isalpha()], np.int64)
-    out[letters] = 27 + (letters * 2654435761 >> 7) % (SYMBOLS - 27)
-    out[97:123] = np.arange(1, 27)
-    return out
+#: Numbers of trigrams up to this many are kept in a table; those of larger alphabets are sorted.
+TABLE = 1 << 22
+#: Counts by text and trigram that are held at once.
+CELLS = 1 << 24
 
 
-def letter_vectors(size: int = SIZE) -> np.ndarray:
-    return np.random.default_rng(20_011).choice(np.array([-1, 1], np.int8), (SYMBOLS, size))
+def letter_vector(code: int, size: int = SIZE) -> np.ndarray:
+    """+1 or -1 for each component: the bits of hashes of (code point, place)."""
+    with np.errstate(over="ignore"):
+        x = np.uint64(code + 1) * np.uint64(0x9E3779B97F4A7C15) + np.arange(-(-size // 64), dtype=np.uint64) * np.uint64(0xD1342543DE82EF95)
+        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
+        x = (x ^ (x >> np.uint64(27))) * np.uint64(0x94D049BB133111EB)
+        x ^= x >> np.uint64(31)
+    return np.unpackbits(x.astype("<u8").view(np.uint8))[:size].astype(np.int8) * 2 - 1
 
 
 class Bundler:
+    """Numbers letters as it meets them: 0 for what is no letter, 1, 2, ... for letters; results don't depend on the numbers."""
+
     def __init__(self, size: int = SIZE):
-        self.symbols, self.size = symbols(), size
-        v = letter_vectors(size)
-        self.places = [np.roll(v, 2, axis=1), np.roll(v, 1, axis=1), v]
-        self.at = np.zeros(SYMBOLS**3, np.int32)
+        self.size = size
+        self.number = np.full(0x110000, -1, np.int32)
+        self.vectors = np.zeros((64, size), np.int8)
+        self.vectors[0], self.letters = letter_vector(-1, size), 1
+        self.at = np.zeros(0, np.int32)
+
+    def numbers(self, codes: np.ndarray) -> np.ndarray:
+        out = self.number[codes]
+        if len(out) and out.min() < 0:
+            for c in np.unique(codes[out < 0]).tolist():
+                if not chr(c).isalpha():
+                    self.number[c] = 0
+                    continue
+                if self.letters == len(self.vectors):
+                    self.vectors = np.concatenate([self.vectors, np.zeros_like(self.vectors)])
+                self.vectors[self.letters] = letter_vector(c, self.size)
+                self.number[c] = self.letters
+                self.letters += 1
+            out = self.number[codes]
+        return out
 
     def codes(self, text: str) -> np.ndarray:
-        """Trigrams of the letters, with one boundary for each run of other characters; empty without a letter."""
-        s = self.symbols[np.frombuffer(text.lower().encode("utf-32-le", "replace"), "<u4")]
-        s = np.concatenate([[0], s, [0]]).astype(np.int32)
+        """Trigrams of the letters (three letter numbers of 21 bits), with one boundary for each run of other characters; empty without a letter."""
+        s = self.numbers(np.frombuffer(text.lower().encode("utf-32-le", "replace"), "<u4"))
+        s = np.concatenate([[0], s, [0]]).astype(np.int64)
         s = s[np.r_[True, (s[1:] > 0) | (s[:-1] > 0)]]
-        return (s[:-2] * SYMBOLS + s[1:-1]) * SYMBOLS + s[2:] if len(s) > 2 else s[:0]
+        return s[:-2] << 42 | s[1:-1] << 21 | s[2:] if len(s) > 2 else s[:0]
 
     def bundle(self, texts: list[str | None]) -> np.ndarray:
         """A vector for each text, of unit length; zero without a letter."""
@@ -75,15 +96,30 @@ class Bundler:
             return
         docs = np.array([i for i, _ in block])
         codes = np.concatenate([c for _, c in block])
-        self.at[codes] = 1
-        found = np.flatnonzero(self.at)
-        self.at[found] = np.arange(len(found))
-        cell = np.repeat(np.arange(len(docs)), [len(c) for _, c in block]) * len(found) + self.at[codes]
-        self.at[found] = 0
+        low, n = (1 << 21) - 1, self.letters
+        if n**3 <= TABLE:
+            dense = (codes >> 42) * (n * n) + (codes >> 21 & low) * n + (codes & low)
+            if len(self.at) < n**3:
+                self.at = np.zeros(n**3, np.int32)
+            self.at[dense] = 1
+            found = np.flatnonzero(self.at)
+            self.at[found] = np.arange(len(found))
+            place = self.at[dense]
+            self.at[found] = 0
+            found = (found // (n * n)) << 42 | (found // n % n) << 21 | found % n
+        else:
+            found, place = np.unique(codes, return_inverse=True)
+        if len(block) > 1 and len(block) * len(found) > CELLS:
+            self._add(out, block[: len(block) // 2])
+            self._add(out, block[len(block) // 2 :])
+            return
+        cell = np.repeat(np.arange(len(docs)), [len(c) for _, c in block]) * len(found) + place
         counts = np.bincount(cell, minlength=len(docs) * len(found)).reshape(len(docs), len(found)).astype(np.float32)
+        v = self.vectors[:n]
+        first, second = np.roll(v, 2, axis=1), np.roll(v, 1, axis=1)
         for k in range(0, len(found), 4096):
             part = found[k : k + 4096]
-            bound = self.places[0][part // SYMBOLS**2] * self.places[1][part // SYMBOLS % SYMBOLS] * self.places[2][part % SYMBOLS]
+            bound = first[part >> 42] * second[part >> 21 & low] * v[part & low]
             np.add.at(out, docs, counts[:, k : k + 4096] @ bound.astype(np.float32))
 
 

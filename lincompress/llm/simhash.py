@@ -1,12 +1,13 @@
 """SimHash near-duplicates through anchor-point covering.
 
 A fingerprint has 64 bits. Bits 1 to 63 are covered by the perfect one-error-correcting code of length 63: its words are the
-anchors, each point lies within the covering radius 1 of exactly one of them, and the last bit is carried along. Two
-fingerprints at 2 or fewer differing bits have a midpoint within 1 of both, and the anchor of that midpoint lies within
-radius + threshold / 2 of both. So each distinct fingerprint goes to the anchors within that reach (at most 32), and whatever
-shares an anchor is compared there. An anchor's ball holds at most 4,034 fingerprints, whatever the input. Inside a ball,
-members meet at the midpoints that the anchor covers: all that reach a midpoint are within 2 of each other and get a star of
-links instead of all pairs.
+anchors, each point lies within the covering radius 1 of exactly one of them, and the last bit is carried along. Each
+distinct fingerprint is replicated to the anchors around it, and what shares an anchor is compared there, pair by pair.
+
+How far around: two fingerprints at 2 or fewer differing bits have a midpoint within 1 of both, and the anchor of that midpoint
+lies within covering radius + threshold / 2 of both. So that reach covers every pair, with at most 32 replicas; covering radius +
+threshold on one side alone would take 652. An anchor's ball holds at most 4,034 fingerprints, whatever the input, so a task
+compares its members all against all in blocks; what leaves it is a forest that joins what is linked, not the pairs.
 
 Edge cases: a null text counts as empty; a text without words has fingerprint zero, linked like any other; repeated rows
 share a fingerprint; ids that are null link the same way but never name a component that has another id; an empty table
@@ -25,7 +26,8 @@ from pyspark.sql import functions as F
 from lincompress.llm import components
 from lincompress.llm.common import materialise, read
 
-SEED, WIDTH = 42, 3
+SEED, WIDTH, THRESHOLD = 42, 3, 2
+_ALL = (1 << 64) - 1
 
 
 def fingerprint(text: str | None, width: int = WIDTH) -> bytes:
@@ -83,18 +85,45 @@ def anchors(fps: DataFrame) -> DataFrame:
     )).alias("anchor"))
 
 
+def _forest(members: np.ndarray) -> list[tuple[int, int]]:
+    """Links that join all members within 2 bits of each other; every pair is compared."""
+    members = np.unique(members)
+    if len(members) == 2:
+        a, b = members.tolist()
+        return [(b, a)] if ((a ^ b) & _ALL).bit_count() <= THRESHOLD else []
+    first = np.arange(len(members))
+
+    def find(i: int) -> int:
+        while first[i] != i:
+            first[i] = first[first[i]]
+            i = first[i]
+        return i
+
+    out, bits = [], members.view(np.uint64)
+    for k in range(0, len(bits), 256):
+        near = np.bitwise_count(bits[k : k + 256, None] ^ bits[None, :]) <= THRESHOLD
+        for i, j in np.argwhere(near).tolist():
+            if i + k < j:
+                x, y = find(i + k), find(j)
+                if x != y:
+                    first[max(x, y)] = min(x, y)
+                    out.append((int(members[j]), int(members[i + k])))
+    return out
+
+
 def links(fps: DataFrame) -> DataFrame:
     """(a, b): links that join all fingerprints within 2 bits; fps: distinct column fp."""
-    balls = anchors(fps).groupBy("anchor").agg(F.collect_list("fp").alias("members")).where(F.size("members") > 1)
-    inside = balls.select("anchor", F.explode("members").alias("fp")).withColumn("d", F.expr("(fp & 9223372036854775807L) ^ anchor"))
-    sign = "(-9223372036854775807L - 1L)"
-    meet = inside.select("fp", F.explode(F.expr(
-        f"case bit_count(d) when 0 then concat(array(fp, fp ^ {sign}), transform(sequence(0, 62), i -> fp ^ shiftleft(1L, i))) "
-        f"when 1 then array(fp, fp ^ {sign}, fp ^ d) else array(fp ^ (d & -d), fp ^ (d & (d - 1))) end"
-    )).alias("midpoint"))
-    met = meet.groupBy("midpoint").agg(F.collect_list("fp").alias("members")).where(F.size("members") > 1)
-    stars = met.select(F.array_min("members").alias("b"), F.explode("members").alias("a")).where("a <> b")
-    return stars.where(F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= 2).select("a", "b").distinct()
+    balls = anchors(fps).groupBy("anchor").agg(F.collect_list("fp").alias("members")).where(F.size("members") > 1).select("members")
+
+    def compare(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            flat, cuts = batch.column(0).flatten().to_numpy(), batch.column(0).offsets.to_numpy()
+            cuts = cuts - cuts[0]
+            found = [link for x, y in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True) for link in _forest(flat[x:y])]
+            a, b = zip(*found, strict=True) if found else ((), ())
+            yield pa.RecordBatch.from_arrays([pa.array(a, pa.int64()), pa.array(b, pa.int64())], names=["a", "b"])
+
+    return balls.mapInArrow(compare, "a long, b long").distinct()
 
 
 def classes(docs: DataFrame, width: int = WIDTH) -> DataFrame:

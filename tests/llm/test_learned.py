@@ -18,16 +18,54 @@ def test_language_of_held_out_texts(spark):
     assert all(0 <= r.score <= 1 for r in rows)
 
 
+def plain_bundle(text):
+    """Trigram by trigram."""
+    s = [-1] + [ord(c) if c.isalpha() else -1 for c in (text or "").lower()] + [-1]
+    s = [x for i, x in enumerate(s) if i == 0 or x >= 0 or s[i - 1] >= 0]
+    v = {x: language_id.letter_vector(x).astype(float) for x in set(s)}
+    out = np.zeros(language_id.SIZE)
+    for i in range(len(s) - 2):
+        out += np.roll(v[s[i]], 2) * np.roll(v[s[i + 1]], 1) * v[s[i + 2]]
+    norm = np.linalg.norm(out)
+    return out / norm if norm else out
+
+
+def test_language_equals_plain_python(spark, monkeypatch):
+    rng = np.random.default_rng(3)
+    scripts = {"ru": range(0x430, 0x450), "uk": [*range(0x430, 0x446), 0x456, 0x457, 0x454, 0x491], "el": range(0x3B1, 0x3CA), "zh": range(0x4E00, 0x4E30), "fr": [*range(97, 123), 0xE9, 0xE8, 0xE7]}
+    rows = []
+    for lang, letters in scripts.items():
+        weights = rng.dirichlet(np.ones(len(letters)) * 0.5)
+        for _ in range(14):
+            rows.append((len(rows), " ".join("".join(chr(c) for c in rng.choice(list(letters), rng.integers(1, 8), p=weights)) for _ in range(30)), lang))
+    rows += [(900, rows[0][1], "ru"), (900, rows[0][1], "ru"), (901, None, "ru"), (902, "12 !", "fr"), (903, "\u00e9" * 40000 + " a", "fr"), (904, "абв", None)]
+    docs = spark.createDataFrame([(*r, "x") for r in rows], "doc_id long, text string, lang string, lang_pred string")
+    monkeypatch.setattr(language_id, "CELLS", 1000)
+    names, vectors = language_id.profiles(docs.where("doc_id % 3 <> 0"))
+    sums = {x: sum(plain_bundle(t) for i, t, lang in rows if lang == x and i % 3) for x in scripts}
+    unit = lambda v: v / np.linalg.norm(v)
+    mean = np.mean([unit(v) for v in sums.values()], axis=0)
+    want = {x: unit(unit(v) - mean) for x, v in sums.items()}
+    assert names == sorted(scripts) and np.allclose(vectors, [want[x] for x in names], atol=1e-4)
+    got = sorted((r.doc_id, r.lang_pred, r.score) for r in language_id.predict(docs, names, vectors).collect())
+    assert len(got) == len(rows)
+    for (i, lang, score), (j, text, _) in zip(got, sorted(rows, key=lambda r: r[0]), strict=True):
+        cosines = {x: float(plain_bundle(text) @ want[x]) for x in names}
+        assert i == j and (lang == "und" if not plain_bundle(text).any() else cosines[lang] > max(cosines.values()) - 1e-4)
+        assert abs(score - (0 if lang == "und" else min(max(cosines[lang], 0), 1))) < 1e-3
+    held = [(r[2], g[1]) for r, g in zip(sorted(rows, key=lambda r: r[0]), got, strict=True) if r[0] % 3 == 0 and r[0] < 900]
+    assert np.mean([a == b for a, b in held]) > 0.9
+
+
+def test_letters_never_share_a_vector():
+    seen = {language_id.letter_vector(c).tobytes() for c in [-1, *range(97, 123), *range(0x400, 0x460), *range(0x4E00, 0x5600)]}
+    assert len(seen) == 1 + 26 + 96 + 0x800
+
+
 def test_language_edges_and_bundles(spark):
     b = language_id.Bundler()
     text = "Aé, b c" * 40
-    want = np.zeros(b.size)
-    s = [0] + [int(b.symbols[ord(c)]) for c in text.lower()] + [0]
-    s = [x for i, x in enumerate(s) if i == 0 or x or s[i - 1]]
-    v = language_id.letter_vectors().astype(float)
-    for i in range(len(s) - 2):
-        want += np.roll(v[s[i]], 2) * np.roll(v[s[i + 1]], 1) * v[s[i + 2]]
-    assert np.allclose(b.bundle([text])[0], want / np.linalg.norm(want), atol=1e-5)
+    assert np.allclose(b.bundle([text])[0], plain_bundle(text), atol=1e-5)
     docs = spark.createDataFrame([(1, None), (2, "123 !"), (3, "the cat"), (None, "")], "doc_id long, text string")
     names, vectors = language_id.profiles(spark.createDataFrame([("the cat sat", "en"), ("le chat est", "fr"), ("x", None)], "text string, lang string"))
     got = {r.doc_id: (r.lang_pred, r.score) for r in language_id.predict(docs, names, vectors).collect()}

@@ -64,3 +64,21 @@ def test_links_equal_brute_force(spark):
 
 def test_empty(spark):
     assert simhash.classes(spark.createDataFrame([], "doc_id long, text string")).count() == 0
+
+
+def test_a_full_ball_is_compared_whole():
+    import numpy as np
+
+    centre = 0x0F0F_3C3C_55AA_1234
+    ball = [centre ^ a ^ b ^ c for a in (0, 1 << 63) for b, c in [(0, 0), *[(1 << i, 0) for i in range(63)], *[(1 << i, 1 << j) for i in range(63) for j in range(i)]]]
+    assert len(set(ball)) == 4034
+    found = simhash._forest(np.array(ball, np.uint64).view(np.int64))
+    assert len(found) == 4033 and all(((a ^ b) & (2**64 - 1)).bit_count() <= 2 for a, b in found)
+    apart = np.array([0, 7, 7 << 10, 0b1001 << 40], np.int64)
+    assert {frozenset(x) for x in simhash._forest(apart)} == {frozenset((0, 0b1001 << 40))}
+
+
+def test_repeated_rows(spark):
+    docs = spark.createDataFrame([(5, "a b c d"), (5, "a b c d"), (3, "A b C d"), (None, "a b c d"), (9, None), (8, "")], "doc_id long, text string")
+    got = sorted((r.doc_id or 0, r.component_id) for r in simhash.classes(docs).collect())
+    assert got == [(0, 3), (3, 3), (5, 3), (5, 3), (8, 8), (9, 8)]
