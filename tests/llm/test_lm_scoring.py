@@ -14,30 +14,38 @@ def brute(docs, discount=lm_scoring.DISCOUNT):
             low = low.replace(c, " ")
         return [w for w in low.split(" ") if w] + [None]
 
-    uni, bi, after, starts = Counter(), Counter(), defaultdict(set), Counter()
+    # histories of no, one and two words; the start of a text is a word of a history
+    seen, after = Counter(), defaultdict(Counter)
     for _, text, held in docs:
         if not held:
-            last = "<s>"
+            last = ["<s>"]
             for w in tokens(text):
-                uni[w] += 1
-                bi[last, w] += 1
-                starts[last] += 1
-                after[last].add(w)
-                last = w
-    n, v = sum(uni.values()), len(uni)
+                seen[w] += 1
+                for k in (1, 2):
+                    if len(last) >= k:
+                        after[tuple(last[-k:])][w] += 1
+                last.append(w)
+    n, v = sum(seen.values()), len(seen)
+
+    def probability(history, w):
+        if not history:
+            return (seen[w] + 1) / (n + v + 1)
+        less = probability(history[1:], w)
+        arcs = after.get(history)
+        if not arcs:
+            return less
+        return max(arcs[w] - discount, 0) / sum(arcs.values()) + discount * len(arcs) / sum(arcs.values()) * less
+
     out = []
     for i, text, held in docs:
         base = total = 0.0
-        last = "<s>"
+        last = ["<s>"]
         ts = tokens(text)
         for w in ts:
-            p = (uni[w] + 1) / (n + v + 1)
-            base += math.log10(p)
-            if starts[last]:
-                p = max(bi[last, w] - discount, 0) / starts[last] + discount * len(after[last]) / starts[last] * p
-            total += math.log10(p)
-            last = w
-        out.append((i, held, len(ts), sum(uni[w] > 0 for w in ts), n, base, total))
+            base += math.log10(probability((), w))
+            total += math.log10(probability(tuple(last[-2:]), w))
+            last.append(w)
+        out.append((i, held, len(ts), sum(seen[w] > 0 for w in ts), n, base, total))
     return out
 
 
@@ -47,7 +55,7 @@ def test_equals_brute_force(spark, hot):
     words = ["the", "The", "of", "ähm", "x y", "rain"] + [f"w{i}" for i in range(60)]
     docs = [(i, " ".join(rnd.choices(words, k=rnd.randrange(40))) + ("\n\t" if i % 2 else ""), i % 5 == 2) for i in range(80)]
     docs += [(100, None, False), (101, "", True), (102, "unseen words only", True), (103, "a b " * 5000, False), (103, "a b " * 5000, False), (None, "the", False)]
-    df = spark.createDataFrame(docs, "doc_id long, text string, held boolean").repartition(4)
+    df = spark.createDataFrame([(*d, "x", 3) for d in docs], "doc_id long, text string, held boolean, chunk string, words int").select("doc_id", "text", "held").repartition(4)
     got = lm_scoring.score(df, chunk_bytes=600, shard_entries=50, hot_tokens=hot).collect()
     key = lambda r: (r[0] is None, r[0] or 0, r[2])
     for a, b in zip(sorted(map(tuple, got), key=key), sorted(brute(docs), key=key), strict=True):
@@ -60,3 +68,14 @@ def test_empty_and_all_held_out(spark):
     assert lm_scoring.score(spark.createDataFrame([], schema)).count() == 0
     row = lm_scoring.score(spark.createDataFrame([(1, "a b", True)], schema)).first()
     assert (row.n_tokens, row.n_known, row.train_tokens, row.base_score, row.score) == (3, 0, 0, 0.0, 0.0)
+
+
+def test_histories_seen_and_unseen(spark):
+    """Every word and the end, after histories of two words, of one, and unseen ones."""
+    train = [(i, t, False) for i, t in enumerate(["a b a b c", "a b", "b c a b a", "c", "a b d"])]
+    words, histories = ["a", "b", "c", "d"], ["a b", "b", "c a", "x a", "zz yy", ""]
+    asks = [(f"{h} {w}".strip(), h, w) for h in histories for w in [*words, ""]]
+    held = [(100 + i, t, True) for i, (t, _, _) in enumerate(asks)]
+    rows = {r.doc_id: r.score for r in lm_scoring.score(spark.createDataFrame(train + held, "doc_id long, text string, held boolean")).collect()}
+    want = {d[0]: d[-1] for d in brute(train + held)}
+    assert all(abs(rows[i] - want[i]) < 1e-9 for i in rows)
