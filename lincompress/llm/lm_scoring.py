@@ -68,11 +68,11 @@ def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
         return x ^ (x >> np.uint64(29))
 
 
-CHUNK = "chunk long, doc_ids array<long>, held binary, lengths binary, tokens binary, words binary, seen binary, n_words long, n_tokens long"
+CHUNK = "chunk long, doc_ids array<long>, held binary, lengths binary, tokens binary, words binary, seen binary, start long, n_words long, n_tokens long"
 
 
 def chunked(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
-    """Chunk rows of documents; docs: doc_id, text, held. Local word 0 is the end, 1 the start."""
+    """Chunk rows of documents; docs: doc_id, text, held. Words are in the order of their hashes; ``start`` is the place of the start."""
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import xxhash
@@ -102,8 +102,11 @@ def chunked(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
             seen = np.bincount(tokens[train], minlength=len(words))
             seen[1] = int((~np.array(held)).sum())
             hashes = np.frombuffer(b"".join([xxhash.xxh64_digest(w) for w in words]), ">u8").astype("<u8")
-            values = [[next(next_id)], [ids], [np.array(held, np.uint8).tobytes()], [_pack(lengths)], [_pack(tokens)], [hashes.tobytes()], [_pack(seen.astype("<i4"))], [len(words)], [len(tokens)]]
-            kinds = [pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 5, pa.int64(), pa.int64()]
+            order = np.argsort(hashes)
+            place = np.empty(len(order), np.int32)
+            place[order] = np.arange(len(order))
+            values = [[next(next_id)], [ids], [np.array(held, np.uint8).tobytes()], [_pack(lengths)], [_pack_all(place[tokens])], [_pack_all(np.diff(hashes[order], prepend=np.uint64(0)))], [_pack(seen[order].astype("<i4"))], [int(place[1])], [len(words)], [len(tokens)]]
+            kinds = [pa.int64(), pa.list_(pa.int64()), *[pa.binary()] * 5, *[pa.int64()] * 3]
             return pa.RecordBatch.from_arrays([pa.array(v, k) for v, k in zip(values, kinds, strict=True)], names=[x.split()[0] for x in CHUNK.split(", ")])
 
         for batch in batches:
@@ -124,16 +127,19 @@ def chunked(docs: DataFrame, chunk_bytes: int = CHUNK_BYTES) -> DataFrame:
 
 
 def _pack_all(*arrays: np.ndarray) -> bytes:
+    """Arrays as one value; bytes of equal weight stand together, which compresses numbers well below their type's range."""
     head = np.array([len(arrays), *map(len, arrays)], "<i8").tobytes()
-    return _pack(np.frombuffer(head + b"".join(np.ascontiguousarray(x).tobytes() for x in arrays), np.uint8))
+    columns = [np.ascontiguousarray(x).view(np.uint8).reshape(len(x), x.dtype.itemsize).T.tobytes() for x in arrays]
+    return _pack(np.frombuffer(head + b"".join(columns), np.uint8))
 
 
 def _unpack_all(data: bytes, kinds: list[str]) -> list[np.ndarray]:
-    flat, out = _unpack(data, "u1").tobytes(), []
-    sizes, at = np.frombuffer(flat, "<i8", len(kinds), 8), 8 * (len(kinds) + 1)
+    flat, out = _unpack(data, "u1"), []
+    sizes, at = np.frombuffer(flat[: 8 * (len(kinds) + 1)].tobytes(), "<i8")[1:], 8 * (len(kinds) + 1)
     for n, kind in zip(sizes.tolist(), kinds, strict=True):
-        out.append(np.frombuffer(flat, kind, n, at))
-        at += n * np.dtype(kind).itemsize
+        width = np.dtype(kind).itemsize
+        out.append(np.ascontiguousarray(flat[at : at + n * width].reshape(width, n).T).reshape(-1).view(kind))
+        at += n * width
     return out
 
 
@@ -145,7 +151,7 @@ class Grams:
     """
 
     def __init__(self, c: dict, number: np.ndarray, hot: np.ndarray, twice: np.ndarray, shards: int):
-        tokens, self.lengths = _unpack(c["tokens"], "<i4"), _unpack(c["lengths"], "<i8")
+        (tokens,), self.lengths = _unpack_all(c["tokens"], ["<i4"]), _unpack(c["lengths"], "<i8")
         self.order = np.argsort(number, kind="stable")
         self.number, rank = number[self.order], np.empty(len(number), np.int64)
         rank[self.order] = np.arange(len(number))
@@ -154,7 +160,7 @@ class Grams:
         self.begin = ends - self.lengths
         self.before, after = np.empty_like(self.tokens), np.empty_like(self.tokens)
         self.before[1:], after[:-1] = self.tokens[:-1], self.tokens[1:]
-        self.before[self.begin], after[ends - 1] = rank[1], rank[1]
+        self.before[self.begin], after[ends - 1] = rank[c["start"]], rank[c["start"]]
         codes, self.first, self.i3 = np.unique((self.before * size + self.tokens) * size + after, return_index=True, return_inverse=True)
         pair = codes // size
         new = np.r_[True, pair[1:] != pair[:-1]] if len(pair) else np.zeros(0, bool)
@@ -205,34 +211,34 @@ def _fill(out: list[list], *row) -> None:
         column.append(x)
 
 
-def _by_shard(hashes: np.ndarray, shards: int) -> tuple[np.ndarray, np.ndarray]:
-    shard = hashes % np.uint64(shards)
-    order = np.argsort(shard, kind="stable")
-    return order, np.searchsorted(shard[order], np.arange(shards + 1).astype(np.uint64))
+def _cuts(hashes: np.ndarray, shards: int) -> np.ndarray:
+    """Where the shards begin in ascending hashes: a shard is a range of them."""
+    shard = (hashes >> np.uint64(32)) * np.uint64(shards) >> np.uint64(32)
+    return np.searchsorted(shard, np.arange(shards + 1).astype(np.uint64))
 
 
 def _ask_words(chunks: DataFrame, shards: int) -> DataFrame:
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for c in batch.to_pylist():
-                hashes, seen = np.frombuffer(c["words"], "<u8"), _unpack(c["seen"], "<i4")
-                order, cuts = _by_shard(hashes, shards)
+                hashes, seen = np.cumsum(_unpack_all(c["words"], ["<u8"])[0]), _unpack(c["seen"], "<i4")
+                cuts = _cuts(hashes, shards)
                 out: list[list] = [[] for _ in range(3)]
                 for s in np.flatnonzero(np.diff(cuts)):
-                    part = order[cuts[s] : cuts[s + 1]]
-                    _fill(out, int(s), c["chunk"], _pack_all(hashes[part], seen[part].astype("<i4")))
+                    part = slice(cuts[s], cuts[s + 1])
+                    _fill(out, int(s), c["chunk"], _pack_all(np.diff(hashes[part], prepend=np.uint64(0)), seen[part]))
                 yield _rows(ASK, out)
 
     return chunks.select("chunk", "words", "seen").mapInArrow(each, ASK)
 
 
 def _count_words(asks: DataFrame, shards: int, hot_from: int) -> DataFrame:
-    """Answers (kind 0: counts and numbers), totals (kind 1: tokens in n, distinct in followers), frequent words (kind 2: number in head, n). A number is place * shards + shard."""
+    """Answers (kind 0: counts and numbers), totals (kind 1: tokens in n, distinct in followers), frequent words (kind 2: number in head, n), the number of the start (kind 6). A number is place * shards + shard."""
     start = int(_special()[1])
 
     def shard(table: pa.Table) -> pa.Table:
         me = table["shard"][0].as_py()
-        parts = [_unpack_all(x, ["<u8", "<i4"]) for x in table["data"].to_pylist()]
+        parts = [(np.cumsum(h), n) for h, n in (_unpack_all(x, ["<u8", "<i4"]) for x in table["data"].to_pylist())]
         keys, inverse = np.unique(np.concatenate([p[0] for p in parts]), return_inverse=True)
         total = np.bincount(inverse, np.concatenate([p[1] for p in parts]).astype(np.float64), len(keys)).astype(np.int64)
         out: list[list] = [[] for _ in range(8)]
@@ -240,11 +246,13 @@ def _count_words(asks: DataFrame, shards: int, hot_from: int) -> DataFrame:
         for c, (h, _) in zip(table["chunk"].to_pylist(), parts, strict=True):
             mine = inverse[at : at + len(h)]
             at += len(h)
-            _fill(out, c, me, 0, _pack_all(total[mine].astype("<i8"), (mine * shards + me).astype("<i8")), None, None, None, None)
+            _fill(out, c, me, 0, _pack_all(total[mine].astype("<i8"), np.diff(mine, prepend=0).astype("<i4")), None, None, None, None)
         real = keys != np.uint64(start)
         _fill(out, None, me, 1, None, len(keys) * shards, None, int(total[real].sum()), int((total[real] > 0).sum()))
         for k in np.flatnonzero(total > hot_from).tolist():
             _fill(out, None, me, 2, None, k * shards + me, None, int(total[k]), None)
+        for k in np.flatnonzero(~real).tolist():
+            _fill(out, None, me, 6, None, k * shards + me, None, None, None)
         return pa.Table.from_batches([_rows(ANSWER, out)])
 
     return asks.groupBy("shard").applyInArrow(shard, ANSWER)
@@ -256,14 +264,14 @@ def _special() -> np.ndarray:
     return np.frombuffer(b"".join(xxhash.xxh64_digest(x) for x in (END, START)), ">u8").astype("<u8")
 
 
-def _heard(c: dict, answers: list[dict], shards: int) -> tuple[np.ndarray, np.ndarray]:
-    """Training counts and numbers of a chunk's words."""
-    order, cuts = _by_shard(np.frombuffer(c["words"], "<u8"), shards)
-    counts, number = np.zeros(len(order), np.int64), np.zeros(len(order), np.int64)
-    for r in answers:
-        mine = order[cuts[r["shard"]] : cuts[r["shard"] + 1]]
-        counts[mine], number[mine] = _unpack_all(r["data"], ["<i8", "<i8"])
-    return counts, number
+def _heard(answers: list[dict], shards: int) -> tuple[np.ndarray, np.ndarray]:
+    """Training counts and numbers of a chunk's words: answers in the order of shards are in the order of words."""
+    counts, number = [], []
+    for r in sorted(answers, key=lambda r: r["shard"]):
+        n, place = _unpack_all(r["data"], ["<i8", "<i4"])
+        counts.append(n)
+        number.append(np.cumsum(place, dtype=np.int64) * shards + r["shard"])
+    return np.concatenate(counts), np.concatenate(number)
 
 
 def _send_triples(c: dict, g: Grams, kind: str) -> pa.Table:
@@ -272,7 +280,7 @@ def _send_triples(c: dict, g: Grams, kind: str) -> pa.Table:
         which, pairs, heads = g.part(s)
         names = g.number[g.head[g.of3[which[heads]]]]
         _fill(out, int(s), c["chunk"], _pack_all(
-            np.diff(names, prepend=0).astype("<i8"), heads.astype("<i4"), g.number[g.tail[g.of3[which[pairs]]]].astype(kind), pairs.astype("<i4"), g.number[g.third[which]].astype(kind), g.seen[which].astype("<i4")
+            np.diff(names, prepend=0).astype("<i8"), np.diff(heads, prepend=0).astype("<i4"), g.number[g.tail[g.of3[which[pairs]]]].astype(kind), np.diff(pairs, prepend=0).astype("<i4"), g.number[g.third[which]].astype(kind), g.seen[which].astype("<i4")
         ))
     return pa.Table.from_batches([_rows(ASK, out)])
 
@@ -296,11 +304,11 @@ def _count_triples(asks: DataFrame, start: int, hot: np.ndarray, twice: np.ndarr
     """Answers (kind 3: counts of triples; counts and followers of pairs; counts and followers of first words), shares of pairs (kind 4) and of first words (kind 5) that several shards hold."""
 
     def shard(table: pa.Table) -> pa.Table:
-        parts = [_unpack_all(x, ["<i8", "<i4", kind, "<i4", kind, "<i4"]) for x in table["data"].to_pylist()]
+        parts = [(np.cumsum(name), np.cumsum(h), tail, np.cumsum(p), third, n) for name, h, tail, p, third, n in (_unpack_all(x, ["<i8", "<i4", kind, "<i4", kind, "<i4"]) for x in table["data"].to_pylist())]
         heads, tails = [], []
         for name, h, tail, p, third, _ in parts:
             run = _repeat(p, len(third))
-            heads.append(np.cumsum(name)[_repeat(h, len(third))])
+            heads.append(name[_repeat(h, len(third))])
             tails.append(tail[run])
         head, tail, third = np.concatenate(heads), np.concatenate(tails), np.concatenate([p[4] for p in parts])
         seen = np.concatenate([p[5] for p in parts]).astype(np.float64)
@@ -417,17 +425,17 @@ def score(docs: DataFrame, discount: float = DISCOUNT, chunk_bytes: int = CHUNK_
     frequent = words.where("kind = 2").select("head", "n").collect()
     hot = np.array(sorted(r.head for r in frequent), np.int64)
     twice = np.array(sorted(r.head for r in frequent if r.n > tokens // MOST_TWICE), np.int64)
-    special = _special()
-    data = "chunk", "held", "lengths", "tokens", "words"
+    starts = words.where("kind = 6").select("head").first()
+    start = starts.head if starts else -1
+    data = "chunk", "held", "lengths", "tokens", "start"
 
     def ask(left: pa.Table, right: pa.Table) -> pa.Table:
         for c in left.to_pylist():
-            return _send_triples(c, Grams(c, _heard(c, right.to_pylist(), word_shards)[1], hot, twice, shards), kind)
+            return _send_triples(c, Grams(c, _heard(right.to_pylist(), word_shards)[1], hot, twice, shards), kind)
         return pa.Table.from_batches([_rows(ASK, [[] for _ in range(3)])])
 
     answers = words.where("kind = 0").select("chunk", "shard", "kind", "data")
     asked = chunks.select(*data).groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(ask, ASK)
-    start = _number_of(answers, chunks, word_shards, special[1])
     triples = materialise(_count_triples(asked, start, hot, twice, kind), "triples")
     shares = lambda k: triples.where(F.col("kind") == k).groupBy("head", "tail").agg(F.sum("n").alias("n"), F.sum("followers").alias("followers")).collect()
     pairs = np.array([(r.head, r.tail, r.n, r.followers) for r in shares(4)], np.int64).reshape(-1, 4)
@@ -441,7 +449,7 @@ def score(docs: DataFrame, discount: float = DISCOUNT, chunk_bytes: int = CHUNK_
     def meet(left: pa.Table, right: pa.Table) -> pa.Table:
         for c in left.to_pylist():
             got = right.to_pylist()
-            counts, number = _heard(c, [r for r in got if r["kind"] == 0], word_shards)
+            counts, number = _heard([r for r in got if r["kind"] == 0], word_shards)
             g = Grams(c, number, hot, twice, shards)
             return _scores(c, Automaton(g, counts, [r for r in got if r["kind"] == 3], n, v, discount, pairs, heads), n, v)
         return pa.Table.from_arrays([pa.array([], k) for k in (pa.int64(), pa.bool_(), pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64())], names=[x.split()[0] for x in SCORES.split(", ")])
@@ -450,17 +458,6 @@ def score(docs: DataFrame, discount: float = DISCOUNT, chunk_bytes: int = CHUNK_
     return chunks.select(*data, "doc_ids").groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(meet, SCORES)
 
 
-def _number_of(answers: DataFrame, chunks: DataFrame, shards: int, mark: np.uint64) -> int:
-    """The number of a word that every chunk holds: read off one chunk and the answer that it got."""
-    one = chunks.select("chunk", "words").limit(1).collect()
-    if not one:
-        return -1
-    hashes, s = np.frombuffer(one[0].words, "<u8"), int(mark % np.uint64(shards))
-    order, cuts = _by_shard(hashes, shards)
-    got = answers.where((F.col("chunk") == one[0].chunk) & (F.col("shard") == s)).first()
-    return int(_unpack_all(got.data, ["<i8", "<i8"])[1][np.flatnonzero(hashes[order[cuts[s] : cuts[s + 1]]] == mark)[0]])
-
-
 def op8_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     return score(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text", (remainder(F.col("doc_id"), MODULUS) == HELD).alias("held")))
