@@ -4,17 +4,18 @@ Distinct vectors are the nodes (equal vectors are one node, so a vector that a t
 are dealt to blocks by hash; a block is one row of arrays, and everything that blocks tell each other is a row addressed to
 a block, so a step of the algorithm is one Spark ``groupBy(block)``:
 
-* seeding: nodes meet in random groups, twice under different hashes, and keep their nearest in each group;
+* seeding: nodes meet in random groups of 64, twice, and keep their nearest in each group: a constant number of comparisons a node;
 * each round of NN-descent joins neighbours of neighbours. A block sends its edges, with the vectors at their sources, to the
   blocks of their targets; those draw reverse neighbours and send back the vectors that were asked for; then each node
   compares its neighbours pairwise, new ones with all, and whatever improves a list goes to the block of its owner. Rounds
-  stop when few lists change;
+  go on until few lists change;
 * search: a query starts from its own neighbours. Each round it opens the best nodes that it has not opened yet; their
   neighbours are compared in their own blocks, which answer with the similarity and, where that is promising, with the
-  node's neighbours. A search ends when all of its best ``beam`` nodes are open.
+  node's neighbours; nodes of the beam that came without are asked again. A search ends when all of its best ``beam`` nodes are open.
 
-Lists and beams are of fixed length, as the method has it; nothing else is bounded, and the recall against brute force is
-measured in the tests and the README. The scores of what was found are cosines of the original vectors in double precision.
+Lists and beams are of fixed length, as the method has it; rounds and steps are not (a graph or search that doesn't settle
+is an error), and the recall against brute force is measured in the tests and the README. The scores of what was found are cosines of the
+original vectors in double precision.
 
 Edge cases: vectors that are null, zero, hold null or non-finite components, or have another length than most, take no part;
 rows without an id neither; of repeated rows one counts; fewer than k candidates give fewer rows; an empty table gives an
@@ -34,8 +35,10 @@ from pyspark.sql import functions as F
 from lincompress.llm.common import materialise, read, remove
 
 EVERY, TOP = 50, 5
-NEIGHBOURS, REVERSE, ROUNDS, ENOUGH = 32, 32, 8, 0.01
-BLOCK, BEAM, WIDTH, STEPS = 4096, 320, 64, 10
+NEIGHBOURS, REVERSE, ENOUGH = 32, 32, 0.01
+BLOCK, SEED, BEAM, WIDTH = 4096, 64, 256, 64
+#: Rounds and steps after which something is wrong.
+MOST_ROUNDS, MOST_STEPS = 60, 200
 MESSAGE = "block int, kind int, size long, a binary, b binary, c binary, d binary, e binary"
 STATE, EDGES, REVERSED, REPLY, UPDATE, QUERY, ASK, ANSWER = range(8)
 NONE = -(1 << 63)
@@ -117,21 +120,22 @@ class State:
 
 
 def _seed(nodes: DataFrame, blocks: int, k: int, dim: int) -> DataFrame:
-    """Blocks with the nearest of two random groups."""
+    """Blocks with the nearest of two random groups of SEED nodes; a task holds the groups of some thousand nodes."""
 
     def group(table: pa.Table) -> pa.Table:
         ids = table["node"].to_numpy()
         x = np.array(table["vector"].to_pylist(), np.float32).reshape(-1, dim)
         post = Post()
         owners, cands, sims = [], [], []
-        for a in range(0, len(ids), 512):
-            s = x[a : a + 512] @ x.T
-            s[np.arange(len(s)), np.arange(a, a + len(s))] = -2
-            m = min(k, s.shape[1] - 1)
+        lot = np.argsort(_mix(ids, np.full(1, table["seed"][0].as_py(), np.int64)), kind="stable")
+        for mine in np.array_split(lot, max(1, len(lot) // SEED)):
+            s = x[mine] @ x[mine].T
+            np.fill_diagonal(s, -2)
+            m = min(k, len(mine) - 1)
             if m > 0:
                 top = np.argpartition(-s, m - 1, axis=1)[:, :m]
-                owners.append(np.repeat(ids[a : a + 512], m))
-                cands.append(ids[top].ravel())
+                owners.append(np.repeat(ids[mine], m))
+                cands.append(ids[mine[top]].ravel())
                 sims.append(np.take_along_axis(s, top, 1).ravel())
         owner, cand, sim = (np.concatenate(v) if v else np.zeros(0, t) for v, t in ((owners, np.int64), (cands, np.int64), (sims, np.float32)))
         to, home = _block(owner, blocks), _block(ids, blocks)
@@ -282,7 +286,7 @@ def _tidy(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse: int = REVERSE, rounds: int = ROUNDS, enough: float = ENOUGH) -> tuple[DataFrame, int]:
+def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse: int = REVERSE, enough: float = ENOUGH) -> tuple[DataFrame, int]:
     """The graph as block rows with the drawn reverse neighbours beside them, and the number of blocks; nodes: node, vector (array of float, unit length)."""
     blocks = max(1, -(-count // BLOCK))
 
@@ -298,7 +302,7 @@ def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse:
         return lambda table: _draw(table, dim, reverse, salt)
 
     now = materialise(_seed(nodes, blocks, k, dim), "graph")
-    for turn in range(rounds):
+    for turn in range(MOST_ROUNDS):
         drawn = now.groupBy("block").applyInArrow(tell, MESSAGE).groupBy("block").applyInArrow(step(turn * 7919 + 1), MESSAGE)
         old, now = now, materialise(drawn.groupBy("block").applyInArrow(lambda t: _join(t, dim, blocks, reverse), MESSAGE), "graph")
         remove(old)
@@ -306,6 +310,8 @@ def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse:
         offered = now.where(F.col("kind") == UPDATE).agg(F.sum("size")).first()[0] or 0
         if offered <= enough * count * k:
             break
+    else:
+        raise RuntimeError("the neighbour graph did not settle")
 
     def finish(table: pa.Table) -> pa.Table:
         rows = _read(table)
@@ -362,6 +368,8 @@ class Search:
                 continue
             ids, sims = (np.concatenate([q[c], *[g[k] for g in q["got"]]]) for k, c in ((0, "ids"), (1, "sims")))
             q["got"] = []
+            ids, once = np.unique(ids, return_index=True)
+            sims = sims[once]
             order = np.argsort(-sims, kind="stable")[:beam]
             q["ids"], q["sims"] = ids[order], sims[order]
             q["near"] = {i: q["near"][i] for i in q["ids"].tolist() if i in q["near"]}
@@ -370,13 +378,17 @@ class Search:
             cand = np.unique(np.concatenate([q["near"].pop(i) for i in ready])) if ready else np.zeros(0, np.int64)
             cand = cand[(cand != NONE) & ~np.isin(cand, q["seen"])]
             q["seen"] = np.union1d(q["seen"], cand)
-            q["over"] = not ready
+            if not len(cand):
+                # what is left of the beam came without its neighbours
+                cand = np.array([i for i in q["ids"].tolist() if i not in q["opened"] and i not in q["near"]][:width], np.int64)
+            waits = any(i in q["near"] and i not in q["opened"] for i in q["ids"].tolist())
+            q["over"] = not len(cand) and not waits
             if len(cand):
                 out[q["id"]] = cand
         return out
 
 
-def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int, beam: int = BEAM, width: int = WIDTH, steps: int = STEPS) -> DataFrame:
+def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int, beam: int = BEAM, width: int = WIDTH) -> DataFrame:
     """(query, node) of the best nodes found for each query node, itself included; queries: node."""
 
     def begin(key, left: pa.Table, right: pa.Table) -> pa.Table:
@@ -403,6 +415,7 @@ def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int
         x = np.stack([by[i]["x"] for i in cands])
         # what a node must reach for its neighbours to be of use
         bound = np.array([by[i]["sims"][-1] if len(by[i]["sims"]) >= beam else -2 for i in cands], np.float32)
+        bound -= np.float32(1e-6)  # a node of the beam itself brings its neighbours
         to = _block(cand, blocks)
         for b in np.unique(to):
             part = np.flatnonzero(to == b)
@@ -444,9 +457,11 @@ def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int
 
     at_home = queries.select("node", home("node").alias("block"))
     now = materialise(index.groupBy("block").cogroup(at_home.groupBy("block")).applyInArrow(begin, MESSAGE), "search")
-    for _ in range(steps):
-        if not now.where(F.col("kind") == ASK).limit(1).count():
+    for turn in range(MOST_STEPS + 1):
+        if not now.where((F.col("kind") == QUERY) & (F.col("size") > 0)).limit(1).count():
             break
+        if turn == MOST_STEPS:
+            raise RuntimeError("searches did not end")
         heard = index.groupBy("block").cogroup(now.groupBy("block")).applyInArrow(answer, MESSAGE)
         old, now = now, materialise(heard.groupBy("block").applyInArrow(go_on, MESSAGE), "search")
         remove(old)
