@@ -6,6 +6,10 @@ group of copies can't make its own lines look like boilerplate. A line found in
 ``max(min_docs, share * documents of the host)`` is removed; a document that loses more than ``depleted_share`` of its words
 is rejected.
 
+Frequent lines are few beside the documents. Up to ``LITERAL_LINES`` of them stand in the plan as a hash set, so a document's lines are looked up where
+they are; more are joined by (host, line), with the lines of distinct documents as rows and only places coming back, so that neither a
+host nor its list is ever gathered in one place.
+
 Edge cases: a null text has no words and no lines; a null source is the host ''; repeated rows get equal results; an empty
 table gives an empty result; lines without a word never count. Other columns are never looked at.
 """
@@ -18,8 +22,8 @@ from pyspark.sql import functions as F
 from lincompress.llm.common import WORD, let, materialise, read
 
 MIN_DOCS, SHARE, DEPLETED_SHARE = 10, 0.01, 0.5
-#: Frequent lines up to this number are broadcast (8 bytes each); more are joined by shuffle.
-BROADCAST_LINES = 200_000
+#: Frequent lines up to this number are a set in the plan (8 bytes each); more are joined by shuffle.
+LITERAL_LINES = 20_000
 SPACE_RUN = r"[\x20\x09-\x0D]+"
 
 
@@ -77,21 +81,39 @@ def frequent_lines(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHA
     return counts.join(sizes, "_host").where(F.col("docs") > F.greatest(F.lit(float(min_docs)), F.col("n") * share)).select("_host", "_line")
 
 
+def _line_key(host: Column, line: Column) -> Column:
+    return F.xxhash64(host, F.xxhash64(normal_line(line)))
+
+
+def mark_lines(docs: DataFrame, bad: DataFrame, literal_lines: int = LITERAL_LINES) -> DataFrame:
+    """Adds _gone: the places of frequent lines among all lines of the text. docs: text and _host; bad: _host, _line."""
+    named = bad.select(F.xxhash64("_host", "_line").alias("_key"))
+    if bad.count() <= literal_lines:
+        keys = [r[0] for r in named.collect()]
+        if not keys:
+            return docs.withColumn("_gone", F.array().cast("array<int>"))
+        among = f"IN ({','.join(f'{k}L' if k > -(1 << 63) else 'cast(-9223372036854775808 AS bigint)' for k in keys)})"
+        lines = docs.withColumn("_keys", F.transform(F.split("text", "\n"), lambda x: F.when(x.rlike(WORD), _line_key(F.col("_host"), x))))
+        return lines.withColumn("_gone", F.expr(f"filter(transform(_keys, (k, i) -> if(k {among}, i, null)), i -> i is not null)")).drop("_keys")
+    rows = docs.withColumn("_text", F.xxhash64("text"))
+    lines = rows.select("_host", "_text", F.posexplode(F.transform(F.split("text", "\n"), lambda x: F.when(x.rlike(WORD), _line_key(F.col("_host"), x)))).alias("_at", "_key"))
+    # of equal texts one is enough, and a line of all of them comes once
+    met = lines.where("_key is not null").distinct().join(named, "_key", "left_semi").groupBy("_host", "_text").agg(F.sort_array(F.collect_list("_at")).alias("_gone"))
+    out = rows.join(met, ["_host", "_text"], "left").drop("_text")
+    return out.withColumn("_gone", F.coalesce("_gone", F.array().cast("array<int>")))
+
+
 def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, depleted_share: float = DEPLETED_SHARE, keep: list[str] = ()) -> DataFrame:
     """doc_id, the base counts, base_failed, removed_lines, removed_words, kept, clean_text and the columns named in keep."""
     rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("_host"), *[docs[c].alias(f"keep_{c}") for c in keep])
     bad = materialise(frequent_lines(rows.select("text", "_host"), min_docs, share), "lines")
-    hosts = bad.groupBy("_host").agg(F.sort_array(F.collect_list("_line")).alias("_bad"))
-    hosts = F.broadcast(hosts) if bad.count() <= BROADCAST_LINES else hosts
-    found = base_counts(rows).join(hosts, "_host", "left")
-    bad_line = lambda x: F.array_contains("_bad", F.xxhash64(normal_line(x))) & x.rlike(WORD)
-    found = found.withColumn("_gone", F.when(F.col("_bad").isNotNull(), F.filter(F.split("text", "\n"), bad_line)).otherwise(F.array().cast("array<string>")))
+    found = mark_lines(base_counts(rows), bad)
     found = found.withColumns({
         "removed_lines": F.size("_gone").cast("long"),
-        "removed_words": F.size(F.regexp_extract_all(F.array_join("_gone", "\n"), F.lit(WORD), F.lit(0))).cast("long"),
+        "removed_words": F.when(F.size("_gone") > 0, F.size(F.regexp_extract_all(F.array_join(F.transform("_gone", lambda i: F.get(F.split("text", "\n"), i)), "\n"), F.lit(WORD), F.lit(0)))).otherwise(0).cast("long"),
         "base_failed": (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")),
     })
-    clean = F.when(F.size("_gone") > 0, F.array_join(F.filter(F.split("text", "\n"), lambda x: ~bad_line(x)), "\n")).otherwise(F.col("text"))
+    clean = F.when(F.size("_gone") > 0, F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_gone", i)), "\n")).otherwise(F.col("text"))
     return found.select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "removed_lines", "removed_words",
         (~F.col("base_failed") & (F.col("removed_words") <= depleted_share * F.col("n_words"))).alias("kept"), clean.alias("clean_text"), *[f"keep_{c}" for c in keep],
