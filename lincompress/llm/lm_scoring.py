@@ -42,7 +42,7 @@ from pyspark.sql import functions as F
 from lincompress.llm.common import materialise, read, remainder
 
 MODULUS, HELD, DISCOUNT = 7, 2, 0.75
-CHUNK_BYTES, SHARD_ENTRIES = 8 << 20, 1_500_000
+CHUNK_BYTES, SHARD_ENTRIES = 6 << 20, 1_500_000
 HOT_TOKENS, MOST_HOT, MOST_TWICE = 1_000_000, 100_000, 300
 #: Stand-ins for the end token and the start of a text; neither can be a word.
 END, START = b" ", b"  "
