@@ -139,6 +139,18 @@ def features_determine_cluster(df: DataFrame, spec: ModelSpec) -> bool:
     return not rows.groupBy(*_key_columns(spec)).agg((F.min(spec.cluster) < F.max(spec.cluster)).alias("more")).where("more").limit(1).count()
 
 
+def compress_determined(df: DataFrame, spec: ModelSpec, nulls: str = "error") -> CompressedFrame:
+    """Sufficient statistics by features alone, with the cluster that they determine; features found in two clusters are an error."""
+    aggs = [F.count(F.lit(1)).alias("cnt")]
+    for y in spec.outcomes:
+        aggs += _sums(y, None, False)
+    rows = keyed(df, spec, spec.cluster, nulls=nulls).withColumn("_cluster", F.col(f"`{spec.cluster}`"))
+    out = rows.groupBy(*_key_columns(spec)).agg(*aggs, F.min("_cluster").alias("_lo"), F.max("_cluster").alias("_hi"))
+    kind = out.schema["_hi"].dataType
+    one = F.when(F.col("_lo").eqNullSafe(F.col("_hi")), F.col("_hi")).otherwise(F.raise_error(F.lit("the features don't determine the cluster")).cast(kind))
+    return CompressedFrame((out.withColumn("cnt", F.when(one.isNotNull(), F.col("cnt"))) if spec.cluster in spec.keys else out.withColumn(spec.cluster, one)).drop("_lo", "_hi"), "within", spec)
+
+
 def packed(n: int) -> list[tuple[int, int]]:
     """Places of the upper triangle, row by row."""
     return [(i, j) for i in range(n) for j in range(i, n)]
@@ -431,6 +443,19 @@ def save_compressed(cf: CompressedFrame, path: str, mode: str = "error") -> None
         cf.extra["periods"].write.mode(mode).parquet(f"{path}/periods")
 
 
+def to_local(cf: CompressedFrame, most: int = 10_000_000) -> pa.Table:
+    """The compressed rows in the driver's memory as an Arrow table, for analysis there; more than ``most`` rows are an error."""
+    table = cf.df.limit(most + 1).toArrow()
+    if table.num_rows > most:
+        raise ValueError(f"more than {most} compressed rows")
+    return table
+
+
+def from_local(spark, table: pa.Table, kind: str, spec: ModelSpec, **extra) -> CompressedFrame:
+    """A frame again from an Arrow table (or pandas frame) of compressed rows."""
+    return CompressedFrame(spark.createDataFrame(table), kind, spec, extra)
+
+
 def load_compressed(spark, path: str, spec: ModelSpec) -> CompressedFrame:
     note = json.loads(spark.read.text(f"{path}/note").first()[0])
     if list(map(list, spec.keys.items())) != note["keys"] or list(spec.outcomes) != note["outcomes"]:

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from lincompress.functions.tails import f_sf, t_quantile, t_sf
 from lincompress.operators import compress as C
 from lincompress.operators.compress import CompressedFrame, packed, split_design
-from lincompress.operators.gram import local_rows, stats_view, sums, total
+from lincompress.operators.gram import local_rows, sparse_entries, sparse_sums, stats_view, sums, total
 from lincompress.operators.solve import inverse_spd
 from lincompress.plans.design import ModelSpec, resolve
 
@@ -178,6 +178,42 @@ class _Spread:
         return np.maximum(flat[1:], 0), [meat[k * p : (k + 1) * p, k * p : (k + 1) * p] for k in range(o)], int(flat[0])
 
 
+class _Long:
+    """The same sums for thousands of mostly empty columns: work goes with non-zero entries, and only those of model size come back."""
+
+    def __init__(self, view: DataFrame, spec: ModelSpec, p: int):
+        self.view, self.p = view.withColumn("_x", sparse_entries(spec)), p
+
+    def _dense(self, pairs: DataFrame, k: int) -> list[np.ndarray]:
+        out = [np.zeros((self.p, self.p)) for _ in range(k)]
+        t = pairs.toArrow()
+        i, j = t["i"].to_numpy(), t["j"].to_numpy()
+        for n, m in enumerate(out):
+            m[i, j] = m[j, i] = t[f"v{n}"].to_numpy()
+        return out
+
+    def first(self, o: int):
+        s, q = ([F.col(f"{c}{k}") for k in range(o)] for c in ("_s", "_q"))
+        pairs, single = sparse_sums(self.view, [F.col("_w")], s)
+        t, xy = single.toArrow(), np.zeros((self.p, o))
+        for k in range(o):
+            xy[t["i"].to_numpy(), k] = t[f"v{k}"].to_numpy()
+        return self._dense(pairs, 1)[0], xy, total(self.view, [F.col("_w"), F.col("_n"), F.lit(1.0), *q, *s])
+
+    def second(self, coef, cov, squared, lever, power):
+        if cov == "cluster" or lever is not None or squared:
+            raise ValueError("the long form gives homoskedastic and plain robust covariances")
+        o, w = coef.shape[1], F.col("_w")
+        fits = {}
+        for k in range(o):
+            b = F.lit([float(v) for v in coef[:, k]])
+            fits[f"_f{k}"] = F.aggregate("_x", F.lit(0.0), lambda a, e: a + e["v"] * F.get(b, e["i"]))  # noqa: B023
+        held = self.view.withColumns(fits)
+        rs = [F.greatest(w * F.col(f"_f{k}") * F.col(f"_f{k}") - 2 * F.col(f"_f{k}") * F.col(f"_s{k}") + F.col(f"_q{k}"), F.lit(0.0)) for k in range(o)]
+        meats = self._dense(sparse_sums(held, rs)[0], o) if cov == "ehw" else []
+        return total(held, rs), meats, None
+
+
 def _fit_rows(cf, cov, small_sample, on_alias, method, cluster) -> FitResult:
     spec, view = cf.spec, stats_view(cf)
     names, x = [n for n, _ in spec.design()], [c for _, c in spec.design()]
@@ -191,7 +227,7 @@ def _fit_rows(cf, cov, small_sample, on_alias, method, cluster) -> FitResult:
         raise ValueError("leverage differs within a group of unequal weights")
     values = [c for c in view.columns if c.startswith("_") and c not in spec.keys and c != spec.cluster]
     table = local_rows(view, x, [F.col(c) for c in values], by) if cf.kind != "none" and method == "auto" else None
-    held = _Local(values, *table) if table else _Spread(view, x, by, method)
+    held = _Local(values, *table) if table else _Long(view, spec, p) if method == "long" else _Spread(view, x, by, method)
     gram, xy, flat = held.first(o)
     weight, n, records, yy, ys = flat[0], flat[1], int(flat[2]), flat[3 : 3 + o], flat[3 + o :]
     bread = inverse_spd(gram, on_alias)

@@ -10,6 +10,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from lincompress.operators.compress import CompressedFrame, packed
+from lincompress.plans.design import ModelSpec, Term
 
 #: Numbers that the driver takes: a compressed frame of this size or less is fitted there in numpy, with one job.
 LOCAL = 2_000_000
@@ -120,13 +121,43 @@ def gram_packed(cf: CompressedFrame) -> np.ndarray:
     return sums(stats_view(cf), [c for _, c in cf.spec.design()], [F.col("_w")], method="packed")[0][0]
 
 
+def sparse_entries(spec: ModelSpec) -> Column:
+    """The non-zero design entries of a row as an array of (i, v). A set of dummies is one lookup, whatever its number of levels."""
+
+    def term(t: Term, at: int) -> tuple[Column, int]:
+        if t.kind == "cat":
+            column, levels, ref = t.args
+            kept = [x for x in levels if x != (levels[0] if ref is None else ref)]
+            place = F.try_element_at(F.create_map(*[F.lit(x) for i, v in enumerate(kept) for x in (v, i)]), F.col(f"`{column}`"))
+            return F.when(place.isNull(), empty).otherwise(F.array(entry(place + F.lit(at), F.lit(1.0)))), len(kept)
+        if t.kind == "inter":
+            (a, m), (b, n) = term(t.args[0], 0), term(t.args[1], 0)
+            return F.flatten(F.transform(a, lambda x: F.transform(b, lambda y: entry(x["i"] * n + y["i"] + F.lit(at), x["v"] * y["v"])))), m * n
+        return F.array(*[entry(F.lit(at + k), c) for k, (_, c) in enumerate(t.columns())]), len(t.columns())
+
+    entry = lambda i, v: F.struct(i.cast("int").alias("i"), v.cast("double").alias("v"))
+    empty = F.array().cast("array<struct<i:int,v:double>>")
+    parts, at = ([F.array(entry(F.lit(0), F.lit(1.0)))], 1) if spec.intercept else ([], 0)
+    for t in spec.terms:
+        column, n = term(t, at)
+        parts, at = [*parts, column], at + n
+    return F.filter(F.concat(*parts) if parts else empty, lambda e: e["v"] != 0)
+
+
+def sparse_sums(rows: DataFrame, w: list[Column], s: list[Column] = ()) -> tuple[DataFrame, DataFrame]:
+    """(i, j, v0..) of X'WX for each weight, upper triangle, and (i, v0..) of X's; rows hold the entries in _x. Work goes with non-zero entries."""
+    named = rows.select("_x", *[c.alias(f"_w{k}") for k, c in enumerate(w)], *[c.alias(f"_v{k}") for k, c in enumerate(s)])
+    one = named.withColumn("_a", F.explode("_x"))
+    two = one.withColumn("_b", F.explode(F.filter("_x", lambda e: e["i"] >= F.col("_a.i"))))
+    pairs = two.groupBy(F.col("_a.i").alias("i"), F.col("_b.i").alias("j")).agg(*[F.sum(F.col(f"_w{k}") * F.col("_a.v") * F.col("_b.v")).alias(f"v{k}") for k in range(len(w))])
+    single = one.groupBy(F.col("_a.i").alias("i")).agg(*[F.sum(F.col(f"_v{k}") * F.col("_a.v")).alias(f"v{k}") for k in range(len(s))] or [F.lit(0.0).alias("v0")])
+    return pairs, single
+
+
 def gram_long(cf: CompressedFrame) -> DataFrame:
     """(i, j, v) of the upper triangle from non-zero entries only, for thousands of mostly empty columns."""
-    x = F.array(*[F.struct(F.lit(i).alias("i"), c.alias("v")) for i, (_, c) in enumerate(cf.spec.design())])
-    rows = stats_view(cf).select("_w", F.filter(x, lambda e: e["v"] != 0).alias("x"))
-    one = rows.select("_w", "x", F.explode("x").alias("a"))
-    two = one.select("_w", "a", F.explode(F.filter("x", lambda e: e["i"] >= F.col("a.i"))).alias("b"))
-    return two.groupBy(F.col("a.i").alias("i"), F.col("b.i").alias("j")).agg(F.sum(F.col("_w") * F.col("a.v") * F.col("b.v")).alias("v"))
+    rows = stats_view(cf).withColumn("_x", sparse_entries(cf.spec))
+    return sparse_sums(rows, [F.col("_w")])[0].withColumnRenamed("v0", "v")
 
 
 def dense(entries: DataFrame, p: int) -> np.ndarray:

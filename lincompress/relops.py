@@ -11,7 +11,7 @@ from lincompress.functions import linexpr, udx
 from lincompress.operators import compress as C
 from lincompress.plans.design import ModelSpec, num
 from lincompress.sources.scratch import shared_folder
-from lincompress.sources.tables import load, panel_generator, read_text_table, register_views, write_table
+from lincompress.sources.tables import follow, load, panel_generator, read_text_table, register_views, write_table
 from lincompress.streaming import compress_stream as cs
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {}
@@ -342,32 +342,46 @@ def _(s, d):
 _EVENTS = ModelSpec("value", (num("event_type"),))
 
 
+#: Watermarks need instants; wall-clock times go through the epoch, whatever the session's zone.
+_INSTANT = "timestamp_ltz'1970-01-01 00:00:00Z' + (ts - timestamp_ntz'1970-01-01 00:00:00')"
+
+
+def _instants(stream: DataFrame) -> DataFrame:
+    return stream.withColumn("ts", F.expr(_INSTANT))
+
+
+def _wall(column: str):
+    return F.expr(f"timestamp_ntz'1970-01-01 00:00:00' + ({column} - timestamp_ltz'1970-01-01 00:00:00Z')")
+
+
+def _drain(s, out: DataFrame, mode: str = "complete") -> DataFrame:
+    """Reads a stream until nothing is left."""
+    name = f"stream_{shared_folder(s, 'x').rsplit('-', 1)[1]}"
+    return cs.run_available(out, name, shared_folder(s, "stream"), mode)
+
+
 @query("stream_compress_parity", "SELECT event_type, count(*) AS cnt, round(sum(value), 4) AS sy_value FROM events GROUP BY event_type")
 def _(s, d):
     """The events as a stream of one file, read until nothing is left."""
-    schema = load(s, d, "events").schema
-    stream = s.readStream.schema(schema).option("pathGlobFilter", "events*.parquet").option("recursiveFileLookup", "true").parquet(d)
-    out = cs.compress_stream(stream, _EVENTS)
-    name = f"stream_{shared_folder(s, 'x').rsplit('-', 1)[1]}"
-    return cs.run_available(out, name, shared_folder(s, "stream")).select("event_type", "cnt", F.round("sy_value", 4).alias("sy_value"))
+    return _drain(s, cs.compress_stream(follow(s, d, "events"), _EVENTS)).select("event_type", "cnt", F.round("sy_value", 4).alias("sy_value"))
 
 
 @query("stream_tumbling", "SELECT date_trunc('day', ts) AS day, event_type, count(*) AS cnt FROM events GROUP BY 1, 2")
 def _(s, d):
-    out = cs.compress_stream(load(s, d, "events"), _EVENTS, lambda: F.window("ts", "1 day"))
-    return out.select(F.col("window.start").alias("day"), "event_type", "cnt")
+    out = cs.compress_stream(_instants(follow(s, d, "events")), _EVENTS, lambda: F.window("ts", "1 day"), ("ts", "2 days"))
+    return _drain(s, out).select(_wall("window.start").alias("day"), "event_type", "cnt")
 
 
 @query("stream_sliding", "SELECT date_trunc('day', ts) + INTERVAL (k) DAY AS until, event_type, count(*) AS cnt FROM events, (SELECT unnest(range(1, 8)) AS k) GROUP BY 1, 2")
 def _(s, d):
-    out = cs.compress_stream(load(s, d, "events"), _EVENTS, lambda: F.window("ts", "7 days", "1 day"))
-    return out.select(F.col("window.end").alias("until"), "event_type", "cnt")
+    out = cs.compress_stream(_instants(follow(s, d, "events")), _EVENTS, lambda: F.window("ts", "7 days", "1 day"), ("ts", "2 days"))
+    return _drain(s, out).select(_wall("window.end").alias("until"), "event_type", "cnt")
 
 
 @query("stream_session", "WITH g AS (SELECT user_id, ts, value, CASE WHEN ts - lag(ts) OVER w < INTERVAL 6 HOUR THEN 0 ELSE 1 END AS fresh FROM events WINDOW w AS (PARTITION BY user_id ORDER BY ts)), n AS (SELECT *, sum(fresh) OVER (PARTITION BY user_id ORDER BY ts ROWS UNBOUNDED PRECEDING) AS k FROM g) SELECT user_id, min(ts) AS start, count(*) AS cnt FROM n GROUP BY user_id, k")
 def _(s, d):
-    out = cs.compress_stream(load(s, d, "events"), ModelSpec("value", (num("user_id"),)), lambda: F.session_window("ts", "6 hours"))
-    return out.select("user_id", F.col("window.start").alias("start"), "cnt")
+    out = cs.compress_stream(_instants(follow(s, d, "events")), ModelSpec("value", (num("user_id"),)), lambda: F.session_window("ts", "6 hours"), ("ts", "2 days"))
+    return _drain(s, out).select("user_id", _wall("window.start").alias("start"), "cnt")
 
 
 @query("stream_late", "WITH m AS (SELECT max(ts) AS m FROM events) SELECT count(*) FILTER (ts < m - INTERVAL 2 DAY) AS late, count(*) AS rows FROM events, m")
@@ -376,7 +390,28 @@ def _(s, d):
     return cs.late_rows(e, "ts", "2 days", str(e.agg(F.max("ts")).first()[0]))
 
 
-@query("stream_dedup", "SELECT count(*) AS n FROM (SELECT DISTINCT event_id FROM events)")
+@query("stream_watermark", "WITH m AS (SELECT max(ts) AS m FROM events) SELECT date_trunc('day', ts) AS day, count(*) AS cnt FROM events, m WHERE day(ts) >= 10 AND date_trunc('day', ts) + INTERVAL 1 DAY <= m - INTERVAL 2 DAY GROUP BY 1")
 def _(s, d):
+    """Rows of the first days come last: the watermark, which holds for late rows from the second batch after it rose, drops them; closed windows are emitted once."""
+    folder = shared_folder(s, "late")
     e = load(s, d, "events")
-    return cs.dedup(e.unionAll(e), "event_id", "ts", "1 day").agg(F.count(F.lit(1)).alias("n"))
+    for k, part in enumerate((e.where("day(ts) between 10 and 20"), e.where("day(ts) > 20"), e.where("day(ts) < 10"))):
+        part.coalesce(1).write.mode("append").parquet(f"{folder}/events-{k}.parquet")
+    stream = s.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).option("recursiveFileLookup", "true").option("pathGlobFilter", "*.parquet").parquet(folder)
+    out = cs.compress_stream(_instants(stream), ModelSpec("value"), lambda: F.window("ts", "1 day"), ("ts", "2 days"))
+    return _drain(s, out, "append").select(_wall("window.start").alias("day"), "cnt")
+
+
+@query("stream_dedup", "SELECT count(*) AS n FROM (SELECT DISTINCT event_id FROM events)")
+def _(s, d):
+    """Every event comes twice; each is kept once."""
+    twice = _instants(follow(s, d, "events")).unionAll(_instants(follow(s, d, "events")))
+    return _drain(s, cs.dedup(twice, "event_id", "ts", "60 days"), "append").agg(F.count(F.lit(1)).alias("n"))
+
+
+@query("stream_static_join", "SELECT c_mktsegment AS segment, count(*) AS cnt, round(sum(value), 4) AS sy_value FROM events JOIN customer ON user_id = c_custkey GROUP BY c_mktsegment")
+def _(s, d):
+    """Static attributes of users join the stream before it is compressed."""
+    users = load(s, d, "customer").select(F.col("c_custkey").alias("user_id"), F.col("c_mktsegment").alias("segment"))
+    out = cs.compress_stream(follow(s, d, "events").join(users, "user_id"), ModelSpec("value", (num("segment"),)))
+    return _drain(s, out).select("segment", "cnt", F.round("sy_value", 4).alias("sy_value"))

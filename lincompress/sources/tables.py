@@ -43,3 +43,14 @@ def panel_generator(spark: SparkSession, units: int, periods: int, tau: float =
     rows = rows.select(u.alias("unit"), t.alias("t"))
     rows = rows.withColumns({"arm": F.pmod(F.xxhash64("unit"), F.lit(2)).cast("int")} | {f"x{k}": F.pmod(F.xxhash64("unit", F.lit(k)), F.lit(k + 2)).cast("int") for k in range(1, 5)})
     return rows.withColumn("y", F.lit(1.0) + tau * F.col("arm") + 0.1 * F.col("x1") + 0.02 * F.col("t") + noise(1, F.col("unit")) + noise(2, F.col("unit"), F.col("t")))
+
+
+def sample_rows(df: DataFrame, share: float, seed: int = 0, by: str | None = None, shares: dict | None = None) -> DataFrame:
+    """A reproducible sample for choosing cut points, never for a fit; with ``by`` each value has its own share."""
+    return df.sampleBy(by, shares, seed) if by else df.sample(share, seed=seed)
+
+
+def follow(spark: SparkSession, sf_dir: str, name: str, files_per_batch: int | None = None) -> DataFrame:
+    """A table's files as a stream."""
+    reader = spark.readStream.schema(load(spark, sf_dir, name).schema).option("pathGlobFilter", f"{name}*.parquet").option("recursiveFileLookup", "true")
+    return (reader.option("maxFilesPerTrigger", files_per_batch) if files_per_batch else reader).parquet(sf_dir)

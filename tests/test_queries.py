@@ -14,9 +14,9 @@ TABLES = [f[:-8] for f in sorted(os.listdir(SF)) if f.endswith(".parquet")]
 
 
 def _methods():
-    from lincompress import relops, workloads
+    from lincompress import relops, studies, workloads
 
-    return workloads.QUERIES | relops.QUERIES, workloads.SQL | relops.SQL
+    return workloads.QUERIES | studies.QUERIES | relops.QUERIES, workloads.SQL | studies.SQL | relops.SQL
 
 
 def normal(rows):
