@@ -24,6 +24,8 @@ def scratch(spark: SparkSession) -> str:
         if made:
             folder = made
         else:
+            if not spark.sparkContext.master.startswith("local"):
+                raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
             folder = "file://" + tempfile.mkdtemp(prefix="lincompress-")
             spark.sparkContext.setCheckpointDir(folder)
     return folder.rstrip("/")

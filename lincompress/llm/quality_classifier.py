@@ -20,6 +20,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lincompress.llm.common import materialise, read, remainder
+from lincompress.operators.solve import _lower_inverse
 
 MODULUS, HELD, KEEP = 4, 2, 0.7
 SHRINK, RIDGE = 0.1, 1e-4
@@ -58,23 +59,24 @@ def fit(labelled: DataFrame, shrink: float = SHRINK, ridge: float = RIDGE) -> di
     p = len(NAMES)
     pairs = [(i, j) for i in range(p) for j in range(i, p)]
     x = [F.get("x", i) for i in range(p)]
-    sums = [F.count(F.lit(1)).alias("n"), *[F.sum(x[i]).alias(f"s{i}") for i in range(p)], *[F.sum(x[i] * x[j]).alias(f"q{i}_{j}") for i, j in pairs]]
+    # covariances about the mean, merged pairwise: no difference of large sums
+    sums = [F.count(F.lit(1)).alias("n"), *[F.avg(x[i]).alias(f"m{i}") for i in range(p)], *[F.covar_pop(x[i], x[j]).alias(f"c{i}_{j}") for i, j in pairs]]
     rows = {r.quality: r for r in labelled.where("quality in (0, 1)").groupBy("quality").agg(*sums).collect()}
     if not rows:
         return None
     moments = {}
     for k, r in rows.items():
-        mean = np.array([r[f"s{i}"] for i in range(p)]) / r.n
+        mean = np.array([r[f"m{i}"] for i in range(p)])
         cov = np.zeros((p, p))
         for i, j in pairs:
-            cov[i, j] = cov[j, i] = r[f"q{i}_{j}"] / r.n - mean[i] * mean[j]
+            cov[i, j] = cov[j, i] = r[f"c{i}_{j}"]
         moments[k] = (r.n, mean, cov)
     total = sum(m[0] for m in moments.values())
     pooled = np.diag(np.maximum(np.diag(sum(m[0] * m[2] for m in moments.values())) / total, 0) + ridge)
     out = {"only": None if len(moments) == 2 else float(next(iter(moments)))}
     for k, (n, mean, cov) in moments.items():
         factor = np.linalg.cholesky((1 - shrink) * cov + shrink * pooled + ridge * np.eye(p))
-        out[k] = (mean, np.linalg.inv(factor), 2 * np.log(np.diag(factor)).sum(), math.log(n / total))
+        out[k] = (mean, _lower_inverse(factor), 2 * np.log(np.diag(factor)).sum(), math.log(n / total))
     return out
 
 

@@ -110,7 +110,7 @@ def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, deple
     found = mark_lines(base_counts(rows), bad)
     found = found.withColumns({
         "removed_lines": F.size("_gone").cast("long"),
-        "removed_words": F.when(F.size("_gone") > 0, F.size(F.regexp_extract_all(F.array_join(F.transform("_gone", lambda i: F.get(F.split("text", "\n"), i)), "\n"), F.lit(WORD), F.lit(0)))).otherwise(0).cast("long"),
+        "removed_words": F.when(F.size("_gone") > 0, F.size(F.regexp_extract_all(let(F.split("text", "\n"), lambda lines: F.array_join(F.transform("_gone", lambda i: F.get(lines, i)), "\n")), F.lit(WORD), F.lit(0)))).otherwise(0).cast("long"),
         "base_failed": (F.col("n_words") < 50) | (100 * F.col("n_repeat_words") > 50 * F.col("n_words")),
     })
     clean = F.when(F.size("_gone") > 0, F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_gone", i)), "\n")).otherwise(F.col("text"))
