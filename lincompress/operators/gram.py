@@ -13,7 +13,7 @@ from lincompress.operators.compress import CompressedFrame, packed
 from lincompress.plans.design import ModelSpec, Term
 
 #: Numbers that the driver takes: a compressed frame of this size or less is fitted there in numpy, with one job.
-LOCAL = 2_000_000
+LOCAL = 8_000_000
 #: Aggregates in one row up to here; beyond, whole-stage code generation gives up, so numpy partial sums take over.
 WIDE = 90
 
