@@ -58,6 +58,20 @@ def _encoder(path: str):
     return shelf[path].encode
 
 
+def _forget() -> None:
+    """Empties the caches of this worker: tokens are written, and later tasks of other kinds need the memory."""
+    import gc
+    import sys
+
+    shelf = sys.modules.get("_token_shelf")
+    for encoder in list(vars(shelf).values()) if shelf else ():
+        if hasattr(encoder, "chunks") and encoder.chunks:
+            encoder.chunks.clear()
+            encoder.words.clear()
+            gc.collect()
+    pa.default_memory_pool().release_unused()
+
+
 class _Encoder:
     def __init__(self, path: str):
         import json
@@ -247,6 +261,7 @@ def pack(docs: DataFrame, path: str, length: int = LENGTH, targets: dict[str, fl
     names = [x.split()[0] for x in PIECES.split(", ")] + ["ids"] * with_ids
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        _forget()
         for whole in batches:
             for k in range(0, whole.num_rows, 512):
                 batch = whole.slice(k, 512)
