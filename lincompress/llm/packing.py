@@ -253,15 +253,16 @@ def schedule(lengths: DataFrame, length: int = LENGTH, targets: dict[str, float]
 PIECES = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, offset long"
 
 
-def pack(docs: DataFrame, path: str, length: int = LENGTH, targets: dict[str, float] | None = None, power: float = 1.0, with_ids: bool = False) -> DataFrame:
-    """A row for each piece; with_ids adds its ids (array of int)."""
+def pack(docs: DataFrame, path: str, length: int = LENGTH, targets: dict[str, float] | None = None, power: float = 1.0, with_ids: bool = False, forget: bool = False) -> DataFrame:
+    """A row for each piece; with_ids adds its ids (array of int). forget: workers drop their token caches in the end, for the sake of other work."""
     tokens = materialise(tokenise(docs, path), "tokens")
     before, cuts = queues(tokens.select("source", "block", "n"), length, targets, power)
     placed = tokens.join(before, ["source", "block"]).select("doc_id", "ids", "queue", (F.col("before") + F.col("inner")).alias("at"), "n")
     names = [x.split()[0] for x in PIECES.split(", ")] + ["ids"] * with_ids
 
     def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        _forget()
+        if forget:
+            _forget()
         for whole in batches:
             for k in range(0, whole.num_rows, 512):
                 batch = whole.slice(k, 512)
@@ -293,4 +294,4 @@ def op6_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return pack(docs, _path(), power=POWER)
+    return pack(docs, _path(), power=POWER, forget=True)
