@@ -48,6 +48,11 @@ def remove(df: DataFrame) -> None:
     path.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
 
 
+def numbered(docs: DataFrame, *kept: str) -> DataFrame:
+    """docs with all other columns named c0, c1, ... by place, so that no name of theirs meets one of an operator."""
+    return docs.toDF(*[c if c in kept else f"c{i}" for i, c in enumerate(docs.columns)])
+
+
 def remainder(doc_id: Column, modulus: int) -> Column:
     """crc32 of the id as text, modulo; a null id counts as the empty text."""
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % modulus

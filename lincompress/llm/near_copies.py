@@ -16,7 +16,7 @@ Links between the first components join those to the last ones. No step makes a
 
 Edge cases: equal texts are one node; a null text counts as empty, and texts without words are one group; texts of one to four
 words have the one shingle of all their words; of a component the smallest id stays (an id that is null is the largest), of
-repeated rows one; an empty table gives an empty result.
+repeated rows one; an empty table gives an empty result. Other columns are kept, whatever their names.
 """
 
 from __future__ import annotations
@@ -29,7 +29,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from lincompress.llm import components, simhash
-from lincompress.llm.common import materialise
+from lincompress.llm.common import materialise, numbered
 
 WIDTH, SIMILARITY, SAMPLES = 5, 0.8, 8
 #: Samples that a text must share with a head to be compared with it first; all other pairs that share one meet in cells.
@@ -244,7 +244,8 @@ def groups(docs: DataFrame, width: int = WIDTH, similarity: float = SIMILARITY,
 
 def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents without all but the first of each group of near copies."""
-    keyed = docs.withColumns({"_near_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)), "_near_text": F.xxhash64(F.coalesce("text", F.lit("")))})
+    plain = numbered(docs, "doc_id", "text")
+    keyed = plain.withColumns({"_near_id": F.coalesce(F.col("doc_id").cast("long"), F.lit(LAST)), "_near_text": F.xxhash64(F.coalesce("text", F.lit("")))})
     found = materialise(groups(keyed.select(F.col("_near_id").alias("id"), F.col("_near_text").alias("node"), "text")), "groups")
     stays = found.groupBy("root").agg(F.min(F.struct("id", "node")).alias("stays"))
     goes = materialise(found.join(stays, "root").where(F.struct("id", "node") != F.col("stays")).select(F.col("id").alias("_near_id"), F.col("node").alias("_near_text")).distinct(), "goes")
@@ -252,4 +253,4 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     kept = keyed.join(goes, ["_near_id", "_near_text"], "left_anti")
     if found.groupBy("id", "node").count().where("count > 1").limit(1).count():
         kept = kept.dropDuplicates(["_near_id", "_near_text"])
-    return kept.select(*[f"`{c}`" for c in docs.columns])
+    return kept.select(*plain.columns).toDF(*docs.columns)

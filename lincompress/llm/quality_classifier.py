@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from lincompress.llm.common import materialise, read, remainder
+from lincompress.llm.common import materialise, numbered, read, remainder
 from lincompress.operators.solve import _lower_inverse
 
 MODULUS, HELD, KEEP = 4, 2, 0.7
@@ -134,4 +134,5 @@ def stage(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
                 batch = whole.slice(k, 512)
                 yield batch.filter(pa.array(scores(model, np.array([statistics(t.as_py()) for t in batch.column(text)], float)) >= KEEP))
 
-    return docs.mapInArrow(keep, docs.schema)
+    plain = numbered(docs, "doc_id", "text")
+    return plain.mapInArrow(keep, plain.schema).toDF(*docs.columns)

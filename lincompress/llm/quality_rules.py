@@ -105,7 +105,7 @@ def mark_lines(docs: DataFrame, bad: DataFrame, literal_lines: int = LITERAL_LIN
 
 def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, depleted_share: float = DEPLETED_SHARE, keep: list[str] = ()) -> DataFrame:
     """doc_id, the base counts, base_failed, removed_lines, removed_words, kept, clean_text and the columns named in keep."""
-    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("_host"), *[docs[c].alias(f"keep_{c}") for c in keep])
+    rows = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"), F.coalesce(F.col("source").cast("string"), F.lit("")).alias("_host"), *[F.col(f"`{c}`").alias(f"keep_{c}") for c in keep])
     bad = materialise(frequent_lines(rows.select("text", "_host"), min_docs, share), "lines")
     found = mark_lines(base_counts(rows), bad)
     found = found.withColumns({
@@ -116,7 +116,7 @@ def judge(docs: DataFrame, min_docs: int = MIN_DOCS, share: float = SHARE, deple
     clean = F.when(F.size("_gone") > 0, F.array_join(F.filter(F.split("text", "\n"), lambda x, i: ~F.array_contains("_gone", i)), "\n")).otherwise(F.col("text"))
     return found.select(
         "doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", "base_failed", "removed_lines", "removed_words",
-        (~F.col("base_failed") & (F.col("removed_words") <= depleted_share * F.col("n_words"))).alias("kept"), clean.alias("clean_text"), *[f"keep_{c}" for c in keep],
+        (~F.col("base_failed") & (F.col("removed_words") <= depleted_share * F.col("n_words"))).alias("kept"), clean.alias("clean_text"), *[F.col(f"`keep_{c}`") for c in keep],
     )
 
 
