@@ -58,13 +58,15 @@ class FitLinear:
     def terminate(self):
         import numpy as np
 
+        from lincompress.operators.solve import inverse_spd
+
         if not self.rows:
             return
         y, right = (s.strip() for s in self.formula.split("~"))
         names = ["(intercept)", *[s.strip() for s in right.split("+")]]
         x = np.array([[1.0, *[float(r[n]) for n in names[1:]]] for r in self.rows])
         n, s, q = (np.array([float(r[c]) for r in self.rows]) for c in ("cnt", f"sy_{y}", f"syy_{y}"))
-        bread = np.linalg.inv((x * n[:, None]).T @ x)
+        bread = inverse_spd((x * n[:, None]).T @ x)
         beta = bread @ (x.T @ s)
         fit = x @ beta
         rss = n * fit**2 - 2 * fit * s + q

@@ -506,8 +506,8 @@ def predict(fit: FitResult, df: DataFrame, spec: ModelSpec, k: int = 0) -> DataF
 def posterior(cf: CompressedFrame, ridge: float = 1.0, seed: int = 0, k: int = 0) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Mean, covariance and one draw of the coefficients under a normal prior of precision ridge / sigma^2."""
     fit = fit_compressed(cf)
-    gram = np.linalg.inv(fit.bread)
-    cov = np.linalg.inv(gram + ridge * np.eye(len(gram)))
+    gram = inverse_spd(fit.bread)
+    cov = inverse_spd(gram + ridge * np.eye(len(gram)))
     mean = cov @ gram @ fit.coef[:, k]
     cov = cov * fit.rss[k] / fit.df
     return mean, cov, np.random.default_rng(seed).multivariate_normal(mean, cov)

@@ -5,8 +5,9 @@ from dataclasses import replace
 import numpy as np
 import pytest
 
+from lincompress.functions import udx
 from lincompress.operators import baselines, compress as C, measures
-from lincompress.operators.fit import COMPRESSIONS, fit_compressed, fit_moments_expanded, mean_variance, wald
+from lincompress.operators.fit import COMPRESSIONS, fit_compressed, fit_moments_expanded, mean_variance, posterior, wald
 from lincompress.operators.glm import Separated, fit_logistic
 from lincompress.operators.solve import Aliased
 from lincompress.plans.design import ModelSpec, cat, inter, num, parse_formula, poly, resolve
@@ -192,3 +193,25 @@ def test_formula_and_wald(cross):
 def test_storage_rule():
     assert measures.stored_numbers(2, 150, 30)["most_groups"] == pytest.approx(150 / 32)
     assert measures.model_bytes(10**9, 10) == 40 * 10**9 and measures.model_bytes(10**7, 10) == 400 * 10**6
+
+
+def test_posterior_is_the_ridge_form(cross):
+    x = np.array([[1.0, r[0]] for r in CROSS])
+    y = np.array([float(r[1]) for r in CROSS])
+    beta = np.linalg.solve(x.T @ x, x.T @ y)
+    sigma2 = ((y - x @ beta) ** 2).sum() / (len(y) - 2)
+    mean, cov, draw = posterior(C.compress_stats(cross, SPEC), 0.5, seed=3)
+    precision = x.T @ x + 0.5 * np.eye(2)
+    assert np.allclose(mean, np.linalg.solve(precision, x.T @ y)) and np.allclose(precision @ cov, sigma2 * np.eye(2)) and len(draw) == 2
+
+
+def test_table_function_in_sql(spark, cross):
+    udx.register_all(spark)
+    C.compress_stats(cross.selectExpr("x", "y", "x * 2 as z"), ModelSpec("y", (num("x"), num("z")))).df.createOrReplaceTempView("_frame")
+    fit = lambda right, cov: spark.sql(f"SELECT * FROM fit_linear(TABLE(_frame) WITH SINGLE PARTITION, 'y ~ {right}', '{cov}')").collect()
+    for cov in ("homoskedastic", "ehw"):
+        want = fit_compressed(C.compress_stats(cross, SPEC), cov)
+        got = {r.term: (r.coef, r.se) for r in fit("x", cov)}
+        assert np.allclose([got[t] for t in ("(intercept)", "x")], np.column_stack([want.coef[:, 0], np.sqrt(np.diag(want.cov[0]))]))
+    with pytest.raises(Exception, match="aliased"):
+        fit("x + z", "ehw")
