@@ -44,10 +44,19 @@ def late_rows(batch: DataFrame, time: str, delay: str, seen: str) -> DataFrame:
 
 
 def run_available(out: DataFrame, name: str, checkpoint: str, mode: str = "complete") -> DataFrame:
-    """Everything that is there, into a memory table."""
-    query = out.writeStream.outputMode(mode).format("memory").queryName(name).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
+    """Everything that is there, into files beside the checkpoint, which executors write: a complete result replaces the last one, other modes keep a folder for each batch (a retry overwrites it)."""
+    store, seen = f"{checkpoint}-rows", []
+
+    def write(batch: DataFrame, batch_id: int) -> None:
+        part = "all" if mode == "complete" else f"batch-{batch_id}"
+        batch.write.mode("overwrite").parquet(f"{store}/{part}")
+        if part not in seen:
+            seen.append(part)
+
+    query = out.writeStream.outputMode(mode).queryName(name).foreachBatch(write).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
     query.awaitTermination()
-    return out.sparkSession.table(name)
+    reader = out.sparkSession.read.schema(out.schema)
+    return reader.parquet(*[f"{store}/{part}" for part in seen]) if seen else out.sparkSession.createDataFrame([], out.schema)
 
 
 def refresh_each_batch(store: str, spec: ModelSpec, after: Callable[[CompressedFrame, int], None] | None = None) -> Callable[[DataFrame, int], None]:

@@ -87,3 +87,16 @@ def test_plan_reads_used_columns_and_combines_before_the_exchange(spark):
     cf = C.compress_stats(load(spark, SF, "lineitem"), ModelSpec("l_quantity", (num("l_discount"),)))
     plan = cf.df._jdf.queryExecution().executedPlan().toString()
     assert "partial_sum" in plan and "ReadSchema: struct<l_quantity:double,l_discount:double>" in plan.replace("\n", "")
+
+
+def test_results_of_streams_go_to_files_not_through_the_driver(spark, tmp_path):
+    e = parts(spark, tmp_path, (0, 1, 2)).drop("d")
+    stream = lambda: spark.readStream.schema(e.schema).option("maxFilesPerTrigger", 1).parquet(str(tmp_path / "in"))
+    held = cs.run_available(cs.compress_stream(stream(), SPEC), "held", str(tmp_path / "cp3"))
+    assert held.inputFiles() and {(r.hour, r.cnt) for r in held.collect()} == {(r.hour, r["count"]) for r in e.groupBy("hour").count().collect()}
+    rows = cs.run_available(stream().select("event_id"), "rows", str(tmp_path / "cp4"), "append")
+    assert len({f.rsplit("/", 2)[1] for f in rows.inputFiles()}) > 1
+    assert sorted(r[0] for r in rows.collect()) == sorted(r[0] for r in e.select("event_id").collect())
+    (tmp_path / "none").mkdir()
+    nothing = cs.run_available(cs.compress_stream(spark.readStream.schema(e.schema).parquet(str(tmp_path / "none")), SPEC), "nothing", str(tmp_path / "cp5"))
+    assert nothing.columns == held.columns and nothing.count() == 0
