@@ -100,3 +100,14 @@ def test_results_of_streams_go_to_files_not_through_the_driver(spark, tmp_path):
     (tmp_path / "none").mkdir()
     nothing = cs.run_available(cs.compress_stream(spark.readStream.schema(e.schema).parquet(str(tmp_path / "none")), SPEC), "nothing", str(tmp_path / "cp5"))
     assert nothing.columns == held.columns and nothing.count() == 0
+
+
+def test_session_and_dedup_queries_hold_no_result_on_the_driver(spark):
+    from lincompress.relops import QUERIES
+
+    sessions = QUERIES["stream_session"](spark, SF)
+    assert all("stream-" in f for f in sessions.inputFiles()) and sessions.inputFiles()
+    assert sessions.agg({"cnt": "sum"}).first()[0] == load(spark, SF, "events").count()
+    once = QUERIES["stream_dedup"](spark, SF)
+    kept = spark.read.parquet(*once.inputFiles())
+    assert kept.columns == ["event_id", "ts"] and kept.count() == once.first().n == load(spark, SF, "events").select("event_id").distinct().count()
