@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from lincompress.functions import linexpr
 from lincompress.operators import compress as C
-from lincompress.operators.fit import fit_compressed, fit_linear, fit_lpm, linear
+from lincompress.operators.fit import fit_cells, fit_compressed, fit_linear, fit_lpm, linear
 from lincompress.operators.glm import fit_logistic
 from lincompress.oracles import LINE, ORDERS, PANEL, lines_by_group, two_parameters
 from lincompress.plans import binning
@@ -238,9 +238,7 @@ _PARTS = "SELECT l_partkey AS part, l_quantity AS qty FROM lineitem"
 
 @query("wide_sparse_fit", f"WITH m AS (SELECT part, avg(qty) AS m, count(*) AS n, sum(qty * qty) - count(*) * avg(qty) * avg(qty) AS ss FROM ({_PARTS}) GROUP BY part) SELECT part, round(m, 6) AS fitted, round(sqrt(greatest(ss, 0)) / n, 6) AS se FROM m")
 def _(s, d):
-    """A dummy for every part (hundreds to thousands of columns): cell means and their robust errors, from non-zero entries only."""
+    """A dummy for every part, however many: cell means and their robust errors, from non-zero entries only; nothing of the number of parts is on the driver."""
     rows = load(s, d, "lineitem").select(F.col("l_partkey").alias("part"), F.col("l_quantity").alias("qty"))
-    spec = resolve(rows, ModelSpec("qty", (cat("part", ref="none"),), intercept=False))
-    fit = fit_compressed(C.compress_stats(rows, spec), "ehw", method="long")
-    cells = [(int(n[5:-1]), round(float(b), 6), round(float(e), 6)) for n, b, e in zip(fit.names, fit.coef[:, 0], fit.se(), strict=True)]
-    return values(s, cells, "part long, fitted double, se double")
+    cf = C.compress_stats(rows, ModelSpec("qty", (cat("part", ref="none"),), intercept=False))
+    return fit_cells(cf).select(F.col("level").alias("part"), F.round("coef_qty", 6).alias("fitted"), F.round("se_qty", 6).alias("se"))

@@ -7,7 +7,7 @@ import pytest
 
 from lincompress.functions import udx
 from lincompress.operators import baselines, compress as C, measures
-from lincompress.operators.fit import COMPRESSIONS, fit_compressed, fit_moments_expanded, mean_variance, posterior, wald
+from lincompress.operators.fit import COMPRESSIONS, fit_cells, fit_compressed, fit_moments_expanded, mean_variance, posterior, wald
 from lincompress.operators.glm import Separated, fit_logistic
 from lincompress.operators.solve import Aliased
 from lincompress.plans.design import ModelSpec, cat, inter, num, parse_formula, poly, resolve
@@ -215,3 +215,23 @@ def test_table_function_in_sql(spark, cross):
         assert np.allclose([got[t] for t in ("(intercept)", "x")], np.column_stack([want.coef[:, 0], np.sqrt(np.diag(want.cov[0]))]))
     with pytest.raises(Exception, match="aliased"):
         fit("x + z", "ehw")
+
+
+def test_cells_of_more_levels_than_the_driver_takes(spark, tmp_path):
+    """12,000 parts: cell means and robust errors by hand; nulls are a level; the long form gives the same where it can."""
+    from lincompress.studies import QUERIES
+
+    n = 12_000
+    rows = spark.range(3 * n).selectExpr("id % 12000 as l_partkey", "cast(id % 12000 % 7 + 2 * floor(id / 12000) as double) as l_quantity")
+    rows.unionAll(spark.sql("SELECT cast(null as bigint), cast(5 as double)")).write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = {r.part: (r.fitted, r.se) for r in QUERIES["wide_sparse_fit"](spark, str(tmp_path)).collect()}
+    assert len(got) == n + 1 and got[None] == (5.0, 0.0)
+    assert all(got[p] == (p % 7 + 2.0, round(8**0.5 / 3, 6)) for p in range(n))
+    few = spark.createDataFrame([(p, float(y)) for p, y in ((1, 2), (1, 5), (2, 1), (2, 1), (3, 4), (3, 9), (3, 0))], "part long, qty double")
+    spec = ModelSpec("qty", (cat("part", ref="none"),), intercept=False)
+    long = fit_compressed(C.compress_stats(few, resolve(few, spec)), "ehw", method="long")
+    for frame in (C.compress_stats(few, spec), C.compress_frequency(few, spec), C.compress_stats(few, spec, centred=True)):
+        cells = fit_cells(frame).orderBy("level").collect()
+        assert np.allclose([r.coef_qty for r in cells], long.coef[:, 0]) and np.allclose([r.se_qty for r in cells], long.se())
+    with pytest.raises(ValueError, match="one set of dummies"):
+        fit_cells(C.compress_stats(few, ModelSpec("qty", (cat("part", levels=(1, 2, 3)),))))
