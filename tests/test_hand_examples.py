@@ -235,3 +235,12 @@ def test_cells_of_more_levels_than_the_driver_takes(spark, tmp_path):
         assert np.allclose([r.coef_qty for r in cells], long.coef[:, 0]) and np.allclose([r.se_qty for r in cells], long.se())
     with pytest.raises(ValueError, match="one set of dummies"):
         fit_cells(C.compress_stats(few, ModelSpec("qty", (cat("part", levels=(1, 2, 3)),))))
+
+
+def test_generated_panel_is_that_of_the_given_customers(spark, tmp_path):
+    from lincompress.relops import QUERIES
+
+    spark.createDataFrame([(1, 4, 2.5), (3, 1, -1.5), (2, 5, 0.0)], "c_custkey long, c_nationkey int, c_acctbal double").write.parquet(str(tmp_path / "customer.parquet"))
+    got = QUERIES["io_generator"](spark, str(tmp_path))
+    assert got.inputFiles() and sorted(map(tuple, got.where("t in (0, 19)").collect())) == [(0, 2, 0, 1, 0.0, 0.0), (0, 2, 19, 1, 19.0, 361.0), (1, 1, 0, 2, 2.0, 10.0), (1, 1, 19, 2, 40.0, 808.0)]
+    assert got.count() == 40
