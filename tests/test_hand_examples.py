@@ -244,3 +244,10 @@ def test_generated_panel_is_that_of_the_given_customers(spark, tmp_path):
     got = QUERIES["io_generator"](spark, str(tmp_path))
     assert got.inputFiles() and sorted(map(tuple, got.where("t in (0, 19)").collect())) == [(0, 2, 0, 1, 0.0, 0.0), (0, 2, 19, 1, 19.0, 361.0), (1, 1, 0, 2, 2.0, 10.0), (1, 1, 19, 2, 40.0, 808.0)]
     assert got.count() == 40
+
+
+def test_memory_is_that_of_the_given_panel(spark, tmp_path):
+    from lincompress.workloads import QUERIES
+
+    spark.sql("SELECT * FROM VALUES (1, timestamp_ntz'2024-01-01 00:00:00'), (1, timestamp_ntz'2024-01-01 23:00:00'), (2, timestamp_ntz'2024-01-03 01:00:00'), (7, timestamp_ntz'2024-01-03 02:00:00') AS e(user_id, ts)").write.parquet(str(tmp_path / "events.parquet"))
+    assert {r.layout: r.bytes for r in QUERIES["measure_memory"](spark, str(tmp_path)).collect()} == {"rows": 3 * 2 * 10 * 4, "units": 3 * 10 * 4}
