@@ -251,3 +251,12 @@ def test_memory_is_that_of_the_given_panel(spark, tmp_path):
 
     spark.sql("SELECT * FROM VALUES (1, timestamp_ntz'2024-01-01 00:00:00'), (1, timestamp_ntz'2024-01-01 23:00:00'), (2, timestamp_ntz'2024-01-03 01:00:00'), (7, timestamp_ntz'2024-01-03 02:00:00') AS e(user_id, ts)").write.parquet(str(tmp_path / "events.parquet"))
     assert {r.layout: r.bytes for r in QUERIES["measure_memory"](spark, str(tmp_path)).collect()} == {"rows": 3 * 2 * 10 * 4, "units": 3 * 10 * 4}
+
+
+def test_recursion_starts_from_the_given_line_items(spark, tmp_path):
+    from lincompress.relops import QUERIES
+
+    spark.createDataFrame([("A", "F", 1.0), ("A", "F", 4.0), ("N", "O", 3.0), ("N", "O", 9.0)], "l_returnflag string, l_linestatus string, l_quantity double").write.parquet(str(tmp_path / "lineitem.parquet"))
+    got = {(r.flag, r.status, r.k): r.v for r in QUERIES["op_recursive"](spark, str(tmp_path)).collect()}
+    assert len(got) == 16 and [got["A", "F", k] for k in (1, 2, 3)] == [1.0, 1.625, round((1.625 + 2.25 / 1.625) / 2, 9)]
+    assert got["A", "F", 8] == 1.5 and got["N", "O", 8] == 3.0
