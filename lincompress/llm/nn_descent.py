@@ -1,10 +1,13 @@
 """Approximate nearest neighbours: a neighbour graph by NN-descent, searched greedily.
 
 Distinct vectors are the nodes (equal vectors are one node, so a vector that a third of all rows share is no hot spot). Nodes
-are dealt to blocks by hash; a block is one row of arrays, and everything that blocks tell each other is a row addressed to
-a block, so a step of the algorithm is one Spark ``groupBy(block)``:
+are dealt to blocks of near vectors by a tree of hyperplanes, each near the widest direction of what it splits and at its
+median; the tree is fitted on at most 32,768 nodes drawn by hash, every node is dealt, and a crowded leaf is dealt on by hash.
+Most neighbours of a node are then in few blocks, so few vectors are sent. A block is one row of arrays, and everything that
+blocks tell each other is a row addressed to a block, so a step of the algorithm is one Spark ``groupBy(block)``:
 
-* seeding: nodes meet in random groups of 64, twice, and keep their nearest in each group: a constant number of comparisons a node;
+* seeding: nodes meet in their block, and once more in the leaf of a second tree with other hyperplanes, and keep their nearest
+  of both; groups are of some thousand nodes: a bounded number of comparisons a node;
 * each round of NN-descent joins neighbours of neighbours. A block sends its edges, with the vectors at their sources, to the
   blocks of their targets; those draw reverse neighbours and send back the vectors that were asked for; then each node
   compares its neighbours pairwise, new ones with all, and whatever improves a list goes to the block of its owner. Rounds
@@ -36,7 +39,9 @@ from lincompress.llm.common import materialise, read, remove
 
 EVERY, TOP = 50, 5
 NEIGHBOURS, REVERSE, ENOUGH = 32, 32, 0.01
-BLOCK, SEED, BEAM, WIDTH = 4096, 64, 256, 64
+BLOCK, BEAM, WIDTH = 4096, 256, 64
+#: Nodes that the trees are fitted on, and the fewest of them in a leaf; bits of a node's number inside its block.
+SAMPLE, LEAF, INSIDE = 32_768, 32, 24
 #: Rounds and steps after which something is wrong.
 MOST_ROUNDS, MOST_STEPS = 60, 200
 MESSAGE = "block int, kind int, size long, a binary, b binary, c binary, d binary, e binary"
@@ -44,11 +49,8 @@ STATE, EDGES, REVERSED, REPLY, UPDATE, QUERY, ASK, ANSWER = range(8)
 NONE = -(1 << 63)
 
 
-def _block(ids: np.ndarray, blocks: int, salt: int = 0) -> np.ndarray:
-    with np.errstate(over="ignore"):
-        x = (ids.view(np.uint64) ^ np.uint64(salt)) * np.uint64(0x9E3779B97F4A7C15)
-        x = (x ^ (x >> np.uint64(30))) * np.uint64(0xBF58476D1CE4E5B9)
-        return ((x >> np.uint64(20)) % np.uint64(blocks)).astype(np.int64)
+def _block(ids: np.ndarray) -> np.ndarray:
+    return ids >> INSIDE
 
 
 def _mix(a: np.ndarray, b: np.ndarray) -> np.ndarray:
@@ -119,66 +121,122 @@ class State:
         return int(self.new.sum()) - before
 
 
-def _seed(nodes: DataFrame, blocks: int, k: int, dim: int) -> DataFrame:
-    """Blocks with the nearest of two random groups of SEED nodes; a task holds the groups of some thousand nodes."""
+class Tree:
+    """A binary tree of hyperplanes, each at the median of the sample's part that it splits; steps: how far a random direction is turned to the widest."""
+
+    def __init__(self, x: np.ndarray, depth: int, steps: int, seed: int):
+        rng, self.depth = np.random.default_rng(seed), depth
+        self.planes, self.cuts = np.zeros(((1 << depth) - 1, x.shape[1]), np.float32), np.zeros((1 << depth) - 1, np.float32)
+        parts = [x]
+        for level in range(depth):
+            halves = []
+            for i, part in enumerate(parts):
+                plane, centred = rng.normal(size=x.shape[1]), part - part.mean(axis=0) if len(part) else part
+                for _ in range(steps if len(part) else 0):
+                    turned = centred.T @ (centred @ plane)
+                    size = np.sqrt(turned @ turned)
+                    if size > 0:
+                        plane = turned / size
+                along = part @ plane.astype(np.float32)
+                cut = np.median(along) if len(part) else 0.0
+                at = (1 << level) - 1 + i
+                self.planes[at], self.cuts[at] = plane, cut
+                halves += [part[along <= cut], part[along > cut]]
+            parts = halves
+
+    def leaf(self, x: np.ndarray) -> np.ndarray:
+        at = np.zeros(len(x), np.int64)
+        for level in range(self.depth):
+            plane = at + (1 << level) - 1
+            at = 2 * at + (np.einsum("ij,ij->i", x, self.planes[plane]) > self.cuts[plane])
+        return at
+
+
+def _matrix(column, dim: int) -> np.ndarray:
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    return np.asarray(column.flatten(), np.float32).reshape(-1, dim)
+
+
+def deal(vectors: DataFrame, count: int, dim: int) -> tuple[DataFrame, int]:
+    """key, node (its number: block and place in it), other (leaf of the second tree), and the number of blocks; vectors: key (a hash, distinct), vector (array of float, unit length)."""
+    depth = 0
+    while count > BLOCK << depth and LEAF << depth < SAMPLE:
+        depth += 1
+    parts = 1 << 20
+    drawn = vectors if count <= SAMPLE else vectors.where(F.pmod(F.xxhash64("key"), F.lit(parts)) < SAMPLE * parts // count)
+    sample = _matrix(drawn.select("vector").toArrow()["vector"], dim) if depth else np.zeros((0, dim), np.float32)
+    trees = [Tree(sample, depth, steps, seed) for seed, steps in enumerate((8, 1))]
+
+    def each(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            x = _matrix(batch.column(1), dim)
+            yield pa.RecordBatch.from_arrays([batch.column(0), *[pa.array(tree.leaf(x)) for tree in trees]], names=["key", "leaf", "other"])
+
+    dealt = materialise(vectors.select("key", "vector").mapInArrow(each, "key long, leaf long, other long"), "leaves")
+    held = {r.leaf: r["count"] for r in dealt.groupBy("leaf").count().collect()}  # a row for each leaf, at most SAMPLE / LEAF
+    shares = [max(1, -(-held.get(i, 0) // BLOCK)) if held.get(i, 0) > 2 * BLOCK else 1 for i in range(1 << depth)]
+    start = np.cumsum([0, *shares])
+    table = lambda v: F.element_at(F.lit([int(k) for k in v]), (F.col("leaf") + 1).cast("int"))
+    block = table(start[:-1]).cast("long") + F.pmod(F.xxhash64("key", F.lit(1)), table(shares).cast("long"))
+    place = F.row_number().over(Window.partitionBy("block").orderBy("key"))
+    numbered = dealt.withColumn("block", block).withColumn("node", F.shiftleft("block", INSIDE) + place)
+    return materialise(numbered.select("key", "node", "other"), "numbers"), int(start[-1])
+
+
+def _seed(nodes: DataFrame, k: int, dim: int) -> DataFrame:
+    """Blocks with the nearest of two groups of nodes: their own block, and the leaf of the second tree. A crowded group is cut by lot."""
+    second = 1 << 50
 
     def group(table: pa.Table) -> pa.Table:
-        ids = table["node"].to_numpy()
-        x = np.array(table["vector"].to_pylist(), np.float32).reshape(-1, dim)
+        ids, x, seed = table["node"].to_numpy(), _matrix(table["vector"], dim), table["seed"][0].as_py()
         post = Post()
         owners, cands, sims = [], [], []
-        lot = np.argsort(_mix(ids, np.full(1, table["seed"][0].as_py(), np.int64)), kind="stable")
-        for mine in np.array_split(lot, max(1, len(lot) // SEED)):
-            s = x[mine] @ x[mine].T
-            np.fill_diagonal(s, -2)
+        lot = np.argsort(_mix(ids, np.full(1, seed, np.int64)), kind="stable")
+        for mine in np.array_split(lot, -(-len(lot) // (2 * BLOCK))):
             m = min(k, len(mine) - 1)
-            if m > 0:
+            for a in range(0, len(mine) if m > 0 else 0, 512):
+                own = mine[a : a + 512]
+                s = x[own] @ x[mine].T
+                s[np.arange(len(own)), a + np.arange(len(own))] = -2
                 top = np.argpartition(-s, m - 1, axis=1)[:, :m]
-                owners.append(np.repeat(ids[mine], m))
+                owners.append(np.repeat(ids[own], m))
                 cands.append(ids[mine[top]].ravel())
                 sims.append(np.take_along_axis(s, top, 1).ravel())
         owner, cand, sim = (np.concatenate(v) if v else np.zeros(0, t) for v, t in ((owners, np.int64), (cands, np.int64), (sims, np.float32)))
-        to, home = _block(owner, blocks), _block(ids, blocks)
-        for b in np.unique(home):
-            mine, part = home == b, to == b
-            post.send(b, UPDATE, owner[part], cand[part], sim[part].astype(np.float32), ids[mine], x[mine])
+        if seed < second:  # the block itself: its nodes come along
+            post.send(seed, UPDATE, owner, cand, sim.astype(np.float32), ids, x)
+            return post.table()
+        to = _block(owner)
+        order = np.argsort(to, kind="stable")
+        for part in np.split(order, np.flatnonzero(np.diff(to[order])) + 1) if len(to) else ():
+            post.send(to[part[0]], UPDATE, owner[part], cand[part], sim[part].astype(np.float32))
         return post.table()
 
     def settle(table: pa.Table) -> pa.Table:
         rows, post = _read(table)[UPDATE], Post()
         ids = np.concatenate([np.frombuffer(r["d"], np.int64) for r in rows])
         x = np.concatenate([np.frombuffer(r["e"], np.float32).reshape(-1, dim) for r in rows])
-        ids, first = np.unique(ids, return_index=True)
+        order = np.argsort(ids)
         n = len(ids)
-        state = State(ids, x[first], np.full((n, k), NONE), np.full((n, k), -2.0, np.float32), np.zeros((n, k), np.uint8))
+        state = State(ids[order], x[order], np.full((n, k), NONE), np.full((n, k), -2.0, np.float32), np.zeros((n, k), np.uint8))
         state.merge(*(np.concatenate([np.frombuffer(r[c], t) for r in rows]) for c, t in (("a", np.int64), ("b", np.int64), ("c", np.float32))))
         state.send(post, table["block"][0].as_py())
         return post.table()
 
-    def group_of(salt: int):
-        @F.pandas_udf("long")
-        def f(node):
-            import pandas as pd
-
-            return pd.Series(_block(node.to_numpy(), blocks, salt) + salt * (1 << 40))
-
-        return f("node")
-
-    dealt = nodes.select("node", "vector", F.explode(F.array(group_of(1), group_of(2))).alias("seed"))
+    dealt = nodes.select("node", "vector", F.explode(F.array(F.shiftright("node", INSIDE), F.col("other") + F.lit(second))).alias("seed"))
     return dealt.groupBy("seed").applyInArrow(group, MESSAGE).groupBy("block").applyInArrow(settle, MESSAGE)
 
 
-def _tell(state: State, block: int, blocks: int, post: Post) -> None:
+def _tell(state: State, block: int, post: Post) -> None:
     """Edges to the blocks of their targets, with the vectors and bounds at their sources."""
     src = np.repeat(np.arange(len(state.ids)), state.near.shape[1])
     dst, new = state.near.ravel(), state.new.ravel()
     keep = dst != NONE
     src, dst, new = src[keep], dst[keep], new[keep]
-    to = _block(dst, blocks)
+    to = _block(dst)
     order = np.argsort(to, kind="stable")
-    cuts = np.searchsorted(to[order], np.arange(blocks + 1))
-    for b in np.flatnonzero(np.diff(cuts)):
-        part = order[cuts[b] : cuts[b + 1]]
+    for part in np.split(order, np.flatnonzero(np.diff(to[order])) + 1) if len(to) else ():
+        b = to[part[0]]
         own, at = np.unique(src[part], return_inverse=True)
         header = np.concatenate([[block, len(own)], state.ids[own]]).astype(np.int64)
         body = np.column_stack([state.vectors[own], state.sims[own, -1:]]).astype(np.float16)
@@ -236,7 +294,7 @@ def _members(state: State, rows: dict, dim: int, reverse: int):
     return np.concatenate([state.near, back], 1), np.concatenate([state.new, back_new], 1), name, body[:, :-1], body[:, -1]
 
 
-def _join(table: pa.Table, dim: int, blocks: int, reverse: int) -> pa.Table:
+def _join(table: pa.Table, dim: int, reverse: int) -> pa.Table:
     """Neighbours of neighbours: pairs among each node's neighbours, sent to whose lists they improve."""
     rows, post, block = _read(table), Post(), table["block"][0].as_py()
     for r in rows.get(STATE, []):
@@ -263,7 +321,7 @@ def _join(table: pa.Table, dim: int, blocks: int, reverse: int) -> pa.Table:
         owner, cand, sim = name[owner[best]], name[cand[best]], sim[best]
         state.new = np.zeros_like(state.new)
         state.send(post, block)
-        to = _block(owner, blocks)
+        to = _block(owner)
         for b in np.unique(to):
             part = to == b
             post.send(b, UPDATE, owner[part], cand[part], sim[part])
@@ -286,25 +344,24 @@ def _tidy(spark: SparkSession) -> None:
     spark.sparkContext._jvm.System.gc()
 
 
-def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse: int = REVERSE, enough: float = ENOUGH) -> tuple[DataFrame, int]:
-    """The graph as block rows with the drawn reverse neighbours beside them, and the number of blocks; nodes: node, vector (array of float, unit length)."""
-    blocks = max(1, -(-count // BLOCK))
+def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse: int = REVERSE, enough: float = ENOUGH) -> DataFrame:
+    """The graph as block rows with the drawn reverse neighbours beside them; nodes: node, other, vector (array of float, unit length)."""
 
     def tell(table: pa.Table) -> pa.Table:
         state, entered = _accept(table, dim)
         post = Post()
         if state is not None:
             state.send(post, table["block"][0].as_py())
-            _tell(state, table["block"][0].as_py(), blocks, post)
+            _tell(state, table["block"][0].as_py(), post)
         return post.table()
 
     def step(salt: int):
         return lambda table: _draw(table, dim, reverse, salt)
 
-    now = materialise(_seed(nodes, blocks, k, dim), "graph")
+    now = materialise(_seed(nodes, k, dim), "graph")
     for turn in range(MOST_ROUNDS):
         drawn = now.groupBy("block").applyInArrow(tell, MESSAGE).groupBy("block").applyInArrow(step(turn * 7919 + 1), MESSAGE)
-        old, now = now, materialise(drawn.groupBy("block").applyInArrow(lambda t: _join(t, dim, blocks, reverse), MESSAGE), "graph")
+        old, now = now, materialise(drawn.groupBy("block").applyInArrow(lambda t: _join(t, dim, reverse), MESSAGE), "graph")
         remove(old)
         _tidy(nodes.sparkSession)
         offered = now.where(F.col("kind") == UPDATE).agg(F.sum("size")).first()[0] or 0
@@ -325,7 +382,7 @@ def build(nodes: DataFrame, count: int, dim: int, k: int = NEIGHBOURS, reverse:
         return post.table()
 
     last = now.groupBy("block").applyInArrow(tell, MESSAGE).groupBy("block").applyInArrow(step(0), MESSAGE)
-    return materialise(last.groupBy("block").applyInArrow(finish, MESSAGE), "index"), blocks
+    return materialise(last.groupBy("block").applyInArrow(finish, MESSAGE), "index")
 
 
 class Search:
@@ -378,6 +435,12 @@ class Search:
             cand = np.unique(np.concatenate([q["near"].pop(i) for i in ready])) if ready else np.zeros(0, np.int64)
             cand = cand[(cand != NONE) & ~np.isin(cand, q["seen"])]
             q["seen"] = np.union1d(q["seen"], cand)
+            if q["near"]:  # what is seen need not be carried
+                flat, seen = np.concatenate(list(q["near"].values())), q["seen"]
+                keep = (flat != NONE) & (seen[np.searchsorted(seen, flat).clip(0, len(seen) - 1)] != flat)
+                cuts = np.r_[0, np.cumsum(keep)][np.cumsum([0, *map(len, q["near"].values())])].tolist()
+                flat = flat[keep]
+                q["near"] = {i: flat[a:b].copy() for i, a, b in zip(q["near"], cuts[:-1], cuts[1:], strict=True)}
             if not len(cand):
                 # what is left of the beam came without its neighbours
                 cand = np.array([i for i in q["ids"].tolist() if i not in q["opened"] and i not in q["near"]][:width], np.int64)
@@ -388,7 +451,7 @@ class Search:
         return out
 
 
-def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int, beam: int = BEAM, width: int = WIDTH) -> DataFrame:
+def search(index: DataFrame, queries: DataFrame, dim: int, top: int, beam: int = BEAM, width: int = WIDTH) -> DataFrame:
     """(query, node) of the best nodes found for each query node, itself included; queries: node."""
 
     def begin(key, left: pa.Table, right: pa.Table) -> pa.Table:
@@ -416,7 +479,7 @@ def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int
         # what a node must reach for its neighbours to be of use
         bound = np.array([by[i]["sims"][-1] if len(by[i]["sims"]) >= beam else -2 for i in cands], np.float32)
         bound -= np.float32(1e-6)  # a node of the beam itself brings its neighbours
-        to = _block(cand, blocks)
+        to = _block(cand)
         for b in np.unique(to):
             part = np.flatnonzero(to == b)
             used, at = np.unique(owner[part], return_inverse=True)
@@ -449,13 +512,7 @@ def search(index: DataFrame, queries: DataFrame, blocks: int, dim: int, top: int
             _ask(own, own.open(beam, width), block, post)
         return post.table()
 
-    @F.pandas_udf("int")
-    def home(node):
-        import pandas as pd
-
-        return pd.Series(_block(node.to_numpy(), blocks))
-
-    at_home = queries.select("node", home("node").alias("block"))
+    at_home = queries.select("node", F.shiftright("node", INSIDE).cast("int").alias("block"))
     now = materialise(index.groupBy("block").cogroup(at_home.groupBy("block")).applyInArrow(begin, MESSAGE), "search")
     for turn in range(MOST_STEPS + 1):
         if not now.where((F.col("kind") == QUERY) & (F.col("size") > 0)).limit(1).count():
@@ -500,11 +557,17 @@ def nearest(vectors: DataFrame, queries: DataFrame, k: int = TOP, **options) ->
     members = materialise(rows.select("vec_id", "node").withColumn("place", F.row_number().over(first)).where(F.col("place") <= k + 1), "members")
     norm = F.sqrt(F.aggregate("embedding", F.lit(0.0), lambda a, x: a + x * x))
     leaders = rows.join(members.where("place = 1").select("vec_id", "node"), ["vec_id", "node"])
-    nodes = materialise(leaders.withColumn("norm", norm).select("node", "embedding", F.transform("embedding", lambda x: (x / F.col("norm")).cast("float")).alias("vector")), "nodes")
-    asked = rows.select("vec_id", "node").join(queries.select(F.col("vec_id").cast("long").alias("vec_id")).distinct(), "vec_id").select(F.col("vec_id").alias("query_id"), F.col("node").alias("query"))
-    asked = materialise(asked, "asked")
-    index, blocks = build(nodes.select("node", "vector"), nodes.count(), dim)
-    found = search(index, asked.select(F.col("query").alias("node")).distinct(), blocks, dim, 4 * (k + 1), **options)
+    vector = F.transform("embedding", lambda x: (x / F.col("norm")).cast("float"))
+    given = materialise(leaders.withColumn("norm", norm).select(F.col("node").alias("key"), "embedding", vector.alias("vector")), "nodes")
+    count = given.count()
+    numbers, _ = deal(given.select("key", "vector"), count, dim)
+    nodes = given.join(numbers, "key")
+    number = numbers.select(F.col("key").alias("node"), F.col("node").alias("number"))
+    members = members.join(number, "node").select("vec_id", F.col("number").alias("node"))
+    asked = rows.select("vec_id", "node").join(queries.select(F.col("vec_id").cast("long").alias("vec_id")).distinct(), "vec_id").join(number, "node")
+    asked = materialise(asked.select(F.col("vec_id").alias("query_id"), F.col("number").alias("query")), "asked")
+    index = build(nodes.select("node", "other", "vector"), count, dim)
+    found = search(index, asked.select(F.col("query").alias("node")).distinct(), dim, 4 * (k + 1), **options)
 
     def cosine(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:

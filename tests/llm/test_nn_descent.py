@@ -62,3 +62,22 @@ def test_odd_vectors_and_copies(spark):
     assert {q: [i for _, i in sorted(v)] for q, v in got.items()} == {0: [1, 2, 3, 4, 5], 50: [0, 1, 2, 3, 4], 100: [0, 1, 2, 3, 4]}
     assert nn_descent.nearest(df.limit(0), df).count() == 0
     assert nn_descent.nearest(df.where("vec_id = 50"), df).count() == 0
+
+
+def test_near_vectors_share_a_block_and_every_node_is_dealt(spark, monkeypatch):
+    """Seven of ten nearest neighbours in the node's own block (by hash it would be one of eight); a crowded leaf of like vectors is dealt on."""
+    monkeypatch.setattr(nn_descent, "BLOCK", 256)
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(40, 16))[np.arange(2000) % 40] + 0.2 * rng.normal(size=(2000, 16))
+    x[:1200] = [1.0] * 16 + 1e-9 * rng.normal(size=(1200, 16))  # alike as floats
+    x /= np.sqrt((x * x).sum(axis=1, keepdims=True))
+    df = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(x)], "key long, vector array<float>")
+    dealt, blocks = nn_descent.deal(df, 2000, 16)
+    rows = dealt.collect()
+    assert sorted(r.key for r in rows) == list(range(2000)) and len({r.node for r in rows}) == 2000
+    home = {r.key: r.node >> nn_descent.INSIDE for r in rows}
+    sizes = np.bincount(list(home.values()), minlength=blocks)
+    assert sizes.max() <= 2 * 256 and len(sizes) == blocks
+    s = x[1200:] @ x[1200:].T - 2 * np.eye(800)
+    near = np.argsort(-s, axis=1)[:, :5] + 1200
+    assert np.mean([home[i] == home[j] for i, row in zip(range(1200, 2000), near, strict=True) for j in row]) >= 0.7
