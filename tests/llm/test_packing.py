@@ -109,3 +109,39 @@ def test_too_many_queues(spark):
     with pytest.raises(ValueError, match="queues"):
         packing.schedule(lengths, length=64)
     assert packing.schedule(lengths, length=256).groupBy().sum("size").first()[0] == 120
+
+
+def test_the_pipeline_leaves_no_token_caches_in_workers(spark):
+    docs = spark.createDataFrame([(i, f"onlyhere{i} word " * 30, "ab"[i % 2]) for i in range(400)], "doc_id long, text string, source string").repartition(16)
+    pieces = packing.stage(spark, docs, "")  # tokens are written, pieces are not made yet
+
+    def left(batches):
+        import sys
+        import time
+
+        import pyarrow as pa
+
+        for batch in batches:
+            time.sleep(0.2)  # so that every worker gets some
+            shelf = vars(sys.modules["_token_shelf"]) if "_token_shelf" in sys.modules else {}
+            n = sum(b"onlyhere" in k for e in shelf.values() if hasattr(e, "chunks") for k in e.chunks)
+            yield pa.RecordBatch.from_arrays([pa.array([n] * batch.num_rows, pa.int64())], names=["n"])
+
+    assert spark.range(0, 48, 1, 48).mapInArrow(left, "n long").groupBy().sum("n").first()[0] == 0
+    whole = packing.pack(docs, PATH, power=packing.POWER)
+    # places go with tasks, which need not be the same; the ids of a document do
+    of = lambda rows: sorted((r.doc_id, r.n) for r in rows.groupBy("doc_id").agg({"length": "sum"}).withColumnRenamed("sum(length)", "n").collect())
+    assert of(pieces) == of(whole) and len(of(pieces)) == 400
+
+
+def test_small_caches_give_the_same_ids():
+    encode = packing._encoder(PATH)
+    texts = [f"alpha beta{i} Gamma. x{i % 7}" for i in range(300)]
+    want = encode(texts)
+    packing._forget()
+    encoder = encode.__self__
+    got = []
+    for t in texts:
+        got += encode([t], (40, 20))
+        assert len(encoder.chunks) <= 40 and len(encoder.words) <= 20
+    assert got == want
